@@ -5,17 +5,38 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from privmatrix.llm import pii
+from privmatrix.llm import pieces, pii
+
+PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def piece_model(path: str = PIECE_MODEL) -> bytes:
+    """A vocabulary file, read on the driver."""
+    with open(path, "rb") as f:
+        return f.read()
+
+
+def op3_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_pieces, ids_sha256 (of the comma-joined ids) and whether decoding gives the text back."""
+    model = piece_model()
+    coded = pieces.decode(pieces.encode(table(spark, sf_dir, "documents").select("doc_id", "text"), model), model)
+    return coded.select(
+        "doc_id",
+        F.coalesce(F.size("ids"), F.lit(0)).cast("long").alias("n_pieces"),
+        F.sha2(F.array_join(F.col("ids").cast("array<string>"), ","), 256).alias("ids_sha256"),
+        F.col("decoded").eqNullSafe(F.col("text")).alias("round_trip"),
+    )
+
+
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digest(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op6_pii": op6_pii}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op3_pieces": op3_pieces, "op6_pii": op6_pii}
 ORACLES: dict[str, str] = {"op6_pii": pii.oracle()}
