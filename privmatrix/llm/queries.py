@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privmatrix.llm import langid, pieces, pii, toxicity
+from privmatrix.llm import html_text, langid, pieces, pii, toxicity
 
 PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
@@ -44,6 +44,11 @@ def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digest(table(spark, sf_dir, "documents"))
 
 
+def op7_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = html_text.main_text(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+    return pages.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
+
+
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     net = toxicity.fit(docs, labels.where(~langid.held_out()).select("doc_id", "toxic"))
@@ -51,5 +56,5 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", langid.held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op3_pieces": op3_pieces, "op5_language": op5_language, "op6_pii": op6_pii, "op8_toxicity": op8_toxicity}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op3_pieces": op3_pieces, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity}
 ORACLES: dict[str, str] = {"op6_pii": pii.oracle()}
