@@ -8,7 +8,7 @@ semiring (weights add along a path, the least total wins).
 * Unigram models: a piece weighs minus its score.
 * Byte-pair models: a path's weight is 0 if every two neighbouring pieces may stand together, which they may if merging
   their joined text gives back just these two; else it is infinite. Such a segmentation is unique for every prefix of the
-  input, so each position keeps one finite path and the result equals that of the merge procedure.
+  input, so at most one finite path leads to each position and the result equals that of the merge procedure.
 
 The lattice is cut where no piece can cross (before a meta symbol that follows another character, and around line breaks),
 and the paths of such chunks are kept in a bounded cache.
@@ -25,14 +25,17 @@ import struct
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
 META = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
-CACHE_CHUNKS = 200_000
-BATCH_CHARS = 4_000_000
+CACHE_CHUNKS = 400_000
+CACHE_PAIRS = 1_000_000
+BATCH_BYTES = 2_000_000
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, object]]:
@@ -96,12 +99,14 @@ class Model:
             node[""] = i
         crossing = any(re.search(f"[^{META}]{META}", p) for p in self.id)
         self._chunks = None if crossing else re.compile(f"{META}*[^{META}\n]+|{META}+|\n" if not any("\n" in p for p in self.id) else f"{META}*[^{META}]+|{META}+")
+        self._longest = max(map(len, self.id), default=1)
         self._lowest = min(self.scores, default=0.0) - 10.0
         self._text: list[str] = list(self.pieces)
-        self._together: dict[tuple[int, int], bool] = {}
+        self._together: dict[int, bool] = {}
         self._self: dict[int, bool] = {}
-        self._cache: dict[str, list[int]] = {}
-        self._strange: dict[str, int] = {}
+        self._cache: dict[str, tuple[int, ...]] = {}
+        self._surface, self._surface_at = np.zeros(0, np.uint8), np.zeros(0, np.int64)
+        self._strange: dict[str, int] = {}  # at most as many as Unicode has characters
 
     @staticmethod
     def _charsmap(blob: bytes) -> dict[bytes, bytes]:
@@ -176,29 +181,117 @@ class Model:
 
     def _may_stand(self, a: int, b: int) -> bool:
         """Whether b may follow a on a path of finite weight."""
-        ok = self._together.get((a, b))
-        if ok is None:
-            if len(self._together) > 2_000_000:
-                self._together.clear()
-            x, y = self._text[a], self._text[b]
-            ok = self._together[a, b] = self._merged(x + y) == [x, y]
+        if len(self._together) >= CACHE_PAIRS:
+            self._together.clear()
+        ok = self._together[a << 24 | b] = self._stands_alone(a) and self._stands_alone(b) and not self._crossed(self._text[a], self._text[b])
         return ok
 
+    def _crossed(self, x: str, y: str) -> bool:
+        """Whether merging x followed by y, which each merge to one piece, joins across their bound."""
+        parts, bound, get, scores = [*x, *y], len(x), self.id.get, self.scores
+        ranks = [scores[p] if (p := get(parts[i] + parts[i + 1])) is not None else None for i in range(len(parts) - 1)]
+        while True:
+            best, at = None, -1
+            for i, r in enumerate(ranks):
+                if r is not None and (best is None or r > best):
+                    best, at = r, i
+            if best is None:
+                return False
+            if at == bound - 1:
+                return True
+            parts[at : at + 2] = [parts[at] + parts[at + 1]]
+            bound -= at < bound
+            del ranks[at]
+            for i in (at - 1, at):
+                if 0 <= i < len(ranks):
+                    p = get(parts[i] + parts[i + 1])
+                    ranks[i] = scores[p] if p is not None else None
+
     def _stands_alone(self, a: int) -> bool:
         ok = self._self.get(a)
         if ok is None:
             ok = self._self[a] = self._merged(self._text[a]) == [self._text[a]]
         return ok
 
+    def _arcs(self, text: str, i: int) -> list[tuple[int, int]]:
+        """(end, piece) of the pieces that start at position i, shortest first; a character without one has its own arc."""
+        out, node, j, n = [], self.trie, i, len(text)
+        while j < n and (node := node.get(text[j])) is not None:
+            j += 1
+            if "" in node:
+                out.append((j, node[""]))
+        if not out or out[0][0] != i + 1:
+            out.insert(0, (i + 1, self._symbol(text[i])))
+        return out
+
+    def _finite_path(self, text: str) -> list[int]:
+        """The one path of weight 0 of a byte-pair model, searched depth first, longest arcs first.
+
+        A position that was reached and left again lies on no such path, as only one finite path leads to it.
+        """
+        n, dead = len(text), set()
+        path: list[int] = []
+        ends, arcs = [0], [self._arcs(text, 0)]
+        together = self._together
+        while ends[-1] < n:
+            options = arcs[-1]
+            while options:
+                j, p = options.pop()
+                if j in dead:
+                    continue
+                if path:
+                    key = path[-1] << 24 | p
+                    ok = together.get(key)
+                    if ok is None:
+                        ok = self._may_stand(path[-1], p)
+                    if not ok:
+                        continue
+                elif not self._stands_alone(p):
+                    continue
+                path.append(p)
+                ends.append(j)
+                arcs.append(self._arcs(text, j) if j < n else [])
+                break
+            else:
+                dead.add(ends.pop())
+                arcs.pop()
+                path.pop()
+        return path
+
+    def _straight_path(self, text: str) -> list[int] | None:
+        """The finite path if always taking the longest arc that may follow leads to the end; None if it gets stuck."""
+        n, i, before, most = len(text), 0, -1, self._longest
+        path, get, together = [], self.id.get, self._together
+        while i < n:
+            for j in range(min(n, i + most), i, -1):
+                p = get(text[i:j])
+                if p is None:
+                    continue
+                if before < 0:
+                    ok = self._stands_alone(p)
+                else:
+                    ok = together.get(before << 24 | p)
+                    if ok is None:
+                        ok = self._may_stand(before, p)
+                if ok:
+                    break
+            else:
+                return None
+            path.append(p)
+            i, before = j, p
+        return path
+
     def _path(self, text: str) -> list[int]:
         """The shortest path of one chunk: symbols, in order."""
+        if self.bpe:
+            return self._straight_path(text) or self._finite_path(text)
         n = len(text)
         weight: list[float] = [0.0] + [float("inf")] * n
         last: list[tuple[int, int]] = [(0, -1)] * (n + 1)
         for i in range(n):
             if weight[i] == float("inf"):
                 continue
-            before, w, node, j = last[i][1], weight[i], self.trie, i
+            w, node, j = weight[i], self.trie, i
             single = False
             while j < n and (node := node.get(text[j])) is not None:
                 j += 1
@@ -206,17 +299,11 @@ class Model:
                 if p is None:
                     continue
                 single |= j == i + 1
-                if self.bpe:
-                    if weight[j] and (self._stands_alone(p) if before < 0 else self._stands_alone(p) and self._may_stand(before, p)):
-                        weight[j], last[j] = 0.0, (i, p)
-                elif w - self.scores[p] < weight[j]:
+                if w - self.scores[p] < weight[j]:
                     weight[j], last[j] = w - self.scores[p], (i, p)
             if not single:
                 p = self._symbol(text[i])
-                if self.bpe:
-                    if weight[i + 1] and (before < 0 or self._may_stand(before, p)):
-                        weight[i + 1], last[i + 1] = 0.0, (i, p)
-                elif w - self._lowest < weight[i + 1]:
+                if w - self._lowest < weight[i + 1]:
                     weight[i + 1], last[i + 1] = w - self._lowest, (i, p)
         out, j = [], n
         while j:
@@ -238,43 +325,40 @@ class Model:
         return out
 
     def encode(self, text: str) -> list[int]:
-        text, out, cache = self.normalised(text), [], self._cache
+        out: list[int] = []
+        self.encode_onto(text, out)
+        return out
+
+    def encode_onto(self, text: str, out: list[int]) -> None:
+        text, cache = self.normalised(text), self._cache
         for chunk in self._chunks.findall(text) if self._chunks else [text] if text else []:
             ids = cache.get(chunk)
             if ids is None:
                 if len(cache) >= CACHE_CHUNKS:
                     cache.clear()
-                ids = self._spelt(self._path(chunk))
+                ids = tuple(self._spelt(self._path(chunk)))
                 if len(chunk) < 200:
                     cache[chunk] = ids
             out += ids
-        return out
 
     def decode(self, ids: list[int]) -> str:
         """The text of a list of ids: bytes joined, the meta symbol back to a space, the dummy prefix gone."""
-        out: list[bytes] = []
-        for i in ids:
-            kind = self.kinds[i]
-            if kind == BYTE:
-                out.append(self._byte[i])
-            elif kind == UNKNOWN:
-                out.append(" ⁇ ".encode())
-            elif kind != CONTROL:
-                out.append(self._utf8[i])
-        text = b"".join(out).decode(errors="replace").replace(META, " ")
-        return text[1:] if self.prefix and text[:1] == " " else text
-
-    @property
-    def _byte(self) -> dict[int, bytes]:
-        if not hasattr(self, "_byte_of"):
-            self._byte_of = {i: bytes([b]) for b, i in self.bytes.items()}
-        return self._byte_of
-
-    @property
-    def _utf8(self) -> list[bytes]:
-        if not hasattr(self, "_utf8_of"):
-            self._utf8_of = [p.encode() for p in self.pieces]
-        return self._utf8_of
+        return self.decode_all(np.array(ids, np.int64), np.array([0, len(ids)]))[0].as_py()
+
+    def decode_all(self, ids: np.ndarray, offsets: np.ndarray) -> pa.Array:
+        """The texts of the lists that ``offsets`` cut ``ids`` into."""
+        if not len(self._surface_at):
+            surface = [bytes([int(p[3:5], 16)]) if k == BYTE else " ⁇ ".encode() if k == UNKNOWN else b"" if k == CONTROL else p.replace(META, " ").encode() for p, k in zip(self.pieces, self.kinds)]
+            self._surface = np.frombuffer(b"".join(surface), np.uint8)
+            self._surface_at = np.concatenate(([0], np.cumsum([len(x) for x in surface])))
+        length = np.diff(self._surface_at)[ids]
+        ends = np.concatenate(([0], np.cumsum(length)))
+        data = self._surface[np.repeat(self._surface_at[ids] - ends[:-1], length) + np.arange(ends[-1])]
+        starts, stops = ends[offsets[:-1]], ends[offsets[1:]]
+        if self.prefix and len(data):
+            starts = starts + ((starts < stops) & (data[np.minimum(starts, len(data) - 1)] == 32))
+        whole = data.tobytes()
+        return pa.array([whole[a:b].decode(errors="replace") for a, b in zip(starts.tolist(), stops.tolist())], pa.string())
 
 
 @lru_cache(maxsize=2)
@@ -282,23 +366,39 @@ def _compiled(data: bytes) -> Model:
     return Model(data)
 
 
-def _slices(batch: pa.RecordBatch, chars: int = BATCH_CHARS, column: str = "") -> Iterator[pa.RecordBatch]:
-    rows = max(1, int(len(batch) * chars / max(1, batch.nbytes)))
+def _slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    rows = max(1, int(len(batch) * BATCH_BYTES / max(1, batch.nbytes)))
     for a in range(0, len(batch), rows):
         yield batch.slice(a, rows)
 
 
-def _mapped(df: DataFrame, model: bytes, source: str, out: str, kind: T.DataType, arrow: pa.DataType, method: str) -> DataFrame:
+def _encoded(model: Model, column: pa.Array) -> pa.Array:
+    flat: list[int] = []
+    offsets = np.zeros(len(column) + 1, np.int32)
+    for i, value in enumerate(column):
+        if value.is_valid:
+            model.encode_onto(value.as_py(), flat)
+        offsets[i + 1] = len(flat)
+    nulls = column.is_null() if column.null_count else None
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.array(flat, np.int32)), mask=nulls)
+
+
+def _decoded(model: Model, column: pa.Array) -> pa.Array:
+    offsets = column.offsets.to_numpy()
+    made = model.decode_all(column.values.to_numpy(zero_copy_only=False)[offsets[0] : offsets[-1]].astype(np.int64), offsets - offsets[0])
+    return pc.if_else(column.is_valid(), made, pa.scalar(None, pa.string())) if column.null_count else made
+
+
+def _mapped(df: DataFrame, model: bytes, source: str, out: str, kind: T.DataType, work) -> DataFrame:
     shared = df.sparkSession.sparkContext.broadcast(model)  # the size of one vocabulary file
     kept = [c for c in df.columns if c != out]
     schema = T.StructType([df.schema[c] for c in kept] + [T.StructField(out, kind)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        work = getattr(_compiled(shared.value), method)
+        compiled = _compiled(shared.value)
         for whole in batches:
             for batch in _slices(whole):
-                values = batch.column(batch.schema.get_field_index(source)).to_pylist()
-                made = pa.array([None if v is None else work(v) for v in values], arrow)
+                made = work(compiled, batch.column(batch.schema.get_field_index(source)))
                 yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + [made], [*kept, out])
 
     return df.mapInArrow(run, schema)
@@ -306,9 +406,9 @@ def _mapped(df: DataFrame, model: bytes, source: str, out: str, kind: T.DataType
 
 def encode(df: DataFrame, model: bytes, text_col: str = "text", out: str = "ids") -> DataFrame:
     """``df`` with ``out``: the list of piece ids of each text."""
-    return _mapped(df, model, text_col, out, T.ArrayType(T.IntegerType()), pa.list_(pa.int32()), "encode")
+    return _mapped(df, model, text_col, out, T.ArrayType(T.IntegerType()), _encoded)
 
 
 def decode(df: DataFrame, model: bytes, ids_col: str = "ids", out: str = "decoded") -> DataFrame:
     """``df`` with ``out``: the text of each list of ids."""
-    return _mapped(df, model, ids_col, out, T.StringType(), pa.string(), "decode")
+    return _mapped(df, model, ids_col, out, T.StringType(), _decoded)
