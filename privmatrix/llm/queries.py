@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privmatrix.llm import html_text, langid, pieces, pii, toxicity
+from privmatrix.llm import html_text, langid, pieces, pii, toxicity, url_filter
 
 PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
@@ -34,6 +34,10 @@ def op3_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op4_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge(table(spark, sf_dir, "pages").select("page_id", "url", "html")).select("page_id", "host", "path", "rule", "verdict", "basis")
+
+
 def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = langid.learn(docs.where(~langid.held_out()).select("text", "lang"))
@@ -56,5 +60,5 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", langid.held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op3_pieces": op3_pieces, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity}
-ORACLES: dict[str, str] = {"op6_pii": pii.oracle()}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op3_pieces": op3_pieces, "op4_urls": op4_urls, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity}
+ORACLES: dict[str, str] = {"op4_urls": url_filter.oracle(), "op6_pii": pii.oracle()}
