@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privmatrix.llm import html_text, langid, lm_score, pieces, pii, toxicity, url_filter
+from privmatrix.llm import html_text, langid, lm_score, neighbours, pieces, pii, toxicity, url_filter
 
 PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
@@ -60,6 +60,10 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", langid.held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def op9_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neighbours.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
+
+
 def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     words = lm_score.vocabulary(lm_score.count(docs))
@@ -67,5 +71,5 @@ def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", "n_words", "log_prob", F.coalesce(F.try_divide("log_prob", F.col("n_words").cast("double")), F.lit(0.0)).alias("per_word"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op3_pieces": op3_pieces, "op4_urls": op4_urls, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity, "op10_lm": op10_lm}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op3_pieces": op3_pieces, "op4_urls": op4_urls, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity, "op9_neighbours": op9_neighbours, "op10_lm": op10_lm}
 ORACLES: dict[str, str] = {"op4_urls": url_filter.oracle(), "op6_pii": pii.oracle()}
