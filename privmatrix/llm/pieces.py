@@ -22,7 +22,8 @@ from __future__ import annotations
 
 import re
 import struct
-from collections.abc import Iterator
+from array import array
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -33,8 +34,8 @@ from pyspark.sql import types as T
 
 META = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
-CACHE_CHUNKS = 400_000
-CACHE_PAIRS = 1_000_000
+CACHE_CHUNKS = 600_000
+CACHE_PAIRS = 600_000
 BATCH_BYTES = 2_000_000
 
 
@@ -92,19 +93,22 @@ class Model:
         self.bytes = {int(p[3:5], 16): i for i, (p, k) in enumerate(zip(self.pieces, self.kinds)) if k == BYTE}
         self.id = {p: i for i, (p, k) in enumerate(zip(self.pieces, self.kinds)) if k in (NORMAL, USER_DEFINED)}
         self.trie: dict = {}
-        for p, i in self.id.items():
+        for p, i in () if self.bpe else self.id.items():
             node = self.trie
             for c in p:
                 node = node.setdefault(c, {})
             node[""] = i
         crossing = any(re.search(f"[^{META}]{META}", p) for p in self.id)
         self._chunks = None if crossing else re.compile(f"{META}*[^{META}\n]+|{META}+|\n" if not any("\n" in p for p in self.id) else f"{META}*[^{META}]+|{META}+")
-        self._longest = max(map(len, self.id), default=1)
+        self._longest: dict[str, int] = {}
+        for p in self.id:
+            if len(p) > 2:
+                self._longest[p[:3]] = max(self._longest.get(p[:3], 2), len(p))
         self._lowest = min(self.scores, default=0.0) - 10.0
         self._text: list[str] = list(self.pieces)
         self._together: dict[int, bool] = {}
         self._self: dict[int, bool] = {}
-        self._cache: dict[str, tuple[int, ...]] = {}
+        self._cache: dict[str, bytes] = {}
         self._surface, self._surface_at = np.zeros(0, np.uint8), np.zeros(0, np.int64)
         self._strange: dict[str, int] = {}  # at most as many as Unicode has characters
 
@@ -213,78 +217,48 @@ class Model:
             ok = self._self[a] = self._merged(self._text[a]) == [self._text[a]]
         return ok
 
-    def _arcs(self, text: str, i: int) -> list[tuple[int, int]]:
-        """(end, piece) of the pieces that start at position i, shortest first; a character without one has its own arc."""
-        out, node, j, n = [], self.trie, i, len(text)
-        while j < n and (node := node.get(text[j])) is not None:
-            j += 1
-            if "" in node:
-                out.append((j, node[""]))
-        if not out or out[0][0] != i + 1:
-            out.insert(0, (i + 1, self._symbol(text[i])))
-        return out
+    def _reach(self, text: str, i: int) -> int:
+        """End of the longest piece that could start at position i, by its first three characters."""
+        return min(len(text), i + self._longest.get(text[i : i + 3], 2))
 
     def _finite_path(self, text: str) -> list[int]:
         """The one path of weight 0 of a byte-pair model, searched depth first, longest arcs first.
 
         A position that was reached and left again lies on no such path, as only one finite path leads to it.
         """
-        n, dead = len(text), set()
+        n, get, together, dead = len(text), self.id.get, self._together, set()
         path: list[int] = []
-        ends, arcs = [0], [self._arcs(text, 0)]
-        together = self._together
-        while ends[-1] < n:
-            options = arcs[-1]
-            while options:
-                j, p = options.pop()
-                if j in dead:
-                    continue
-                if path:
-                    key = path[-1] << 24 | p
-                    ok = together.get(key)
-                    if ok is None:
-                        ok = self._may_stand(path[-1], p)
-                    if not ok:
-                        continue
-                elif not self._stands_alone(p):
-                    continue
-                path.append(p)
-                ends.append(j)
-                arcs.append(self._arcs(text, j) if j < n else [])
-                break
+        ends, tries = [0], [self._reach(text, 0)]
+        while (i := ends[-1]) < n:
+            j, before = tries[-1], path[-1] if path else -1
+            while j > i:
+                if j not in dead:
+                    p = get(text[i:j])
+                    if p is None and j == i + 1:
+                        p = self._symbol(text[i])
+                    if p is not None:
+                        if before < 0:
+                            ok = self._stands_alone(p)
+                        elif (ok := together.get(before << 24 | p)) is None:
+                            ok = self._may_stand(before, p)
+                        if ok:
+                            break
+                j -= 1
             else:
                 dead.add(ends.pop())
-                arcs.pop()
                 path.pop()
-        return path
-
-    def _straight_path(self, text: str) -> list[int] | None:
-        """The finite path if always taking the longest arc that may follow leads to the end; None if it gets stuck."""
-        n, i, before, most = len(text), 0, -1, self._longest
-        path, get, together = [], self.id.get, self._together
-        while i < n:
-            for j in range(min(n, i + most), i, -1):
-                p = get(text[i:j])
-                if p is None:
-                    continue
-                if before < 0:
-                    ok = self._stands_alone(p)
-                else:
-                    ok = together.get(before << 24 | p)
-                    if ok is None:
-                        ok = self._may_stand(before, p)
-                if ok:
-                    break
-            else:
-                return None
+                tries.pop()
+                continue
+            tries[-1] = j - 1
             path.append(p)
-            i, before = j, p
+            ends.append(j)
+            tries.append(self._reach(text, j))
         return path
 
     def _path(self, text: str) -> list[int]:
         """The shortest path of one chunk: symbols, in order."""
         if self.bpe:
-            return self._straight_path(text) or self._finite_path(text)
+            return self._finite_path(text)
         n = len(text)
         weight: list[float] = [0.0] + [float("inf")] * n
         last: list[tuple[int, int]] = [(0, -1)] * (n + 1)
@@ -325,18 +299,19 @@ class Model:
         return out
 
     def encode(self, text: str) -> list[int]:
-        out: list[int] = []
+        out = bytearray()
         self.encode_onto(text, out)
-        return out
+        return np.frombuffer(out, np.int32).tolist()
 
-    def encode_onto(self, text: str, out: list[int]) -> None:
+    def encode_onto(self, text: str, out: bytearray) -> None:
+        """Appends the ids to ``out``, four bytes each."""
         text, cache = self.normalised(text), self._cache
         for chunk in self._chunks.findall(text) if self._chunks else [text] if text else []:
             ids = cache.get(chunk)
             if ids is None:
                 if len(cache) >= CACHE_CHUNKS:
                     cache.clear()
-                ids = tuple(self._spelt(self._path(chunk)))
+                ids = array('i', self._spelt(self._path(chunk))).tobytes()
                 if len(chunk) < 200:
                     cache[chunk] = ids
             out += ids
@@ -373,14 +348,14 @@ def _slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
 
 
 def _encoded(model: Model, column: pa.Array) -> pa.Array:
-    flat: list[int] = []
+    flat = bytearray()
     offsets = np.zeros(len(column) + 1, np.int32)
     for i, value in enumerate(column):
         if value.is_valid:
             model.encode_onto(value.as_py(), flat)
-        offsets[i + 1] = len(flat)
+        offsets[i + 1] = len(flat) // 4
     nulls = column.is_null() if column.null_count else None
-    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.array(flat, np.int32)), mask=nulls)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(flat, np.int32)), mask=nulls)
 
 
 def _decoded(model: Model, column: pa.Array) -> pa.Array:
@@ -389,26 +364,39 @@ def _decoded(model: Model, column: pa.Array) -> pa.Array:
     return pc.if_else(column.is_valid(), made, pa.scalar(None, pa.string())) if column.null_count else made
 
 
-def _mapped(df: DataFrame, model: bytes, source: str, out: str, kind: T.DataType, work) -> DataFrame:
+def _mapped(df: DataFrame, model: bytes, source: str, made: dict[str, T.DataType], work: Callable[[Model, pa.Array], list[pa.Array]]) -> DataFrame:
     shared = df.sparkSession.sparkContext.broadcast(model)  # the size of one vocabulary file
-    kept = [c for c in df.columns if c != out]
-    schema = T.StructType([df.schema[c] for c in kept] + [T.StructField(out, kind)])
+    kept = [c for c in df.columns if c not in made]
+    schema = T.StructType([df.schema[c] for c in kept] + [T.StructField(c, kind) for c, kind in made.items()])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         compiled = _compiled(shared.value)
         for whole in batches:
             for batch in _slices(whole):
-                made = work(compiled, batch.column(batch.schema.get_field_index(source)))
-                yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + [made], [*kept, out])
+                columns = work(compiled, batch.column(batch.schema.get_field_index(source)))
+                yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + columns, [*kept, *made])
 
     return df.mapInArrow(run, schema)
 
 
+_IDS = T.ArrayType(T.IntegerType())
+
+
 def encode(df: DataFrame, model: bytes, text_col: str = "text", out: str = "ids") -> DataFrame:
     """``df`` with ``out``: the list of piece ids of each text."""
-    return _mapped(df, model, text_col, out, T.ArrayType(T.IntegerType()), _encoded)
+    return _mapped(df, model, text_col, {out: _IDS}, lambda m, x: [_encoded(m, x)])
 
 
 def decode(df: DataFrame, model: bytes, ids_col: str = "ids", out: str = "decoded") -> DataFrame:
     """``df`` with ``out``: the text of each list of ids."""
-    return _mapped(df, model, ids_col, out, T.StringType(), _decoded)
+    return _mapped(df, model, ids_col, {out: T.StringType()}, lambda m, x: [_decoded(m, x)])
+
+
+def _both(model: Model, column: pa.Array) -> list[pa.Array]:
+    ids = _encoded(model, column)
+    return [ids, _decoded(model, ids)]
+
+
+def code(df: DataFrame, model: bytes, text_col: str = "text", out: tuple[str, str] = ("ids", "decoded")) -> DataFrame:
+    """``encode`` and ``decode`` of its ids in one pass."""
+    return _mapped(df, model, text_col, {out[0]: _IDS, out[1]: T.StringType()}, _both)

@@ -29,7 +29,7 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, n_pieces, ids_sha256 (of the comma-joined ids) and whether decoding gives the text back."""
     model = piece_model()
-    coded = pieces.decode(pieces.encode(table(spark, sf_dir, "documents").select("doc_id", "text"), model), model)
+    coded = pieces.code(table(spark, sf_dir, "documents").select("doc_id", "text"), model)
     return coded.select(
         "doc_id",
         F.coalesce(F.size("ids"), F.lit(0)).cast("long").alias("n_pieces"),
