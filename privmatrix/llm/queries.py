@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privmatrix.llm import decontaminate, html_text, langid, lm_score, neighbours, pieces, pii, toxicity, url_filter
+from privmatrix.llm import decontaminate, html_text, langid, lm_score, near_dup, neighbours, pieces, pii, toxicity, url_filter
 
 PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
@@ -22,6 +22,10 @@ def piece_model(path: str = PIECE_MODEL) -> bytes:
         return f.read()
 
 
+def op1_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.groups(table(spark, sf_dir, "documents"))
+
+
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.judged(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
 
@@ -75,5 +79,5 @@ def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", "n_words", "log_prob", F.coalesce(F.try_divide("log_prob", F.col("n_words").cast("double")), F.lit(0.0)).alias("per_word"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op2_decontaminate": op2_decontaminate, "op3_pieces": op3_pieces, "op4_urls": op4_urls, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity, "op9_neighbours": op9_neighbours, "op10_lm": op10_lm}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op1_near_dup": op1_near_dup, "op2_decontaminate": op2_decontaminate, "op3_pieces": op3_pieces, "op4_urls": op4_urls, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity, "op9_neighbours": op9_neighbours, "op10_lm": op10_lm}
 ORACLES: dict[str, str] = {"op4_urls": url_filter.oracle(), "op6_pii": pii.oracle()}
