@@ -162,7 +162,7 @@ def _probes(index, sizes: np.ndarray, need: int, ratio: float):
 def _nearest(most: int):
     def run(queries: pd.DataFrame, entries: pd.DataFrame) -> pd.DataFrame:
         if not len(queries) or not len(entries):
-            return pd.DataFrame({"query": [], "entry": [], "members": [], "score": []})
+            return pd.DataFrame({"query": np.zeros(0, np.int64), "entry": np.zeros(0, np.int64), "members": np.zeros(0, object), "score": np.zeros(0)})
         p = np.stack(entries["vector"].to_numpy()).astype(np.float64)
         ids, members = entries["class"].to_numpy(), entries["members"].to_numpy()
         norm, out = (p * p).sum(axis=1), []
