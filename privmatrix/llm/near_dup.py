@@ -5,11 +5,13 @@ class the minwise tokens are kept, and independent random trees branch the class
 coordinates, and each gives a child of the classes that agree there. Two sets of similarity s stay together at a coordinate with
 probability s, so that similar sets meet in some node of some tree and others part after few branchings.
 
-* Nodes of at most ``leaf`` classes are compared exhaustively by their tokens; of their likely pairs, those that are needed to join
-  them are verified first, and after that every other likely pair whose ends are still in different groups.
-* Larger nodes are first compared with a few leaders. If that leaves one group, no further link can change the result and the node is
-  done. If few classes stand outside the largest group, all of these become leaders, which is exhaustive as well.
-  Otherwise the node is branched again; at ``depth`` all classes outside the largest group become leaders.
+* A node of more than ``leaf`` classes is branched again, ``levels`` times at most.
+* Nodes of at most ``leaf`` classes are compared exhaustively by their tokens. The likeliest pairs that join what can be joined (a
+  spanning forest, by the same order of pairs in all nodes) are verified first, and after that every other likely pair whose
+  ends are still in different groups.
+* Nodes that stay large are groups of very similar classes. They are compared with a few leaders; if that leaves one group, no further
+  link can change the result and the node is done. If not, and few classes stand outside the largest group, or it has been branched
+  ``depth`` times, all of these become leaders, which is exhaustive as well; else the node is branched again.
 
 Every link is confirmed on the full sets before it counts, so no false link is made. The chance that two sets at the threshold share
 no node at the first level is 0.2 ** (trees * branches), about 4e-9, and they part at later levels of all trees with 1e-7.
@@ -23,8 +25,10 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -41,10 +45,11 @@ class Options:
     tokens: int = 128
     trees: int = 6
     branches: int = 2
-    leaf: int = 512
+    leaf: int = 1024
+    levels: int = 3
     leaders: int = 4
     minority: int = 64
-    depth: int = 12
+    depth: int = 16
     margin: float = 0.16  # 4.5 standard deviations of the tokens' estimate at the threshold
 
     @property
@@ -116,31 +121,39 @@ def dense(members: DataFrame, what: str) -> DataFrame:
     return written(members.join(once, "node").select("node", "id", "size"), what)
 
 
-def _likely_pairs(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray | None, o: Options) -> Iterator[tuple[int, int]]:
-    """Pairs of one node. Without labels, a forest of the likeliest pairs; with labels, all likely pairs between different ones."""
+def _likely_pairs(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray | None, o: Options) -> list[tuple[int, int]]:
+    """Pairs of one node. Without labels, a spanning forest of the likeliest pairs; with labels, all likely pairs between different ones."""
+    order = np.lexsort((ids, n))
+    ids, n, sig = ids[order], n[order], sig[order]
+    label = None if label is None else label[order]
+    reach = np.searchsorted(n * o.percent, n * 100, "right")  # sets beyond are too large to be similar
     found = []
     for i in range(len(ids) - 1):
-        agree = (sig[i + 1 :] == sig[i]).sum(axis=1)
-        low, high = np.minimum(n[i + 1 :], n[i]), np.maximum(n[i + 1 :], n[i])
-        ok = (agree >= o.likely) & (low * 100 >= high * o.percent)
+        rest = slice(i + 1, reach[i])
+        agree = (sig[rest] == sig[i]).sum(axis=1)
+        ok = agree >= o.likely
         if label is not None:
-            ok &= label[i + 1 :] != label[i]
-        found += [(-int(agree[j]), i, i + 1 + int(j)) for j in np.flatnonzero(ok)]
-    root = list(range(len(ids)))
+            ok &= label[rest] != label[i]
+        for j in np.flatnonzero(ok).tolist():
+            x, y = int(ids[i]), int(ids[i + 1 + j])
+            found.append((-int(agree[j]), min(x, y), max(x, y)))
+    if label is not None or len(ids) <= 3:
+        return [(x, y) for _, x, y in found]
+    root: dict[int, int] = {}
 
     def top(x: int) -> int:
-        while root[x] != x:
-            root[x] = root[root[x]]
-            x = root[x]
+        while (up := root.get(x, x)) != x:
+            root[x] = root.get(up, up)
+            x = up
         return x
 
-    for _, i, j in sorted(found):
-        if label is None and len(ids) > 4:
-            a, b = top(i), top(j)
-            if a == b:
-                continue
+    out = []
+    for _, x, y in sorted(found):
+        a, b = top(x), top(y)
+        if a != b:
             root[a] = b
-        yield int(ids[i]), int(ids[j])
+            out.append((x, y))
+    return out
 
 
 def small_pairs(members: DataFrame, reps: DataFrame, o: Options, labels: DataFrame | None = None) -> DataFrame:
@@ -171,18 +184,30 @@ def _pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
 
 
 def star_pairs(members: DataFrame, leaders: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
-    """a, b: likely pairs of a node's classes with its leaders (node, leader)."""
-    tokens = reps.select(F.col("id").alias("leader"), F.col("n").alias("ln"), F.col("sig").alias("lsig"))
-    rows = members.select("node", "id").join(reps.select("id", "n", "sig"), "id").join(leaders.join(tokens, "leader"), "node").where("id <> leader").select("id", "n", "sig", "leader", "ln", "lsig")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids, n, leader, ln = (batch.column(k).to_numpy() for k in (0, 1, 3, 4))
-            agree = (_tokens(batch.column(2), o.tokens) == _tokens(batch.column(5), o.tokens)).sum(axis=1)
-            ok = (agree >= o.likely) & (np.minimum(n, ln) * 100 >= np.maximum(n, ln) * o.percent)
-            yield _pairs(list(zip(ids[ok].tolist(), leader[ok].tolist())))
-
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    """a, b: likely pairs of a node's classes with its leaders (node, leader).
+
+    A node's classes are dealt out in shares of about ``leaf``; each share meets all leaders of its node in one task, which gives
+    out likely pairs only.
+    """
+    tokens = reps.select("id", "n", "sig")
+    share = lambda size: F.greatest(F.lit(1), F.ceil(F.col(size) / o.leaf)).cast("int")
+    rows = members.join(tokens, "id").select("node", F.pmod(F.xxhash64("id"), share("size")).cast("int").alias("share"), "id", "n", "sig")
+    sizes = members.groupBy("node").agg(F.max("size").alias("size"))
+    heads = leaders.join(tokens, leaders["leader"] == tokens["id"]).join(sizes, "node").select("node", F.explode(F.sequence(F.lit(0), share("size") - 1)).alias("share"), "id", "n", "sig")
+
+    def run(own: pd.DataFrame, head: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        if len(own) and len(head):
+            ids, n = own["id"].to_numpy(), own["n"].to_numpy()
+            sig = np.frombuffer(b"".join(own["sig"]), np.uint32).reshape(-1, o.tokens)
+            for x, k, tokens in zip(head["id"], head["n"], head["sig"]):
+                agree = (sig == np.frombuffer(tokens, np.uint32)).sum(axis=1)
+                ok = (agree >= o.likely) & (np.minimum(n, k) * 100 >= np.maximum(n, k) * o.percent) & (ids != x)
+                out += [(min(x, y), max(x, y)) for y in ids[ok].tolist()]
+        both = np.array(out, np.int64).reshape(-1, 2)
+        return pd.DataFrame({"a": both[:, 0], "b": both[:, 1]})
+
+    return rows.groupBy("node", "share").cogroup(heads.groupBy("node", "share")).applyInPandas(run, "a long, b long").distinct()
 
 
 def verified(pairs: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
@@ -208,49 +233,74 @@ def _labelled(members: DataFrame, labels: DataFrame) -> DataFrame:
     return members.join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))
 
 
+def nodes(reps: DataFrame, o: Options) -> tuple[DataFrame, DataFrame | None]:
+    """node, id, size of the small nodes of all levels, and of the nodes that stay large (None if there are none)."""
+    members, small = dense(roots(reps, o), "nodes"), []
+    for _ in range(o.levels):
+        small.append(members.where(F.col("size") <= o.leaf))
+        large = members.where(F.col("size") > o.leaf)
+        if not large.take(1):
+            return reduce(DataFrame.unionByName, small), None
+        members = dense(branched(large.select("node", "id"), reps, o), "nodes")
+    small.append(members.where(F.col("size") <= o.leaf))
+    large = members.where(F.col("size") > o.leaf)
+    return reduce(DataFrame.unionByName, small), large if large.take(1) else None
+
+
+class _Judged:
+    """Pairs that were verified, and the groups that their links make."""
+
+    def __init__(self, texts: DataFrame, o: Options):
+        self.texts, self.o, self.pairs, self.labels = texts, o, None, None
+
+    def add(self, pairs: DataFrame) -> None:
+        fresh = pairs if self.pairs is None else pairs.join(self.pairs, ["a", "b"], "left_anti")
+        new = written(verified(fresh, self.texts, self.o), "verified")
+        self.pairs = new if self.pairs is None else self.pairs.unionByName(new)
+        if self.labels is None or new.where("linked").take(1):
+            self.labels = written(components(self.pairs.where("linked").select("a", "b")), "labels")
+
+    def mixed(self, members: DataFrame) -> DataFrame:
+        """node of the nodes that hold more than one group."""
+        return written(_labelled(members, self.labels).groupBy("node").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("node"), "mixed")
+
+
 def links(reps: DataFrame, docs: DataFrame, o: Options) -> DataFrame:
     """id, label of the classes that have a link. docs: id, text; reps: id, n, sig."""
-    members, texts, judged, labels = dense(roots(reps, o), "nodes"), None, None, None
-
-    def judge(pairs: DataFrame) -> None:
-        nonlocal judged, labels
-        fresh = pairs if judged is None else pairs.join(judged, ["a", "b"], "left_anti")
-        new = written(verified(fresh, texts, o), "verified")
-        judged = new if judged is None else judged.unionByName(new)
-        labels = written(components(judged.where("linked").select("a", "b")), "labels")
-
-    for level in range(o.depth + 1):
-        here = written(docs.join(members.select("id").distinct(), "id", "left_semi"), "texts") if texts is None else texts
-        texts = here
-        small, large = members.where(F.col("size") <= o.leaf), members.where(F.col("size") > o.leaf)
-        any_large = bool(large.take(1))
-        pairs = small_pairs(small, reps, o)
-        if any_large:
-            picks = [F.min_by("id", F.xxhash64("id", "node", F.lit(k))).alias(f"l{k}") for k in range(o.leaders)]
-            leaders = large.groupBy("node").agg(*picks).select("node", F.explode(F.array_distinct(F.array(*[f"l{k}" for k in range(o.leaders)]))).alias("leader"))
-            pairs = pairs.unionByName(star_pairs(large, leaders, reps, o)).distinct()
-        judge(pairs)
-        mixed = written(_labelled(members, labels).groupBy("node").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("node"), "mixed")
-        rest = small.join(mixed, "node")
-        more = small_pairs(rest, reps, o, labels).join(judged, ["a", "b"], "left_anti")
-        open_large = None
-        if any_large:
-            within = written(_labelled(large.join(mixed, "node"), labels), "large")
-            largest = within.groupBy("node", "label").agg(F.count("*").alias("k")).groupBy("node").agg(F.max_by("label", F.struct("k", "label")).alias("main"), (F.sum("k") - F.max("k")).alias("others"))
-            largest = written(largest, "largest")
-            final = F.col("others") <= (o.minority if level < o.depth else 1 << 62)
-            leaders = within.join(largest.where(final), "node").where("label <> main").select("node", F.col("id").alias("leader"))
-            more = more.unionByName(star_pairs(within.join(largest.where(final).select("node"), "node"), leaders, reps, o)).distinct()
-            open_large = within.join(largest.where(~final).select("node"), "node").select("node", "id")
-        more = written(more, "more-pairs")
-        if more.take(1):
-            judge(more)
-        if open_large is None or not open_large.take(1):
-            return labels
-        members = dense(branched(written(open_large, "open"), reps, o), "nodes")
-        if not members.take(1):
-            return labels
-    return labels
+    small, large = nodes(reps, o)
+    pairs = small_pairs(small, reps, o)
+    if large is not None:
+        picks = [F.min_by("id", F.xxhash64("id", "node", F.lit(k))).alias(f"l{k}") for k in range(o.leaders)]
+        leaders = large.groupBy("node").agg(*picks).select("node", F.explode(F.array_distinct(F.array(*[f"l{k}" for k in range(o.leaders)]))).alias("leader"))
+        pairs = pairs.unionByName(star_pairs(large, leaders, reps, o)).distinct()
+    pairs = written(pairs, "pairs")
+    involved = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
+    judged = _Judged(written(docs.join(involved, "id", "left_semi"), "texts"), o)
+    judged.add(pairs)
+    more = small_pairs(small.join(judged.mixed(small), "node"), reps, o, judged.labels).join(judged.pairs, ["a", "b"], "left_anti")
+    more = written(more, "pairs")
+    if more.take(1):
+        judged.texts = docs
+        judged.add(more)
+    level = o.levels
+    while large is not None:
+        level += 1
+        within = written(_labelled(large.join(judged.mixed(large), "node"), judged.labels), "large")
+        if not within.take(1):
+            break
+        judged.texts = docs
+        counts = within.groupBy("node", "label").agg(F.count("*").alias("k"))
+        largest = written(counts.groupBy("node").agg(F.max_by("label", F.struct("k", "label")).alias("main"), (F.sum("k") - F.max("k")).alias("others")), "largest")
+        final = F.col("others") <= (o.minority if level < o.depth else 1 << 62)
+        outside = within.join(largest.where(final), "node").where("label <> main").select("node", F.col("id").alias("leader"))
+        judged.add(star_pairs(within.join(largest.where(final).select("node"), "node"), outside, reps, o))
+        rest = written(within.join(largest.where(~final).select("node"), "node").select("node", "id"), "open")
+        if not rest.take(1):
+            break
+        members = dense(branched(rest, reps, o), "nodes")
+        low, large = members.where(F.col("size") <= o.leaf), members.where(F.col("size") > o.leaf)
+        judged.add(small_pairs(low.join(judged.mixed(low), "node"), reps, o, judged.labels))
+    return judged.labels
 
 
 def groups(df: DataFrame, o: Options = Options(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
