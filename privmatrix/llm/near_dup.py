@@ -5,16 +5,16 @@ class the minwise tokens are kept, and independent random trees branch the class
 coordinates, and each gives a child of the classes that agree there. Two sets of similarity s stay together at a coordinate with
 probability s, so that similar sets meet in some node of some tree and others part after few branchings.
 
-* A node of more than ``leaf`` classes is branched again, ``levels`` times at most.
+* A node of more than ``leaf`` classes is branched again, ``levels`` times at most, unless it kept most of its parent's classes.
 * Nodes of at most ``leaf`` classes are compared exhaustively by their tokens. The likeliest pairs that join what can be joined (a
-  spanning forest, by the same order of pairs in all nodes) are verified first, and after that every other likely pair whose
-  ends are still in different groups.
+  spanning forest, by the same order of pairs in all nodes) are verified first. A node in which likely pairs still lie between different
+  groups is then gathered with its texts, and every such pair is verified until its ends are in one group.
 * Nodes that stay large are groups of very similar classes. They are compared with a few leaders; if that leaves one group, no further
   link can change the result and the node is done. If not, and few classes stand outside the largest group, or it has been branched
   ``depth`` times, all of these become leaders, which is exhaustive as well; else the node is branched again.
 
 Every link is confirmed on the full sets before it counts, so no false link is made. The chance that two sets at the threshold share
-no node at the first level is 0.2 ** (trees * branches), about 4e-9, and they part at later levels of all trees with 1e-7.
+no node at the first level is 0.2 ** (trees * branches), about 1e-7, and they part at later levels of all trees with 1e-6.
 
 Null and empty texts, and texts without a word, have empty sets and stand alone. Ties: a group is named by its smallest id, and that
 document is kept. Repeated rows of one id get the same group. Extra columns are ignored by ``groups`` and kept by
@@ -43,10 +43,11 @@ class Options:
     words: int = 4
     percent: int = 80  # similarity at which documents are linked
     tokens: int = 128
-    trees: int = 6
+    trees: int = 5
     branches: int = 2
     leaf: int = 1024
     levels: int = 3
+    stays: float = 0.6  # share of its parent's classes from which a large node is taken for a group of similar ones
     leaders: int = 4
     minority: int = 64
     depth: int = 16
@@ -86,101 +87,158 @@ def _child(node: np.ndarray, coordinate: np.ndarray, token: np.ndarray) -> np.nd
 
 
 def roots(reps: DataFrame, o: Options) -> DataFrame:
-    """node, id: the first branching of every tree."""
+    """node, id, parent: the first branching of every tree; its parent holds all classes, so its size tells nothing and is given as -1."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         picks = np.random.default_rng(41).permutation(o.tokens)[: o.trees * o.branches]
         for batch in batches:
             sig, ids = _tokens(batch.column(1), o.tokens), batch.column(0).to_numpy()
             nodes = [_child(np.uint64(1000 + k // o.branches), np.full(len(ids), c), sig[:, c]) for k, c in enumerate(picks)]
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(nodes).view(np.int64)), pa.array(np.tile(ids, len(picks)))], ["node", "id"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(nodes).view(np.int64)), pa.array(np.tile(ids, len(picks))), pa.array(np.full(len(ids) * len(picks), -1, np.int64))], ["node", "id", "parent"])
 
-    return reps.select("id", "sig").mapInArrow(run, "node long, id long")
+    return reps.select("id", "sig").mapInArrow(run, "node long, id long, parent long")
 
 
 def branched(members: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
-    """node, id: children of the given nodes."""
+    """node, id, parent (size of the parent): children of the given nodes (node, id, size)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            node, ids, sig = batch.column(0).to_numpy().view(np.uint64), batch.column(1).to_numpy(), _tokens(batch.column(2), o.tokens)
+            node, ids, sig, size = batch.column(0).to_numpy().view(np.uint64), batch.column(1).to_numpy(), _tokens(batch.column(2), o.tokens), batch.column(3).to_numpy()
             row, out, start = np.arange(len(ids)), [], textscan.mix(node)
             for k in range(o.branches):
                 c = ((start + np.uint64(k) * (textscan.mix(start) % np.uint64(o.tokens // o.branches) + np.uint64(1))) % np.uint64(o.tokens)).astype(np.int64)
                 out.append(_child(node, c, sig[row, c]))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.tile(ids, o.branches))], ["node", "id"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.tile(ids, o.branches)), pa.array(np.tile(size, o.branches))], ["node", "id", "parent"])
 
-    return members.join(reps.select("id", "sig"), "id").select("node", "id", "sig").mapInArrow(run, "node long, id long")
+    return members.join(reps.select("id", "sig"), "id").select("node", "id", "sig", "size").mapInArrow(run, "node long, id long, parent long")
 
 
 def dense(members: DataFrame, what: str) -> DataFrame:
-    """node, id, size: nodes of two classes at least, once where several hold the same classes."""
+    """node, id, size, parent: nodes of two classes at least, once where several hold the same classes."""
     print_ = [F.expr(f"bit_xor(xxhash64(id, {k}))").alias(f"p{k}") for k in range(2)]
-    sizes = members.groupBy("node").agg(F.count("*").alias("size"), *print_).where("size >= 2")
-    once = sizes.groupBy("size", "p0", "p1").agg(F.min("node").alias("node")).select("node", "size")
-    return written(members.join(once, "node").select("node", "id", "size"), what)
+    sizes = members.groupBy("node").agg(F.count("*").alias("size"), F.max("parent").alias("parent"), *print_).where("size >= 2")
+    once = sizes.groupBy("size", "p0", "p1").agg(F.min(F.struct("node", "parent")).alias("one")).select("one.node", "size", "one.parent")
+    return written(members.select("node", "id").join(once, "node").select("node", "id", "size", "parent"), what)
 
 
-def _likely_pairs(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray | None, o: Options) -> list[tuple[int, int]]:
-    """Pairs of one node. Without labels, a spanning forest of the likeliest pairs; with labels, all likely pairs between different ones."""
+class _Groups:
+    """Union-find over ids as they come."""
+
+    def __init__(self) -> None:
+        self.up: dict[int, int] = {}
+
+    def top(self, x: int) -> int:
+        while (up := self.up.get(x, x)) != x:
+            self.up[x] = self.up.get(up, up)
+            x = up
+        return x
+
+    def join(self, x: int, y: int) -> bool:
+        """False if they were together."""
+        a, b = self.top(x), self.top(y)
+        self.up[a] = b
+        return a != b
+
+
+def _likely(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray | None, o: Options) -> list[tuple[int, int, int]]:
+    """(minus agreeing tokens, row, row) of a node's likely pairs, between different labels if these are given; the likeliest first."""
     order = np.lexsort((ids, n))
-    ids, n, sig = ids[order], n[order], sig[order]
-    label = None if label is None else label[order]
-    reach = np.searchsorted(n * o.percent, n * 100, "right")  # sets beyond are too large to be similar
-    found = []
+    reach = np.searchsorted(n[order] * o.percent, n[order] * 100, "right")  # sets beyond are too large to be similar
+    sorted_sig, found = sig[order], []
     for i in range(len(ids) - 1):
-        rest = slice(i + 1, reach[i])
-        agree = (sig[rest] == sig[i]).sum(axis=1)
+        rest = order[i + 1 : reach[i]]
+        agree = (sorted_sig[i + 1 : reach[i]] == sorted_sig[i]).sum(axis=1)
         ok = agree >= o.likely
         if label is not None:
-            ok &= label[rest] != label[i]
+            ok &= label[rest] != label[order[i]]
         for j in np.flatnonzero(ok).tolist():
-            x, y = int(ids[i]), int(ids[i + 1 + j])
-            found.append((-int(agree[j]), min(x, y), max(x, y)))
-    if label is not None or len(ids) <= 3:
-        return [(x, y) for _, x, y in found]
-    root: dict[int, int] = {}
-
-    def top(x: int) -> int:
-        while (up := root.get(x, x)) != x:
-            root[x] = root.get(up, up)
-            x = up
-        return x
+            x, y = int(order[i]), int(rest[j])
+            found.append((-int(agree[j]), x, y) if ids[x] < ids[y] else (-int(agree[j]), y, x))
+    return sorted(found, key=lambda p: (p[0], ids[p[1]], ids[p[2]]))
+
+
+def _forest(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, o: Options) -> list[tuple[int, int]]:
+    """The pairs of a node that join what can be joined; all pairs of the smallest nodes."""
+    groups, found = _Groups(), _likely(ids, n, sig, None, o)
+    return [(int(ids[i]), int(ids[j])) for _, i, j in found if groups.join(i, j) or len(ids) <= 3]
 
-    out = []
-    for _, x, y in sorted(found):
-        a, b = top(x), top(y)
-        if a != b:
-            root[a] = b
-            out.append((x, y))
-    return out
-
-
-def small_pairs(members: DataFrame, reps: DataFrame, o: Options, labels: DataFrame | None = None) -> DataFrame:
-    """a, b: likely pairs within nodes of at most ``leaf`` classes, so each gathered list is bounded."""
-    by_label = labels is not None
-    with_sig = members.join(reps.select("id", "n", "sig"), "id")
-    if labels is not None:
-        with_sig = with_sig.join(labels, "id", "left").withColumn("label", F.coalesce("label", "id"))
-    else:
-        with_sig = with_sig.withColumn("label", F.lit(0).cast("long"))
-    lists = with_sig.groupBy("node").agg(F.collect_list(F.struct("id", "n", "label", "sig")).alias("all")).select("all")
+
+def _pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
+    both = np.array(out, np.int64).reshape(-1, 2)
+    return pa.RecordBatch.from_arrays([pa.array(both.min(axis=1)), pa.array(both.max(axis=1))], ["a", "b"])
+
+
+def _lists(column: pa.Array) -> Iterator[pa.StructArray]:
+    flat, at = column.flatten(), column.offsets.to_numpy() - column.offsets[0].as_py()
+    for a, b in zip(at[:-1].tolist(), at[1:].tolist()):
+        yield flat.slice(a, b - a)
+
+
+def _fields(x: pa.StructArray) -> list[pa.Array]:
+    return x.flatten()
+
+
+def small_pairs(members: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
+    """a, b: pairs to verify first, of nodes of at most ``leaf`` classes, so each gathered list is bounded."""
+    lists = members.join(reps.select("id", "n", "sig"), "id").groupBy("node").agg(F.collect_list(F.struct("id", "n", "sig")).alias("all")).select("all")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            lists = batch.column(0)
-            flat, at = lists.flatten(), lists.offsets.to_numpy() - lists.offsets[0].as_py()
-            ids, n, label = (flat.field(k).to_numpy() for k in range(3))
-            sig = _tokens(flat.field(3), o.tokens)
-            out = [p for a, b in zip(at[:-1].tolist(), at[1:].tolist()) for p in _likely_pairs(ids[a:b], n[a:b], sig[a:b], label[a:b] if by_label else None, o)]
+            out = []
+            for x in _lists(batch.column(0)):
+                ids, n, sig = _fields(x)
+                out += _forest(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), o)
             yield _pairs(out)
 
     return lists.mapInArrow(run, "a long, b long").distinct()
 
 
-def _pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
-    both = np.array(out, np.int64).reshape(-1, 2)
-    return pa.RecordBatch.from_arrays([pa.array(both.min(axis=1)), pa.array(both.max(axis=1))], ["a", "b"])
+def open_members(members: DataFrame, reps: DataFrame, labels: DataFrame, o: Options) -> DataFrame:
+    """node, id, label, n, sig of the classes that have a likely pair with another group of their node."""
+    rows = _labelled(members, labels).join(reps.select("id", "n", "sig"), "id")
+    lists = rows.groupBy("node").agg(F.collect_list(F.struct("id", "label", "n", "sig")).alias("all"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for node, x in zip(batch.column(0).to_pylist(), _lists(batch.column(1))):
+                columns = _fields(x)
+                ids, label, n, sig = columns
+                found = _likely(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), label.to_numpy(), o)
+                keep = pa.array(sorted({k for _, i, j in found for k in (i, j)}), pa.int64())
+                if len(keep):
+                    yield pa.RecordBatch.from_arrays([pa.array([node] * len(keep), pa.int64()), *[c.take(keep) for c in columns]], ["node", "id", "label", "n", "sig"])
+
+    return lists.select("node", "all").mapInArrow(run, "node long, id long, label long, n long, sig binary")
+
+
+def open_links(open_: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
+    """a, b: links between different groups of a node, from its classes' full sets; pairs that links already join are passed over."""
+    lists = open_.join(texts, "id").groupBy("node").agg(F.collect_list(F.struct("id", "label", "n", "sig", "text")).alias("all")).select("all")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for x in _lists(batch.column(0)):
+                ids, label, n, sig, text = _fields(x)
+                ids, label = ids.to_numpy(), label.to_numpy()
+                groups, sets, out = _Groups(), {}, []
+                for _, i, j in _likely(ids, n.to_numpy(), _tokens(sig, o.tokens), label, o):
+                    if groups.top(int(label[i])) == groups.top(int(label[j])):
+                        continue
+                    for k in (i, j):
+                        if k not in sets:
+                            sets[k] = next(textscan.shingle_sets(*textscan.buffers(text.slice(k, 1)), o.words))
+                    if _similar(sets[i], sets[j], o):
+                        groups.join(int(label[i]), int(label[j]))
+                        out.append((int(ids[i]), int(ids[j])))
+                yield _pairs(out)
+
+    return lists.mapInArrow(run, "a long, b long").distinct()
+
+
+def _similar(x: np.ndarray, y: np.ndarray, o: Options) -> bool:
+    both = len(np.intersect1d(x, y, assume_unique=True))
+    return both > 0 and 100 * both >= o.percent * (len(x) + len(y) - both)
 
 
 def star_pairs(members: DataFrame, leaders: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
@@ -191,23 +249,24 @@ def star_pairs(members: DataFrame, leaders: DataFrame, reps: DataFrame, o: Optio
     """
     tokens = reps.select("id", "n", "sig")
     share = lambda size: F.greatest(F.lit(1), F.ceil(F.col(size) / o.leaf)).cast("int")
-    rows = members.join(tokens, "id").select("node", F.pmod(F.xxhash64("id"), share("size")).cast("int").alias("share"), "id", "n", "sig")
+    rows = members.join(tokens, "id").select(F.col("node").alias("node"), F.pmod(F.xxhash64("id"), share("size")).cast("int").alias("share"), "id", "n", "sig")
     sizes = members.groupBy("node").agg(F.max("size").alias("size"))
-    heads = leaders.join(tokens, leaders["leader"] == tokens["id"]).join(sizes, "node").select("node", F.explode(F.sequence(F.lit(0), share("size") - 1)).alias("share"), "id", "n", "sig")
+    heads = leaders.withColumnRenamed("leader", "id").join(tokens, "id").join(sizes, "node")
+    heads = heads.select(F.col("node").alias("node_"), F.explode(F.sequence(F.lit(0), share("size") - 1)).alias("share_"), F.col("id").alias("id_"), F.col("n").alias("n_"), F.col("sig").alias("sig_"))
 
     def run(own: pd.DataFrame, head: pd.DataFrame) -> pd.DataFrame:
         out = []
         if len(own) and len(head):
             ids, n = own["id"].to_numpy(), own["n"].to_numpy()
             sig = np.frombuffer(b"".join(own["sig"]), np.uint32).reshape(-1, o.tokens)
-            for x, k, tokens in zip(head["id"], head["n"], head["sig"]):
+            for x, k, tokens in zip(head["id_"], head["n_"], head["sig_"]):
                 agree = (sig == np.frombuffer(tokens, np.uint32)).sum(axis=1)
                 ok = (agree >= o.likely) & (np.minimum(n, k) * 100 >= np.maximum(n, k) * o.percent) & (ids != x)
                 out += [(min(x, y), max(x, y)) for y in ids[ok].tolist()]
         both = np.array(out, np.int64).reshape(-1, 2)
         return pd.DataFrame({"a": both[:, 0], "b": both[:, 1]})
 
-    return rows.groupBy("node", "share").cogroup(heads.groupBy("node", "share")).applyInPandas(run, "a long, b long").distinct()
+    return rows.groupBy("node", "share").cogroup(heads.groupBy("node_", "share_")).applyInPandas(run, "a long, b long").distinct()
 
 
 def verified(pairs: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
@@ -220,10 +279,7 @@ def verified(pairs: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
             for k in range(0, len(whole), step):
                 batch = whole.slice(k, step)
                 left, right = (textscan.shingle_sets(*textscan.buffers(batch.column(c)), o.words) for c in (2, 3))
-                linked = []
-                for x, y in zip(left, right):
-                    both = len(np.intersect1d(x, y, assume_unique=True))
-                    linked.append(both > 0 and 100 * both >= o.percent * (len(x) + len(y) - both))
+                linked = [_similar(x, y, o) for x, y in zip(left, right)]
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
 
     return rows.mapInArrow(run, "a long, b long, linked boolean")
@@ -235,34 +291,51 @@ def _labelled(members: DataFrame, labels: DataFrame) -> DataFrame:
 
 def nodes(reps: DataFrame, o: Options) -> tuple[DataFrame, DataFrame | None]:
     """node, id, size of the small nodes of all levels, and of the nodes that stay large (None if there are none)."""
-    members, small = dense(roots(reps, o), "nodes"), []
-    for _ in range(o.levels):
+    members, small, large = dense(roots(reps, o), "nodes"), [], []
+    for level in range(o.levels + 1):
         small.append(members.where(F.col("size") <= o.leaf))
-        large = members.where(F.col("size") > o.leaf)
-        if not large.take(1):
-            return reduce(DataFrame.unionByName, small), None
-        members = dense(branched(large.select("node", "id"), reps, o), "nodes")
-    small.append(members.where(F.col("size") <= o.leaf))
-    large = members.where(F.col("size") > o.leaf)
-    return reduce(DataFrame.unionByName, small), large if large.take(1) else None
+        rest = members.where(F.col("size") > o.leaf)
+        if not rest.take(1):
+            break
+        similar = (F.col("size") >= o.stays * F.col("parent")) & (F.col("parent") > 0) if level < o.levels else F.lit(True)
+        large.append(rest.where(similar))
+        again = rest.where(~similar)
+        if not again.take(1):
+            break
+        members = dense(branched(again, reps, o), "nodes")
+    return reduce(DataFrame.unionByName, small), reduce(DataFrame.unionByName, large) if large else None
 
 
 class _Judged:
-    """Pairs that were verified, and the groups that their links make."""
+    """Links that were confirmed, and the groups that they make."""
+
+    def __init__(self, docs: DataFrame, o: Options):
+        self.docs, self.o, self.links, self.labels = docs, o, None, None
 
-    def __init__(self, texts: DataFrame, o: Options):
-        self.texts, self.o, self.pairs, self.labels = texts, o, None, None
+    def texts(self, ids: DataFrame) -> DataFrame:
+        return self.docs.join(ids.select("id").distinct(), "id", "left_semi")
 
-    def add(self, pairs: DataFrame) -> None:
-        fresh = pairs if self.pairs is None else pairs.join(self.pairs, ["a", "b"], "left_anti")
-        new = written(verified(fresh, self.texts, self.o), "verified")
-        self.pairs = new if self.pairs is None else self.pairs.unionByName(new)
-        if self.labels is None or new.where("linked").take(1):
-            self.labels = written(components(self.pairs.where("linked").select("a", "b")), "labels")
+    def add(self, links: DataFrame) -> None:
+        links = written(links, "links")
+        self.links = links if self.links is None else self.links.unionByName(links)
+        if self.labels is None or links.take(1):
+            self.labels = written(components(self.links), "labels")
+
+    def verify(self, pairs: DataFrame) -> None:
+        pairs = written(pairs, "pairs")
+        ids = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id")))
+        self.add(verified(pairs, written(self.texts(ids), "texts"), self.o).where("linked").select("a", "b"))
 
     def mixed(self, members: DataFrame) -> DataFrame:
-        """node of the nodes that hold more than one group."""
-        return written(_labelled(members, self.labels).groupBy("node").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("node"), "mixed")
+        """The nodes that hold more than one group."""
+        found = _labelled(members, self.labels).groupBy("node").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("node")
+        return members.join(found, "node")
+
+    def close(self, members: DataFrame, reps: DataFrame) -> None:
+        """Finds all links that small nodes still lack."""
+        open_ = written(open_members(self.mixed(members), reps, self.labels, self.o), "open")
+        if open_.take(1):
+            self.add(open_links(open_, self.texts(open_), self.o))
 
 
 def links(reps: DataFrame, docs: DataFrame, o: Options) -> DataFrame:
@@ -273,33 +346,26 @@ def links(reps: DataFrame, docs: DataFrame, o: Options) -> DataFrame:
         picks = [F.min_by("id", F.xxhash64("id", "node", F.lit(k))).alias(f"l{k}") for k in range(o.leaders)]
         leaders = large.groupBy("node").agg(*picks).select("node", F.explode(F.array_distinct(F.array(*[f"l{k}" for k in range(o.leaders)]))).alias("leader"))
         pairs = pairs.unionByName(star_pairs(large, leaders, reps, o)).distinct()
-    pairs = written(pairs, "pairs")
-    involved = pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct()
-    judged = _Judged(written(docs.join(involved, "id", "left_semi"), "texts"), o)
-    judged.add(pairs)
-    more = small_pairs(small.join(judged.mixed(small), "node"), reps, o, judged.labels).join(judged.pairs, ["a", "b"], "left_anti")
-    more = written(more, "pairs")
-    if more.take(1):
-        judged.texts = docs
-        judged.add(more)
+    judged = _Judged(docs, o)
+    judged.verify(pairs)
+    judged.close(small, reps)
     level = o.levels
     while large is not None:
         level += 1
-        within = written(_labelled(large.join(judged.mixed(large), "node"), judged.labels), "large")
+        within = written(_labelled(judged.mixed(large).select("node", "id", "size"), judged.labels), "large")
         if not within.take(1):
             break
-        judged.texts = docs
         counts = within.groupBy("node", "label").agg(F.count("*").alias("k"))
         largest = written(counts.groupBy("node").agg(F.max_by("label", F.struct("k", "label")).alias("main"), (F.sum("k") - F.max("k")).alias("others")), "largest")
         final = F.col("others") <= (o.minority if level < o.depth else 1 << 62)
         outside = within.join(largest.where(final), "node").where("label <> main").select("node", F.col("id").alias("leader"))
-        judged.add(star_pairs(within.join(largest.where(final).select("node"), "node"), outside, reps, o))
-        rest = written(within.join(largest.where(~final).select("node"), "node").select("node", "id"), "open")
+        judged.verify(star_pairs(within.join(largest.where(final).select("node"), "node"), outside, reps, o))
+        rest = written(within.join(largest.where(~final).select("node"), "node").select("node", "id", "size"), "open")
         if not rest.take(1):
             break
         members = dense(branched(rest, reps, o), "nodes")
         low, large = members.where(F.col("size") <= o.leaf), members.where(F.col("size") > o.leaf)
-        judged.add(small_pairs(low.join(judged.mixed(low), "node"), reps, o, judged.labels))
+        judged.close(low, reps)
     return judged.labels
 
 
