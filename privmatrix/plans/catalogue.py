@@ -404,7 +404,7 @@ def slice_marginal(spark: SparkSession, d: str) -> DataFrame:
     return publish.marginal(part, 2, [1]).select("lo1", "hi1", F.round("ncount", 5).alias("ncount"))
 
 
-@registered("entries_of_box", f"WITH {oracle.tree('price2', EPS)} SELECT x1, x2, round(ncount / n_entries, 6) AS value FROM b JOIN (SELECT unnest(range(10, 15)) AS x1) ON x1 >= lo1 AND x1 < hi1 JOIN (SELECT unnest(range(200, 240)) AS x2) ON x2 >= lo2 AND x2 < hi2")
+@registered("entries_of_box", f"WITH {oracle.tree('price2', EPS)} SELECT x1::INTEGER AS x1, x2::INTEGER AS x2, round(ncount / n_entries, 6) AS value FROM b JOIN (SELECT unnest(range(10, 15)) AS x1) ON x1 >= lo1 AND x1 < hi1 JOIN (SELECT unnest(range(200, 240)) AS x2) ON x2 >= lo2 AND x2 < hi2")
 def entries_of_box(spark: SparkSession, d: str) -> DataFrame:
     table, spec = matrices.cells(spark, d, "price2")
     return publish.to_entries(experiments.release("even_tree", table, spec, EPS, SALT), 2, [(10, 15), (200, 240)]).select("x1", "x2", six("value"))
