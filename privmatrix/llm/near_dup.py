@@ -141,27 +141,34 @@ class _Groups:
         return a != b
 
 
-def _likely(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray | None, o: Options) -> list[tuple[int, int, int]]:
-    """(minus agreeing tokens, row, row) of a node's likely pairs, between different labels if these are given; the likeliest first."""
+def _likely(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray | None, o: Options) -> np.ndarray:
+    """Rows (i, j) of a node's likely pairs, between different labels if these are given; the likeliest first, then by the smaller ids."""
     order = np.lexsort((ids, n))
     reach = np.searchsorted(n[order] * o.percent, n[order] * 100, "right")  # sets beyond are too large to be similar
-    sorted_sig, found = sig[order], []
+    sorted_sig, found = sig[order], [np.zeros((3, 0), np.int64)]
     for i in range(len(ids) - 1):
         rest = order[i + 1 : reach[i]]
         agree = (sorted_sig[i + 1 : reach[i]] == sorted_sig[i]).sum(axis=1)
         ok = agree >= o.likely
         if label is not None:
             ok &= label[rest] != label[order[i]]
-        for j in np.flatnonzero(ok).tolist():
-            x, y = int(order[i]), int(rest[j])
-            found.append((-int(agree[j]), x, y) if ids[x] < ids[y] else (-int(agree[j]), y, x))
-    return sorted(found, key=lambda p: (p[0], ids[p[1]], ids[p[2]]))
+        rest = rest[ok]
+        if len(rest):
+            found.append(np.stack((-agree[ok], np.full(len(rest), order[i]), rest)))
+    score, i, j = np.concatenate(found, axis=1)
+    i, j = np.where(ids[i] < ids[j], i, j), np.where(ids[i] < ids[j], j, i)
+    return np.stack((i, j), axis=1)[np.lexsort((ids[j], ids[i], score))]
 
 
 def _forest(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, o: Options) -> list[tuple[int, int]]:
     """The pairs of a node that join what can be joined; all pairs of the smallest nodes."""
-    groups, found = _Groups(), _likely(ids, n, sig, None, o)
-    return [(int(ids[i]), int(ids[j])) for _, i, j in found if groups.join(i, j) or len(ids) <= 3]
+    groups, out = _Groups(), []
+    for i, j in _likely(ids, n, sig, None, o).tolist():
+        if groups.join(i, j) or len(ids) <= 3:
+            out.append((int(ids[i]), int(ids[j])))
+            if len(out) >= len(ids) - 1 and len(ids) > 3:
+                break
+    return out
 
 
 def _pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
@@ -169,71 +176,82 @@ def _pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(both.min(axis=1)), pa.array(both.max(axis=1))], ["a", "b"])
 
 
-def _lists(column: pa.Array) -> Iterator[pa.StructArray]:
-    flat, at = column.flatten(), column.offsets.to_numpy() - column.offsets[0].as_py()
-    for a, b in zip(at[:-1].tolist(), at[1:].tolist()):
-        yield flat.slice(a, b - a)
+def _by_node(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[pa.Array]]]:
+    """(node, its other columns) from rows that come sorted by node, the first column; one node's rows are held at a time."""
+    held: list[pa.RecordBatch] = []
 
+    def whole() -> tuple[int, list[pa.Array]]:
+        table = pa.Table.from_batches(held).combine_chunks()
+        return table.column(0)[0].as_py(), [c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c for c in table.columns[1:]]
 
-def _fields(x: pa.StructArray) -> list[pa.Array]:
-    return x.flatten()
+    for batch in batches:
+        node = batch.column(0).to_numpy()
+        cuts = [0, *(np.flatnonzero(node[1:] != node[:-1]) + 1).tolist(), len(node)]
+        for a, b in zip(cuts[:-1], cuts[1:]):
+            if held and b > a and held[0].column(0)[0].as_py() != node[a]:
+                yield whole()
+                held = []
+            if b > a:
+                held.append(batch.slice(a, b - a))
+    if held:
+        yield whole()
+
+
+def _sorted_by_node(rows: DataFrame) -> DataFrame:
+    """Rows of a node together in one task; nodes are bounded by ``leaf``."""
+    return rows.repartition("node").sortWithinPartitions("node")
 
 
 def small_pairs(members: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
-    """a, b: pairs to verify first, of nodes of at most ``leaf`` classes, so each gathered list is bounded."""
-    lists = members.join(reps.select("id", "n", "sig"), "id").groupBy("node").agg(F.collect_list(F.struct("id", "n", "sig")).alias("all")).select("all")
+    """a, b: pairs to verify first, of nodes of at most ``leaf`` classes."""
+    rows = _sorted_by_node(members.join(reps.select("id", "n", "sig"), "id").select("node", "id", "n", "sig"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            out = []
-            for x in _lists(batch.column(0)):
-                ids, n, sig = _fields(x)
-                out += _forest(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), o)
-            yield _pairs(out)
+        out = []
+        for _, (ids, n, sig) in _by_node(batches):
+            out += _forest(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), o)
+            if len(out) > 10_000:
+                yield _pairs(out)
+                out = []
+        yield _pairs(out)
 
-    return lists.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(run, "a long, b long").distinct()
 
 
 def open_members(members: DataFrame, reps: DataFrame, labels: DataFrame, o: Options) -> DataFrame:
     """node, id, label, n, sig of the classes that have a likely pair with another group of their node."""
-    rows = _labelled(members, labels).join(reps.select("id", "n", "sig"), "id")
-    lists = rows.groupBy("node").agg(F.collect_list(F.struct("id", "label", "n", "sig")).alias("all"))
+    rows = _sorted_by_node(_labelled(members, labels).join(reps.select("id", "n", "sig"), "id").select("node", "id", "label", "n", "sig"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for node, x in zip(batch.column(0).to_pylist(), _lists(batch.column(1))):
-                columns = _fields(x)
-                ids, label, n, sig = columns
-                found = _likely(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), label.to_numpy(), o)
-                keep = pa.array(sorted({k for _, i, j in found for k in (i, j)}), pa.int64())
-                if len(keep):
-                    yield pa.RecordBatch.from_arrays([pa.array([node] * len(keep), pa.int64()), *[c.take(keep) for c in columns]], ["node", "id", "label", "n", "sig"])
+        for node, columns in _by_node(batches):
+            ids, label, n, sig = columns
+            keep = pa.array(np.unique(_likely(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), label.to_numpy(), o)))
+            if len(keep):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keep), node)), *[c.take(keep) for c in columns]], ["node", "id", "label", "n", "sig"])
 
-    return lists.select("node", "all").mapInArrow(run, "node long, id long, label long, n long, sig binary")
+    return rows.mapInArrow(run, "node long, id long, label long, n long, sig binary")
 
 
 def open_links(open_: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
     """a, b: links between different groups of a node, from its classes' full sets; pairs that links already join are passed over."""
-    lists = open_.join(texts, "id").groupBy("node").agg(F.collect_list(F.struct("id", "label", "n", "sig", "text")).alias("all")).select("all")
+    rows = _sorted_by_node(open_.join(texts, "id").select("node", "id", "label", "n", "sig", "text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for x in _lists(batch.column(0)):
-                ids, label, n, sig, text = _fields(x)
-                ids, label = ids.to_numpy(), label.to_numpy()
-                groups, sets, out = _Groups(), {}, []
-                for _, i, j in _likely(ids, n.to_numpy(), _tokens(sig, o.tokens), label, o):
-                    if groups.top(int(label[i])) == groups.top(int(label[j])):
-                        continue
-                    for k in (i, j):
-                        if k not in sets:
-                            sets[k] = next(textscan.shingle_sets(*textscan.buffers(text.slice(k, 1)), o.words))
-                    if _similar(sets[i], sets[j], o):
-                        groups.join(int(label[i]), int(label[j]))
-                        out.append((int(ids[i]), int(ids[j])))
-                yield _pairs(out)
+        for _, (ids, label, n, sig, text) in _by_node(batches):
+            ids, label = ids.to_numpy(), label.to_numpy()
+            groups, sets, out = _Groups(), {}, []
+            for i, j in _likely(ids, n.to_numpy(), _tokens(sig, o.tokens), label, o).tolist():
+                if groups.top(int(label[i])) == groups.top(int(label[j])):
+                    continue
+                for k in (i, j):
+                    if k not in sets:
+                        sets[k] = next(textscan.shingle_sets(*textscan.buffers(text.slice(k, 1)), o.words))
+                if _similar(sets[i], sets[j], o):
+                    groups.join(int(label[i]), int(label[j]))
+                    out.append((int(ids[i]), int(ids[j])))
+            yield _pairs(out)
 
-    return lists.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(run, "a long, b long").distinct()
 
 
 def _similar(x: np.ndarray, y: np.ndarray, o: Options) -> bool:
