@@ -11,7 +11,8 @@ their shingles with an item's are fingerprinted: every place of every text is lo
 runs over a text's bounds is cut there.
 
 Words are runs of letters and digits, lower-cased. A text or item of fewer than ``shingle`` words is one shingle; null texts and
-texts without a word never match, nor do such items. Repeated items are reported each. Extra columns are ignored; empty tables
+texts without a word never match, nor do such items. Rows that repeat an item's id and words are one item; rows of one id with other
+words are searched each and reported under the id. Extra columns are ignored; empty tables
 give no hits.
 """
 
@@ -67,8 +68,8 @@ def _blocks(fingerprint: str, radius: int) -> Column:
 
 def hits(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", shingle: int = SHINGLE, threshold: float = THRESHOLD, radius: int = RADIUS) -> DataFrame:
     """doc, item, start (of the best window, in words), similarity: one row for each document and item at or above the threshold."""
-    item = items.select(F.col(item_col).alias("item"), words(F.col(item_text_col)).alias("w")).where(F.size("w") > 0)
-    item = item.withColumn("size", F.size("w")).withColumn("grams", _shingles("w", shingle))
+    item = items.select(F.col(item_col).alias("name"), words(F.col(item_text_col)).alias("w")).where(F.size("w") > 0).distinct()
+    item = written(item.select(F.xxhash64("name", "w").alias("item"), "name", F.size("w").alias("size"), _shingles("w", shingle).alias("grams")), "benchmark-items")
     places = written(item.select("item", "size", F.posexplode("grams").alias("at", "gram")), "benchmark-shingles")
     few = places.count() <= BROADCAST_ROWS
     small = F.broadcast if few else (lambda df: df)
@@ -102,7 +103,8 @@ def hits(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: st
     common = near.join(bags, ["doc", "size", "start"]).join(small(item_bags.select("item", "gram", F.col("n").alias("item_n"))), ["item", "gram"])
     verified = common.groupBy("doc", "size", "start", "item", "window_mass", "item_mass").agg(F.sum(F.least("n", "item_n") * F.col("weight")).alias("both"))
     verified = verified.withColumn("similarity", F.round(F.col("both") / (F.col("window_mass") + F.col("item_mass") - F.col("both")), DIGITS)).where(F.col("similarity") >= threshold)
-    return verified.groupBy("doc", "item").agg(F.max("similarity").alias("similarity"), F.min_by("start", F.struct(-F.col("similarity"), "start")).alias("start"))
+    named = verified.join(small(item.select("item", "name")), "item").select("doc", F.col("name").alias("item"), "start", "similarity")
+    return named.groupBy("doc", "item").agg(F.max("similarity").alias("similarity"), F.min_by("start", F.struct(-F.col("similarity"), "start")).alias("start"))
 
 
 def judged(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
