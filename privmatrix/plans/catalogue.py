@@ -11,10 +11,11 @@ from pyspark.sql import functions as F
 from privmatrix.functions import boxes, budget, measures
 from privmatrix.operators import answer as answering
 from privmatrix.operators import baselines, cells, grids, homogeneity, publish, stops, trajectories, tree
-from privmatrix.plans import experiments, matrices, oracle
+from privmatrix.plans import experiments, matrices, oracle, sqlapi
 from privmatrix.sources import synth, workload
 from privmatrix.sources.spec import DimSpec, MatrixSpec, plain
 from privmatrix.sources.store import written
+from privmatrix.sources.tables import keyed_sample as keyed
 from privmatrix.streaming import daily
 
 SALT = oracle.SALT
@@ -458,3 +459,93 @@ STREAM = MatrixSpec("stream2", (DimSpec("value", "value", 0, 600, 6), DimSpec("k
   WHERE day + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY ALL""")
 def stream_daily_cells(spark: SparkSession, d: str) -> DataFrame:
     return daily.daily_cells(spark, f"{d}/events.parque[t]", STREAM).select(F.to_date("start").alias("day"), "x1", "x2", "f")
+
+
+# --- SQL and fluent surfaces
+
+
+@registered("sql_functions", f"SELECT l_linenumber AS k, round({oracle.laplace('count', '4.0', 'l_linenumber')}, 6) AS noise, round(pow(60000.0 * 0.1 / {math.sqrt(2)!r}, 2.0 / (3 * l_linenumber)), 6) AS m, cast(((l_linenumber + 1) * 3 - 1) // 10 AS INTEGER) AS j FROM (SELECT DISTINCT l_linenumber FROM lineitem)")
+def sql_functions(spark: SparkSession, d: str) -> DataFrame:
+    sqlapi.register(spark)
+    matrices.load(spark, d, "lineitem").select(F.col("l_linenumber").alias("k")).distinct().createOrReplaceTempView("catalogue_lines")
+    return spark.sql("SELECT k, round(laplace_noise('42', 'count', cast(k AS STRING), 4.0D), 6) AS noise, round(granularity_entropy(60000D, 0.1D, k), 6) AS m, even_index(k, 0, 10, 3) AS j FROM catalogue_lines")
+
+
+@registered("sql_grid_boxes", "SELECT cast(a * 50 // 7 AS INTEGER) AS lo1, cast((a + 1) * 50 // 7 AS INTEGER) AS hi1, cast(b * 1000 // 9 AS INTEGER) AS lo2, cast((b + 1) * 1000 // 9 AS INTEGER) AS hi2 FROM (SELECT unnest(range(0, 7)) AS a) CROSS JOIN (SELECT unnest(range(0, 9)) AS b)")
+def sql_grid_boxes(spark: SparkSession, d: str) -> DataFrame:
+    sqlapi.register(spark)
+    return spark.sql("SELECT * FROM grid_boxes(7, 50, 9, 1000)")
+
+
+@registered("sql_split_box", "SELECT r_regionkey::INTEGER AS k, j::INTEGER AS j, cast(j * (r_regionkey * 10 + 7) // 3 AS INTEGER) AS lo, cast((j + 1) * (r_regionkey * 10 + 7) // 3 AS INTEGER) AS hi FROM region CROSS JOIN (SELECT unnest(range(0, 3)) AS j)")
+def sql_split_box(spark: SparkSession, d: str) -> DataFrame:
+    sqlapi.register(spark)
+    matrices.load(spark, d, "region").select(F.col("r_regionkey").cast("int").alias("k")).createOrReplaceTempView("catalogue_regions")
+    return spark.sql("SELECT k, s.j, s.lo, s.hi FROM catalogue_regions, LATERAL split_box(0, k * 10 + 7, 3) s")
+
+
+@registered("sql_answer_view", f"WITH {oracle.grid('price2', 'entropy', EPS)}, q AS ({oracle.random_queries('price2', 200)}) SELECT qid, round(est, 5) AS est FROM ({oracle.answers('b', 'q', 2)})")
+def sql_answer_view(spark: SparkSession, d: str) -> DataFrame:
+    sqlapi.register(spark)
+    table, spec = matrices.cells(spark, d, "price2")
+    text = sqlapi.views(experiments.release("entropy_grid", table, spec, EPS, SALT), workload.random_queries(spark, spec, 200, SALT), 2, "catalogue_")
+    return spark.sql(text).select("qid", F.round("est", 5).alias("est"))
+
+
+@registered("facade_answer", f"WITH {oracle.grid('line3', 'entropy', EPS)}, q AS ({oracle.random_queries('line3', 200)}) SELECT qid, round(est, 5) AS est FROM ({oracle.answers('b', 'q', 3)})")
+def facade_answer(spark: SparkSession, d: str) -> DataFrame:
+    spec = matrices.SPECS["line3"]
+    released = sqlapi.PrivateMatrix(matrices.records(spark, d, "line3"), spec).release("entropy_grid", EPS, SALT)
+    return released.answer(workload.random_queries(spark, spec, 200, SALT)).select("qid", F.round("est", 5).alias("est"))
+
+
+@registered("grouped_counts", f"SELECT x2, cast(((x1 + 1) * 4 - 1) // 10 AS INTEGER) AS j, sum(f)::BIGINT AS f FROM ({oracle.cells('line2')}) GROUP BY ALL")
+def grouped_counts(spark: SparkSession, d: str) -> DataFrame:
+    return sqlapi.grouped_counts(matrices.cells(spark, d, "line2")[0], 4, 10)
+
+
+@registered("compared_releases", f"WITH {oracle.single('line2', EPS, 'p')}, {oracle.grid('line2', 'entropy', EPS, prefix='r')} SELECT lo1, hi1, lo2, hi2, round(pb.ncount, 6) AS a, round(rb.ncount, 6) AS b FROM pb FULL JOIN rb USING (lo1, hi1, lo2, hi2)")
+def compared_releases(spark: SparkSession, d: str) -> DataFrame:
+    table, spec = matrices.cells(spark, d, "line2")
+    both = publish.compared(experiments.release("one_box", table, spec, EPS, SALT), experiments.release("entropy_grid", table, spec, EPS, SALT), 2)
+    return both.select("lo1", "hi1", "lo2", "hi2", six("a"), six("b"))
+
+
+@registered("postprocessed", f"WITH {oracle.grid('line3', 'error', EPS)} SELECT pid, round(greatest(ncount, 0.0) * 1000.0 / (SELECT sum(greatest(ncount, 0.0)) FROM b), 4) AS ncount FROM b")
+def postprocessed(spark: SparkSession, d: str) -> DataFrame:
+    table, spec = matrices.cells(spark, d, "line3")
+    return publish.postprocess(experiments.release("uniform_grid", table, spec, EPS, SALT), nonneg=True, total=1000.0).select("pid", F.round("ncount", 4).alias("ncount"))
+
+
+@registered("keyed_sample", f"SELECT o_orderkey FROM orders ORDER BY {oracle.uniform('sample', 'o_orderkey')}, o_orderkey LIMIT 500")
+def keyed_sample(spark: SparkSession, d: str) -> DataFrame:
+    return keyed(matrices.load(spark, d, "orders"), 500, SALT, "o_orderkey").select("o_orderkey")
+
+
+# --- workloads: rows of methods, budgets and query classes
+
+
+@registered("workload_city")
+def workload_city(spark: SparkSession, d: str) -> DataFrame:
+    """All six methods and three budgets on the skewed clock matrix, random and fixed-coverage queries."""
+    return experiments.city(spark, d, "clock2", SALT, n=200)
+
+
+@registered("workload_od")
+def workload_od(spark: SparkSession, d: str) -> DataFrame:
+    return experiments.od(spark, d, "od4", SALT, n=200)
+
+
+@registered("workload_gaussian")
+def workload_gaussian(spark: SparkSession, d: str) -> DataFrame:
+    return experiments.gaussian(spark, d, 2, SALT, sds=(0.05, 0.2), budgets=(0.1,), n=200)
+
+
+@registered("workload_zipf")
+def workload_zipf(spark: SparkSession, d: str) -> DataFrame:
+    return experiments.zipf(spark, d, 2, SALT, skews=(1.2, 2.0), n=200)
+
+
+@registered("workload_ablations")
+def workload_ablations(spark: SparkSession, d: str) -> DataFrame:
+    return experiments.ablations(spark, d, "clock2", SALT, n=200)
