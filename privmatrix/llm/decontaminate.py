@@ -21,6 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from privmatrix.llm.membership import without
 from privmatrix.llm.store import written
 
 SHINGLE, THRESHOLD = 5, 0.8
@@ -117,4 +118,5 @@ def judged(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", **options)
 
 def clean(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """``docs`` without the documents that hold a benchmark item."""
-    return docs.join(hits(docs, items, id_col, **options).select(F.col("doc").alias("__doc")).distinct(), F.col(id_col) == F.col("__doc"), "left_anti")
+    found = written(hits(docs, items, id_col, **options).select(F.col("doc").alias("id")), "contaminated")
+    return without(docs, found, id_col).select(docs.columns)

@@ -35,6 +35,7 @@ from pyspark.sql import functions as F
 
 from privmatrix.llm import textscan
 from privmatrix.llm.components import components
+from privmatrix.llm.membership import only, without
 from privmatrix.llm.store import written
 
 
@@ -331,7 +332,7 @@ class _Judged:
         self.docs, self.o, self.links, self.labels = docs, o, None, None
 
     def texts(self, ids: DataFrame) -> DataFrame:
-        return self.docs.join(ids.select("id").distinct(), "id", "left_semi")
+        return only(self.docs, ids, "id")
 
     def add(self, links: DataFrame) -> None:
         links = written(links, "links")
@@ -400,5 +401,6 @@ def groups(df: DataFrame, o: Options = Options(), id_col: str = "doc_id", text_c
 
 def kept_only(df: DataFrame, o: Options = Options(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``df`` without the documents that another of their group stands for; of repeated rows of a kept id one stays."""
-    gone = groups(df, o, id_col, text_col).where("NOT kept").select(F.col(id_col).alias("__gone"))
-    return df.join(gone, F.col(id_col) == F.col("__gone"), "left_anti").dropDuplicates([id_col])
+    judged = written(groups(df, o, id_col, text_col).select(F.col(id_col).alias("id"), "kept"), "judged")
+    repeated = judged.groupBy("id").agg(F.count("*").alias("n")).where("n > 1")
+    return without(df, judged.where("NOT kept"), id_col, single=repeated).select(df.columns)
