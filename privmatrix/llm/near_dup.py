@@ -46,7 +46,7 @@ class Options:
     tokens: int = 128
     trees: int = 5
     branches: int = 2
-    leaf: int = 1024
+    leaf: int = 4096
     levels: int = 3
     stays: float = 0.6  # share of its parent's classes from which a large node is taken for a group of similar ones
     leaders: int = 4
@@ -142,36 +142,51 @@ class _Groups:
         return a != b
 
 
-def _likely(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray | None, o: Options) -> np.ndarray:
-    """Rows (i, j) of a node's likely pairs, between different labels if these are given; the likeliest first, then by the smaller ids."""
-    order = np.lexsort((ids, n))
-    reach = np.searchsorted(n[order] * o.percent, n[order] * 100, "right")  # sets beyond are too large to be similar
-    sorted_sig, found = sig[order], [np.zeros((3, 0), np.int64)]
-    for i in range(len(ids) - 1):
-        rest = order[i + 1 : reach[i]]
-        agree = (sorted_sig[i + 1 : reach[i]] == sorted_sig[i]).sum(axis=1)
-        ok = agree >= o.likely
-        if label is not None:
-            ok &= label[rest] != label[order[i]]
-        rest = rest[ok]
-        if len(rest):
-            found.append(np.stack((-agree[ok], np.full(len(rest), order[i]), rest)))
-    score, i, j = np.concatenate(found, axis=1)
-    i, j = np.where(ids[i] < ids[j], i, j), np.where(ids[i] < ids[j], j, i)
-    return np.stack((i, j), axis=1)[np.lexsort((ids[j], ids[i], score))]
+class _Node:
+    """A node's classes in order of set size, so that the sets which may be similar to one lie in a range about it."""
+
+    def __init__(self, ids: np.ndarray, n: np.ndarray, sig: np.ndarray, o: Options):
+        self.order = np.lexsort((ids, n))
+        self.ids, self.n, self.sig, self.likely = ids[self.order], n[self.order], sig[self.order], o.likely
+        self.first = np.searchsorted(self.n * 100, self.n * o.percent, "left").tolist()
+        self.last = np.searchsorted(self.n * o.percent, self.n * 100, "right").tolist()
+
+    def agreeing(self, i: int, start: int | None = None) -> tuple[int, np.ndarray]:
+        """(first place, agreeing tokens from there on) of the sets in range of the i-th."""
+        a = self.first[i] if start is None else start
+        return a, (self.sig[a : self.last[i]] == self.sig[i]).sum(axis=1)
 
 
 def _forest(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, o: Options) -> list[tuple[int, int]]:
-    """The pairs of a node that join what can be joined; all pairs of the smallest nodes."""
-    groups, out = _Groups(), []
-    for i, j in _likely(ids, n, sig, None, o).tolist():
-        if groups.join(i, j) or len(ids) <= 3:
-            out.append((int(ids[i]), int(ids[j])))
-            if len(out) >= len(ids) - 1 and len(ids) > 3:
-                break
+    """The likeliest pairs of a node that join what can be joined: a tree grows by the class nearest to it, until none is likely; then the next."""
+    node, m, out = _Node(ids, n, sig, o), len(ids), []
+    best, parent, waiting = np.full(m, -1), np.zeros(m, np.int64), np.ones(m, bool)
+    for _ in range(m):
+        i = int(np.where(waiting, best, -2).argmax())
+        if best[i] >= node.likely:
+            out.append((int(node.ids[parent[i]]), int(node.ids[i])))
+        waiting[i] = False
+        a, agree = node.agreeing(i)
+        near = slice(a, a + len(agree))
+        closer = (agree > best[near]) | ((agree == best[near]) & (node.ids[i] < node.ids[parent[near]]))
+        best[near][closer] = agree[closer]
+        parent[near][closer] = i
     return out
 
 
+def _open_rows(ids: np.ndarray, n: np.ndarray, sig: np.ndarray, label: np.ndarray, o: Options) -> np.ndarray:
+    """Rows of a node that have a likely pair of another label."""
+    node, found = _Node(ids, n, sig, o), np.zeros(len(ids), bool)
+    label = label[node.order]
+    for i in range(len(ids) - 1):
+        a, agree = node.agreeing(i, i + 1)
+        ok = (agree >= node.likely) & (label[a : a + len(agree)] != label[i])
+        if ok.any():
+            found[i] = True
+            found[a : a + len(agree)] |= ok
+    return np.sort(node.order[found])
+
+
 def _pairs(out: list[tuple[int, int]]) -> pa.RecordBatch:
     both = np.array(out, np.int64).reshape(-1, 2)
     return pa.RecordBatch.from_arrays([pa.array(both.min(axis=1)), pa.array(both.max(axis=1))], ["a", "b"])
@@ -226,7 +241,7 @@ def open_members(members: DataFrame, reps: DataFrame, labels: DataFrame, o: Opti
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for node, columns in _by_node(batches):
             ids, label, n, sig = columns
-            keep = pa.array(np.unique(_likely(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), label.to_numpy(), o)))
+            keep = pa.array(_open_rows(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), label.to_numpy(), o))
             if len(keep):
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keep), node)), *[c.take(keep) for c in columns]], ["node", "id", "label", "n", "sig"])
 
@@ -239,17 +254,22 @@ def open_links(open_: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, (ids, label, n, sig, text) in _by_node(batches):
-            ids, label = ids.to_numpy(), label.to_numpy()
-            groups, sets, out = _Groups(), {}, []
-            for i, j in _likely(ids, n.to_numpy(), _tokens(sig, o.tokens), label, o).tolist():
-                if groups.top(int(label[i])) == groups.top(int(label[j])):
-                    continue
-                for k in (i, j):
-                    if k not in sets:
-                        sets[k] = next(textscan.shingle_sets(*textscan.buffers(text.slice(k, 1)), o.words))
-                if _similar(sets[i], sets[j], o):
-                    groups.join(int(label[i]), int(label[j]))
-                    out.append((int(ids[i]), int(ids[j])))
+            node = _Node(ids.to_numpy(), n.to_numpy(), _tokens(sig, o.tokens), o)
+            label, groups, sets, out = label.to_numpy()[node.order].tolist(), _Groups(), {}, []
+
+            def set_of(k: int, node=node, sets=sets, text=text) -> np.ndarray:
+                if k not in sets:
+                    sets[k] = next(textscan.shingle_sets(*textscan.buffers(text.slice(int(node.order[k]), 1)), o.words))
+                return sets[k]
+
+            for i in range(len(label) - 1):
+                a, agree = node.agreeing(i, i + 1)
+                likely = np.flatnonzero(agree >= node.likely)
+                for j in (a + likely[np.argsort(-agree[likely], kind="stable")]).tolist():
+                    if groups.top(label[i]) != groups.top(label[j]) and _similar(set_of(i), set_of(j), o):
+                        groups.join(label[i], label[j])
+                        out.append((int(node.ids[i]), int(node.ids[j])))
+                sets.pop(i, None)
             yield _pairs(out)
 
     return rows.mapInArrow(run, "a long, b long").distinct()
