@@ -16,7 +16,6 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 CONTEXT_CHARS = 48
-CONTEXT_BONUS = 10
 
 
 @dataclass(frozen=True)
@@ -29,15 +28,19 @@ class Kind:
     needs: str
     score: int
     context: str
+    bonus: int = 10  # for a context word
+    least: int = 0  # a span of a lower score is dropped
 
 
-#: The patterns of the first four kinds are given; the fifth is the grouped form of account numbers.
+#: The patterns of the first four kinds are given; the others are the grouped form of account numbers and hexadecimal
+#: secrets, which only count after a word that announces one.
 KINDS = (
     Kind("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "@", 90, "mail|contact|write|kontakt|correo|courriel"),
     Kind("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", ".", 70, "ip|host|server|address|adresse"),
     Kind("card", r"[0-9]([\x20-]?[0-9])+", r"[0-9](?:[\x20-]?[0-9])++", "", 80, "card|visa|credit|karte|carte|tarjeta"),
     Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", r"\+[0-9][\x20().0-9-]+[0-9]", "+", 60, "call|phone|tel|mobile|fax"),
     Kind("iban", r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?", r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?", "", 95, "iban|account|bank|konto|compte|cuenta"),
+    Kind("secret", r"[0-9A-Fa-f]{32,64}", r"[0-9A-Fa-f]{32,64}", "", 40, "token|secret|password|passwort|api.?key", 50, 60),
 )
 BASE_KINDS = ("email", "ip", "card", "phone")
 
@@ -63,6 +66,8 @@ def _confirmed(kind: str, x: Column) -> Column:
         signs = F.lit("0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZ")
         rest = F.aggregate(F.sequence(F.lit(1), F.length(turned)), F.lit(0), lambda acc, i: _mod97(acc, F.instr(signs, F.substring(turned, i, F.lit(1))) - 1))
         return F.length(plain).between(15, 34) & (rest == 1)
+    if kind == "secret":
+        return x.rlike("[0-9]") & x.rlike("[A-Fa-f]")
     return F.lit(True)
 
 
@@ -85,7 +90,8 @@ def _placed(matches: str, parts: str, order: int, kind: Kind) -> Column:
           acc -> acc.out)""")
     kept = F.filter(placed, lambda x: _confirmed(kind.name, x["text"]))
     near = f"(?i)(?:{kind.context})"
-    return F.transform(kept, lambda x: F.struct(x["start"].alias("start"), F.lit(order).alias("order"), x["stop"].alias("stop"), F.lit(kind.name).alias("kind"), (F.lit(kind.score) + F.when(x["before"].rlike(near), CONTEXT_BONUS).otherwise(0)).alias("score")))
+    scored = F.transform(kept, lambda x: F.struct(x["start"].alias("start"), F.lit(order).alias("order"), x["stop"].alias("stop"), F.lit(kind.name).alias("kind"), (F.lit(kind.score) + F.when(x["before"].rlike(near), kind.bonus).otherwise(0)).alias("score")))
+    return F.filter(scored, lambda x: x["score"] >= kind.least) if kind.least else scored
 
 
 def find(df: DataFrame, text_col: str = "text", out: str = "spans", kinds: tuple[Kind, ...] = KINDS) -> DataFrame:
@@ -147,11 +153,12 @@ def oracle() -> str:
             "card": "length(regexp_replace(x, '[^0-9]', '', 'g')) BETWEEN 14 AND 19 AND list_sum([(CASE WHEN p % 2 = 1 THEN d WHEN d > 4 THEN d * 2 - 9 ELSE d * 2 END) FOR d, p IN list_reverse([cast(c AS INTEGER) FOR c IN string_split(regexp_replace(x, '[^0-9]', '', 'g'), '')])]) % 10 = 0",
             "phone": "length(regexp_replace(x, '[^0-9]', '', 'g')) BETWEEN 10 AND 15",
             "iban": "length(replace(x, ' ', '')) BETWEEN 15 AND 34 AND list_reduce(list_prepend(0, [instr('0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZ', c) - 1 FOR c IN string_split(substring(replace(x, ' ', ''), 5) || substring(replace(x, ' ', ''), 1, 4), '')]), lambda a, b: ((CASE WHEN b < 10 THEN a * 10 ELSE a * 100 END) + b) % 97) = 1",
+            "secret": "regexp_matches(x, '[0-9]') AND regexp_matches(x, '[A-Fa-f]')",
         }[k.name]
         pattern = k.pattern.replace("'", "''").replace("(\\.", "(?:\\.").replace("([\\x20-]", "(?:[\\x20-]")
-        parts.append(f"""SELECT doc_id, {i} AS o, '{k.name}' AS kind, start, start + len(x) AS stop, {k.score} + (CASE WHEN regexp_matches(right(gap, {CONTEXT_CHARS}), '(?i)(?:{k.context})') THEN {CONTEXT_BONUS} ELSE 0 END) AS score
+        parts.append(f"""SELECT * FROM (SELECT doc_id, {i} AS o, '{k.name}' AS kind, start, start + len(x) AS stop, {k.score} + (CASE WHEN regexp_matches(right(gap, {CONTEXT_CHARS}), '(?i)(?:{k.context})') THEN {k.bonus} ELSE 0 END) AS score
           FROM (SELECT doc_id, m[i] AS x, p[i] AS gap, cast(coalesce(list_sum([length(y) FOR y IN p[:i]]), 0) + coalesce(list_sum([length(y) FOR y IN m[:i - 1]]), 0) AS BIGINT) AS start
-            FROM (SELECT doc_id, m, p, unnest(range(1, len(m) + 1)) AS i FROM (SELECT doc_id, regexp_extract_all(t, '{pattern}') AS m, string_split_regex(t, '{pattern}') AS p FROM d))) WHERE {test}""")
+            FROM (SELECT doc_id, m, p, unnest(range(1, len(m) + 1)) AS i FROM (SELECT doc_id, regexp_extract_all(t, '{pattern}') AS m, string_split_regex(t, '{pattern}') AS p FROM d))) WHERE {test}) WHERE score >= {k.least}""")
         columns.append(f"cast(count(*) FILTER (WHERE kind = '{k.name}') AS BIGINT) AS n_{k.name}")
     span = "kind || ':' || start || ':' || stop"
     base = ", ".join(f"'{k}'" for k in BASE_KINDS)
