@@ -77,10 +77,10 @@ def grid_domain(spark: SparkSession, widths: tuple[int, ...], granularity: DataF
     """
     d = len(widths)
     total = reduce(mul, [F.col(f"m{i}").cast("long") for i in range(1, d + 1)])
-    step = 1 << 16
-    # the first range counts blocks of boxes, which a second one, exploded, resolves; both depend on the one row only
+    step = 1 << 14
+    # the one row gives the numbers of blocks of boxes, which are dealt out before each is resolved into its boxes
     blocks = granularity.select("*", total.alias("__n")).select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("__n") - 1) / step))).alias("__b"))
-    number = blocks.select(*[f"m{i}" for i in range(1, d + 1)], F.explode(F.sequence(F.col("__b") * step, F.least((F.col("__b") + 1) * step, F.col("__n")) - 1)).alias("__k"))
+    number = blocks.repartition(max(2, spark.sparkContext.defaultParallelism), "__b").select(*[f"m{i}" for i in range(1, d + 1)], F.explode(F.sequence(F.col("__b") * step, F.least((F.col("__b") + 1) * step, F.col("__n")) - 1)).alias("__k"))
     out, rest = number, F.col("__k")
     columns = []
     for i in range(d, 0, -1):

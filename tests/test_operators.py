@@ -198,6 +198,22 @@ def test_boxes_relations(spark):
     assert boxes.array_view(df.drop("qlo1", "qhi1", "qlo2", "qhi2"), 2).first()["box"][0]["hi"] == 2
 
 
+def test_pandas_variants(spark):
+    from privmatrix.plans import sqlapi
+
+    df = spark.createDataFrame([(0.5,), (2.5,), (None,)], "v double")
+    assert [r[0] for r in df.select(sqlapi.vectorised_index(np.floor)("v")).collect()] == [0, 2, None]
+    errors = spark.createDataFrame([(float(i),) for i in range(40)] + [(None,), (1e9,)], "rel_err double")
+    assert errors.agg(sqlapi.error_summary()("rel_err")).first()[0] == pytest.approx(20.5, abs=1)
+
+
+def test_many_boxes_are_dealt_out(spark):
+    one = spark.createDataFrame([(600, 500)], "m1 int, m2 int")
+    domain = boxes.grid_domain(spark, (1000, 1000), one)
+    assert domain.count() == 300_000 and domain.select("lo1", "lo2").distinct().count() == 300_000
+    assert domain.rdd.getNumPartitions() > 1
+
+
 def test_entropy_values(spark):
     df = spark.createDataFrame([(1,), (1,), (2,)], "f long")
     assert measures.entropy(df).first()[0] == pytest.approx(1.5)
