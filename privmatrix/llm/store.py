@@ -2,33 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+from pyspark.sql import DataFrame
 
-from pyspark.sql import DataFrame, SparkSession
+from privmatrix.sources.store import shared_folder, written
 
-
-def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder; where it is unset, a temporary one in local mode and the warehouse on a cluster."""
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if found:
-        return found
-    if spark.sparkContext.master.startswith("local["):
-        return f"file://{tempfile.gettempdir()}/privmatrix-shared"
-    return spark.conf.get("spark.sql.warehouse.dir")
-
-
-def written(df: DataFrame, what: str) -> DataFrame:
-    """``df`` written as Parquet to the shared folder and read back; the files go when the driver's JVM ends.
-
-    An executor lost later costs a re-read, not a recomputation, and readers get column pruning.
-    """
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/{what}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(hadoop)
-    return spark.read.schema(df.schema).parquet(path)
+__all__ = ["dropped", "shared_folder", "written"]
 
 
 def dropped(df: DataFrame) -> None:
