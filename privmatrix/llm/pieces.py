@@ -36,7 +36,7 @@ META = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 CACHE_CHUNKS = 600_000
 CACHE_PAIRS = 600_000
-BATCH_BYTES = 2_000_000
+BATCH_BYTES = 1_000_000
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, object]]:

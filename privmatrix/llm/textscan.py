@@ -1,6 +1,6 @@
 """Vectorised scanning of Arrow string columns: words, 64-bit word hashes, shingle sets and minwise signatures.
 
-Works on the UTF-8 buffer of a whole record batch, cut into slices of a few MB at document bounds, so memory stays
+Works on the UTF-8 buffer of a whole record batch, cut into slices of about a MB at document bounds, so memory stays
 bounded whatever the batch holds (a single document is always scanned whole).
 """
 
@@ -11,7 +11,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-SLICE_BYTES = 2_000_000
+SLICE_BYTES = 1_000_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BASE_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 _BYTES = np.random.default_rng(20240117).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
