@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from privmatrix.llm import textscan
+
 #: Common words of the languages at hand.
 COMMON_WORDS = frozenset(
     "the of and to in is that it for was on are with as be at by this from or an have not you he she they we had his her but which "
@@ -189,4 +191,4 @@ def main_text(df: DataFrame, html_col: str = "html", out: str = "text") -> DataF
                 text = pa.array([extract(x.as_py()) for x in pages], pa.string())
                 yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + [text], [*kept, out])
 
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(textscan.tidied(run), schema)

@@ -32,10 +32,12 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from privmatrix.llm import textscan
+
 META = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
-CACHE_CHUNKS = 600_000
-CACHE_PAIRS = 600_000
+CACHE_CHUNKS = 300_000
+CACHE_PAIRS = 300_000
 BATCH_BYTES = 1_000_000
 
 
@@ -376,7 +378,7 @@ def _mapped(df: DataFrame, model: bytes, source: str, made: dict[str, T.DataType
                 columns = work(compiled, batch.column(batch.schema.get_field_index(source)))
                 yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + columns, [*kept, *made])
 
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(textscan.tidied(run), schema)
 
 
 _IDS = T.ArrayType(T.IntegerType())
