@@ -55,11 +55,11 @@ def region_filter(spark: SparkSession, d: str) -> DataFrame:
     return cells.build_cells(cells.region(matrices.records(spark, d, "price2"), "l_quantity", "l_linenumber", (25.0, 4.0), 6.0), matrices.SPECS["price2"])
 
 
-@registered("bounded_contributions", f"""SELECT user_id, dy, n FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY {oracle.uniform("sample", "user_id", "dy")}, dy) AS r
+@registered("bounded_contributions", f"""SELECT user_id, cast(dy AS VARCHAR) AS dy, n FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY {oracle.uniform("sample", "user_id", "dy")}, dy) AS r
   FROM (SELECT user_id, ts::DATE AS dy, count(*) AS n FROM events GROUP BY ALL)) WHERE r <= 3""")
 def bounded_contributions(spark: SparkSession, d: str) -> DataFrame:
     days = matrices.events(spark, d).groupBy("user_id", F.col("day").alias("dy")).agg(F.count("*").alias("n"))
-    return cells.bound_contributions(days, "user_id", 3, SALT, "dy")
+    return cells.bound_contributions(days, "user_id", 3, SALT, "dy").withColumn("dy", F.col("dy").cast("string"))
 
 
 @registered("od_legs_lag", f"""SELECT user_id, event_id, fv, k0, value AS to_value, k AS to_k, goes_on FROM (SELECT user_id, event_id, value, k, lag(value) OVER w AS fv, lag(k) OVER w AS k0, lead(ts) OVER w IS NOT NULL AS goes_on
@@ -75,17 +75,17 @@ def close_trips(spark: SparkSession, d: str) -> DataFrame:
     return trajectories.close_trips(matrices.events(spark, d), ["user_id"], seconds, 3600).select("user_id", "event_id", "recent")
 
 
-@registered("od_stops", f"""SELECT * FROM (SELECT user_id, dy, l[1].v AS p0, l[cast(floor((len(l) - 1) * 1 / 2) AS BIGINT) + 1].v AS p1, l[len(l)].v AS p2
+@registered("od_stops", f"""SELECT user_id, cast(dy AS VARCHAR) AS dy, p0, p1, p2 FROM (SELECT user_id, dy, l[1].v AS p0, l[cast(floor((len(l) - 1) * 1 / 2) AS BIGINT) + 1].v AS p1, l[len(l)].v AS p2
   FROM (SELECT user_id, dy, list({{'t': ts, 'e': event_id, 'v': value}} ORDER BY ts, event_id) AS l FROM {oracle._EVENTS} GROUP BY user_id, dy) WHERE len(l) >= 3)""")
 def od_stops(spark: SparkSession, d: str) -> DataFrame:
     trips = trajectories.ordered(matrices.events(spark, d), ["user_id", "day"], ["ts", "event_id"], ["value"])
-    return trajectories.od_records(trips, ["value"], 1).select("user_id", F.col("day").alias("dy"), F.col("p0_value").alias("p0"), F.col("p1_value").alias("p1"), F.col("p2_value").alias("p2"))
+    return trajectories.od_records(trips, ["value"], 1).select("user_id", F.col("day").cast("string").alias("dy"), F.col("p0_value").alias("p0"), F.col("p1_value").alias("p1"), F.col("p2_value").alias("p2"))
 
 
-@registered("semi_frames", f"SELECT user_id, dy, count(*) AS n FROM {oracle._EVENTS} SEMI JOIN (SELECT user_id, dy FROM {oracle._TRAJ6}) t USING (user_id, dy) GROUP BY ALL")
+@registered("semi_frames", f"SELECT user_id, cast(dy AS VARCHAR) AS dy, count(*) AS n FROM {oracle._EVENTS} SEMI JOIN (SELECT user_id, dy FROM {oracle._TRAJ6}) t USING (user_id, dy) GROUP BY ALL")
 def semi_frames(spark: SparkSession, d: str) -> DataFrame:
     whole = matrices.records(spark, d, "traj6").select("user_id", "day")
-    return matrices.events(spark, d).join(whole, ["user_id", "day"], "left_semi").groupBy("user_id", F.col("day").alias("dy")).agg(F.count("*").alias("n"))
+    return matrices.events(spark, d).join(whole, ["user_id", "day"], "left_semi").groupBy("user_id", F.col("day").cast("string").alias("dy")).agg(F.count("*").alias("n"))
 
 
 @registered("marginals_cube", f"SELECT x1, x2, x3, x4, cast(grouping_id(x1, x2, x3, x4) AS BIGINT) AS gid, sum(f)::BIGINT AS f FROM ({oracle.cells('od4')}) GROUP BY GROUPING SETS ((x1, x2), (x1, x3), (x1, x4), (x2, x3), (x2, x4), (x3, x4))")
@@ -114,7 +114,7 @@ def noisy_total(spark: SparkSession, d: str) -> DataFrame:
 
 _RULES = {"entropy": grids.granularity_entropy, "error": grids.granularity_error, "error_r": lambda n, e, d: grids.granularity_error(n, e, d, 0.1), "log": grids.granularity_log}
 _RULE_SQL = " UNION ALL ".join(
-    f"SELECT '{k}' AS rule, {d} AS d, {e!r} AS eps, round({oracle.rule('error' if k == 'error_r' else k, 'n', e * 0.99, d, 0.1 if k == 'error_r' else None)}, 6) AS m FROM n" for k in _RULES for d in range(1, 7) for e in experiments.BUDGETS
+    f"SELECT '{k}' AS rule, {d} AS d, {e!r}::DOUBLE AS eps, round({oracle.rule('error' if k == 'error_r' else k, 'n', e * 0.99, d, 0.1 if k == 'error_r' else None)}, 6) AS m FROM n" for k in _RULES for d in range(1, 7) for e in experiments.BUDGETS
 )
 
 
@@ -131,7 +131,7 @@ def _level_sql() -> str:
         for e in experiments.BUDGETS:
             m0 = f"greatest(1.0, pow(1000000.0 * {e * 0.99!r} / {math.sqrt(2)!r}, {2 / (3 * d)!r}))"
             total = " + ".join(f"pow({m0}, {j / 3!r})" for j in range(1, d + 1))
-            out += [f"SELECT {d} AS d, {e!r} AS eps, {i} AS level, round({e * 0.99!r} * pow({m0}, {i / 3!r}) / ({total}), 9) AS share" for i in range(1, d + 1)]
+            out += [f"SELECT {d} AS d, {e!r}::DOUBLE AS eps, {i} AS level, round({e * 0.99!r} * pow({m0}, {i / 3!r}) / ({total}), 9) AS share" for i in range(1, d + 1)]
     return " UNION ALL ".join(out)
 
 
@@ -248,7 +248,7 @@ def choose_split(spark: SparkSession, d: str) -> DataFrame:
     return chosen.select("cand", F.array_join(F.col("ends").cast("array<string>"), ",").alias("ends"))
 
 
-_PATHS = " UNION ALL ".join(f"SELECT '{m}' AS method, {EPS!r} AS least, {EPS!r} AS most, true AS proven" for m in ("even_tree", "homogeneous_tree"))
+_PATHS = " UNION ALL ".join(f"SELECT '{m}' AS method, {EPS!r}::DOUBLE AS least, {EPS!r}::DOUBLE AS most, true AS proven" for m in ("even_tree", "homogeneous_tree"))
 
 
 @registered("budget_ledger", _PATHS)
@@ -315,7 +315,7 @@ def _ctes(method: str, name: str, eps: float, prefix: str, noisy: bool = True) -
 
 _MRE_NAME, _MRE_N = "line3", 100
 _MRE_CTES = ", ".join(_ctes(m, _MRE_NAME, e, f"{m}{i}") for m in experiments.METHODS for i, e in enumerate(experiments.BUDGETS))
-_MRE_ROWS = " UNION ALL ".join(f"SELECT '{m}' AS method, {e!r} AS eps, truth, est FROM ({oracle.answers(f'{m}{i}b', 'q', 3)}) JOIN t USING (qid)" for m in experiments.METHODS for i, e in enumerate(experiments.BUDGETS))
+_MRE_ROWS = " UNION ALL ".join(f"SELECT '{m}' AS method, {e!r}::DOUBLE AS eps, truth, est FROM ({oracle.answers(f'{m}{i}b', 'q', 3)}) JOIN t USING (qid)" for m in experiments.METHODS for i, e in enumerate(experiments.BUDGETS))
 
 
 @registered("mre_by_method", f"""WITH q AS ({oracle.random_queries(_MRE_NAME, _MRE_N)}), c AS ({oracle.cells(_MRE_NAME)}), t AS ({oracle.truth("c", "q", 3)}), {_MRE_CTES}
@@ -455,10 +455,10 @@ def worked_example(spark: SparkSession, d: str) -> DataFrame:
 STREAM = MatrixSpec("stream2", (DimSpec("value", "value", 0, 600, 6), DimSpec("k", "cast(get_json_object(props, '$.k') as int)", 0, 100, 4)))
 
 
-@registered("stream_daily_cells", """SELECT day, x1, x2, count(*) AS f FROM (SELECT ts::DATE AS day, cast(floor(value * 6 / 600) AS INTEGER) AS x1, cast(floor(cast(json_extract_string(props, '$.k') AS INTEGER) * 4 / 100) AS INTEGER) AS x2 FROM events WHERE value >= 0 AND value < 600)
+@registered("stream_daily_cells", """SELECT cast(day AS VARCHAR) AS day, x1, x2, count(*) AS f FROM (SELECT ts::DATE AS day, cast(floor(value * 6 / 600) AS INTEGER) AS x1, cast(floor(cast(json_extract_string(props, '$.k') AS INTEGER) * 4 / 100) AS INTEGER) AS x2 FROM events WHERE value >= 0 AND value < 600)
   WHERE day + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY ALL""")
 def stream_daily_cells(spark: SparkSession, d: str) -> DataFrame:
-    return daily.daily_cells(spark, f"{d}/events.parque[t]", STREAM).select(F.to_date("start").alias("day"), "x1", "x2", "f")
+    return daily.daily_cells(spark, f"{d}/events.parque[t]", STREAM).select(F.to_date("start").cast("string").alias("day"), "x1", "x2", "f")
 
 
 # --- SQL and fluent surfaces
