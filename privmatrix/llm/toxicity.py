@@ -115,6 +115,7 @@ def train(texts: pa.Array, labels: np.ndarray, epochs: int = 6, rate: float = 0.
     parts = [features(part, at) for _, _, part, at in textscan.slices(data, offsets)]
     docs = [b[x:y] for b, first, _ in parts for x, y in zip(first[:-1].tolist(), first[1:].tolist())]
     language = np.concatenate([p[2] for p in parts])
+    textscan.free_powers()
     draw = np.random.default_rng(seed)
     order = draw.permutation(len(docs))
     hold, fit = order[: len(docs) // 5], order[len(docs) // 5 :]
@@ -123,7 +124,7 @@ def train(texts: pa.Array, labels: np.ndarray, epochs: int = 6, rate: float = 0.
     net = Network(draw.normal(0, 0.05, (len(PREFIXES), BUCKETS, DIM)).astype(np.float32), [draw.normal(0, 0.1, (w, DIM * len(PREFIXES), FILTERS)).astype(np.float32) for w in WIDTHS], [np.full(FILTERS, -0.1, np.float32) for _ in WIDTHS], draw.normal(0.2, 0.05, FILTERS * len(WIDTHS)).astype(np.float32), -1.0, np.zeros(len(_LANGUAGES) + 1))
     toxic, clean = labels[fit].sum(), len(fit) - labels[fit].sum()
     for i in range(len(PREFIXES)):
-        seen = np.zeros((2, BUCKETS))
+        seen = np.zeros((2, BUCKETS), np.float32)
         for d in fit.tolist():
             seen[labels[d]][np.unique(docs[d][:, i])] += 1
         odds = np.log((seen[1] + 0.5) / (toxic + 1)) - np.log((seen[0] + 0.5) / (clean + 1))
@@ -214,8 +215,10 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     if not len(rows):
         return None
     rows = rows.sort_by(id_col).combine_chunks()
-    text = rows[text_col].combine_chunks()
-    return train(text, rows["__label"].to_numpy().astype(np.int64))
+    net = train(rows[text_col].combine_chunks(), rows["__label"].to_numpy().astype(np.int64))
+    del rows
+    textscan.trim()
+    return net
 
 
 def score(df: DataFrame, net: Network | None, text_col: str = "text", out: str = "score") -> DataFrame:
