@@ -318,6 +318,11 @@ class Model:
                     cache[chunk] = ids
             out += ids
 
+    def forget(self) -> None:
+        """Drop the cached paths; a worker outlives its task and may next serve another operator."""
+        self._cache.clear()
+        self._together.clear()
+
     def decode(self, ids: list[int]) -> str:
         """The text of a list of ids: bytes joined, the meta symbol back to a space, the dummy prefix gone."""
         return self.decode_all(np.array(ids, np.int64), np.array([0, len(ids)]))[0].as_py()
@@ -373,10 +378,13 @@ def _mapped(df: DataFrame, model: bytes, source: str, made: dict[str, T.DataType
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         compiled = _compiled(shared.value)
-        for whole in batches:
-            for batch in _slices(whole):
-                columns = work(compiled, batch.column(batch.schema.get_field_index(source)))
-                yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + columns, [*kept, *made])
+        try:
+            for whole in batches:
+                for batch in _slices(whole):
+                    columns = work(compiled, batch.column(batch.schema.get_field_index(source)))
+                    yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + columns, [*kept, *made])
+        finally:
+            compiled.forget()
 
     return df.mapInArrow(textscan.tidied(run), schema)
 
