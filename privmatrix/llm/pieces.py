@@ -36,7 +36,7 @@ from privmatrix.llm import textscan
 
 META = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
-CACHE_CHUNKS = 300_000
+CACHE_CHUNKS = 450_000
 CACHE_PAIRS = 300_000
 BATCH_BYTES = 1_000_000
 
