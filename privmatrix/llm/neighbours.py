@@ -1,9 +1,10 @@
 """Approximate nearest neighbours with balanced posting lists.
 
 Centroids are fitted on a bounded sample by k-means whose assignment charges crowded lists, and joined by an in-memory
-neighbour graph that a beam search walks. Every vector goes to the list of its nearest centroid, and a boundary vector also to the
+neighbour graph that a beam search walks; a query that wants more lists than half the beam is ranked against all centroids. Every vector goes to the list of its nearest centroid, and a boundary vector also to the
 lists whose centroids are nearly as near, unless a chosen list stands between. A query reads the lists whose distance is
-within a ratio of the nearest one's, and at least so many that they hold a multiple of k vectors.
+within a ratio of the nearest one's, and at least so many that they hold a multiple of k vectors. Lists beyond these
+name only entries that are as near as the k + 1 nearest of the sample, which leaves out none of the true k + 1 nearest; a farther entry that would stand in for one missed may change.
 
 Equal vectors are one class: of its members only the k + 1 of smallest id can be among k nearest, so the lists hold classes and
 a vector that a third of all rows share costs one entry. Lists above ``MOST`` entries are dealt out over several tasks, which
@@ -82,6 +83,13 @@ class Index:
         d2 = np.maximum(dist + (x * x).sum(axis=1, keepdims=True), 0)
         return ids, np.sqrt(d2)
 
+    def ranked(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For each row, all centroids and their distances, nearest first."""
+        c = self.centroids
+        d2 = (c * c).sum(axis=1) - 2 * x @ c.T + (x * x).sum(axis=1, keepdims=True)
+        ids = np.argsort(d2, axis=1, kind="stable")
+        return ids, np.sqrt(np.maximum(np.take_along_axis(d2, ids, 1), 0))
+
 
 def fit(x: np.ndarray, lists: int, rounds: int = 8, seed: int = 9) -> Index:
     """Balanced k-means of a sample, and the graph of each centroid's nearest ones (both ways)."""
@@ -143,18 +151,50 @@ def _postings(index, copies: int, ratio: float):
     return run
 
 
-def _probes(index, sizes: np.ndarray, need: int, ratio: float):
+def probed(index: Index, x: np.ndarray, sizes: np.ndarray, need: int, ratio: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """row, list, and whether it is one of the nearest that hold ``need`` entries: the lists within ``ratio`` of each row's nearest one, and the nearest that hold ``need`` entries, however many they are."""
+
+    def wanted(ids: np.ndarray, dist: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        held = np.where(ids >= 0, sizes[np.maximum(ids, 0)], 0)
+        fills = np.cumsum(held, axis=1) - held < need
+        return (ids >= 0) & ((dist <= ratio * dist[:, :1]) | fills), fills
+
+    ids, dist = index.search(x)
+    take, fills = wanted(ids, dist)
+    more = (2 * take.sum(axis=1) > ids.shape[1]) & (ids.shape[1] < len(index.centroids))  # near its width the beam misses some lists, beyond it all
+    take[more] = False
+    row, at = np.nonzero(take)
+    rows, lists, first = [row], [ids[row, at]], [fills[row, at]]
+    if more.any():
+        ids, dist = index.ranked(x[more])
+        take, fills = wanted(ids, dist)
+        row, at = np.nonzero(take)
+        rows.append(np.flatnonzero(more)[row])
+        lists.append(ids[row, at])
+        first.append(fills[row, at])
+    return np.concatenate(rows), np.concatenate(lists), np.concatenate(first)
+
+
+def bounds(x: np.ndarray, known: np.ndarray, most: int) -> np.ndarray:
+    """For each row a distance within which ``most`` of the known entries lie, so that none of its ``most`` nearest is farther."""
+    if len(known) < most:
+        return np.full(len(x), np.inf)
+    d2 = (known * known).sum(axis=1) - 2 * x @ known.T + (x * x).sum(axis=1, keepdims=True)
+    scale = (x * x).sum(axis=1) + (known * known).sum(axis=1).max()
+    return np.sqrt(np.maximum(np.partition(d2, most - 1, axis=1)[:, most - 1], 0) + 1e-4 * scale)  # more than single precision may be off
+
+
+def _probes(index, known, sizes: np.ndarray, need: int, ratio: float, most: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index_ = index.value
         for whole in batches:
             for a in range(0, len(whole), 512):
                 batch = whole.slice(a, 512)
-                ids, dist = index_.search(_matrix(batch.column(1)))
-                held = np.where(ids >= 0, sizes[np.maximum(ids, 0)], 0)
-                before = np.cumsum(held, axis=1) - held
-                row, at = np.nonzero((ids >= 0) & ((dist <= ratio * dist[:, :1]) | (before < need)))
+                x = _matrix(batch.column(1))
+                row, lists, first = probed(index_, x, sizes, need, ratio)
+                bound = np.where(first, np.inf, bounds(x, known.value, most)[row])
                 picked = batch.take(pa.array(row))
-                yield pa.RecordBatch.from_arrays([*picked.columns, pa.array(ids[row, at].astype(np.int32))], [*batch.schema.names, "list"])
+                yield pa.RecordBatch.from_arrays([*picked.columns, pa.array(lists.astype(np.int32)), pa.array(bound.astype(np.float64))], [*batch.schema.names, "list", "bound"])
 
     return run
 
@@ -167,14 +207,15 @@ def _nearest(most: int):
         ids, members = entries["class"].to_numpy(), entries["members"].to_numpy()
         norm, out = (p * p).sum(axis=1), []
         take = min(len(p), most + 16)
-        vectors = np.stack(queries["vector"].to_numpy()).astype(np.float64)
+        vectors, bound = np.stack(queries["vector"].to_numpy()).astype(np.float64), queries["bound"].to_numpy()
         for a in range(0, len(vectors), 256):
             q = vectors[a : a + 256]
             rough = norm - 2 * q @ p.T
             for i, row in enumerate(rough):
                 near = np.argpartition(row, take - 1)[:take]
                 exact = np.sqrt(((p[near] - q[i]) ** 2).sum(axis=1))
-                near, exact = (z[np.lexsort((ids[near], exact))[:most]] for z in (near, exact))
+                order = np.lexsort((ids[near], exact))[:most]
+                near, exact = (z[order[exact[order] <= bound[a + i]]] for z in (near, exact))
                 out.append((queries["class"].iloc[a + i], near, exact))
         near = np.concatenate([n for _, n, _ in out])
         return pd.DataFrame({"query": np.repeat([q for q, _, _ in out], [len(n) for _, n, _ in out]), "entry": ids[near], "members": members[near], "score": np.concatenate([e for _, _, e in out])})
@@ -198,7 +239,8 @@ def search(df: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id",
     if not n:
         return spark.createDataFrame([], result)
     chosen = classes.select("vector").orderBy(F.xxhash64("vector")).limit(sample).toArrow()  # bounded by ``sample``
-    index = spark.sparkContext.broadcast(fit(_matrix(chosen["vector"].combine_chunks()), min(LISTS, -(-n // per_list))))  # LISTS centroids at most
+    known = spark.sparkContext.broadcast(_matrix(chosen["vector"].combine_chunks()))
+    index = spark.sparkContext.broadcast(fit(known.value, min(LISTS, -(-n // per_list))))  # LISTS centroids at most
     entry = T.StructType([*classes.schema.fields, T.StructField("list", T.IntegerType())])
     postings = written(classes.mapInArrow(_postings(index, COPIES, COPY_RATIO), entry), "ann-lists")
     counted = postings.groupBy("list").count().toArrow()  # LISTS rows at most
@@ -210,8 +252,8 @@ def search(df: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id",
     query_ids = asking.join(classes.select("class", "vector"), "vector").select(F.col("id").alias("query_id"), F.col("class").alias("query"))
     query_ids = written(query_ids, "ann-queries")
     wanted = classes.join(query_ids.select(F.col("query").alias("class")).distinct(), "class", "left_semi").select("class", "vector")
-    probe_schema = T.StructType([classes.schema["class"], classes.schema["vector"], T.StructField("list", T.IntegerType())])
-    probes = wanted.mapInArrow(_probes(index, sizes, QUERY_FILL * k, query_ratio), probe_schema).withColumn("share", F.explode(F.sequence(F.lit(0), shares - 1)))
+    probe_schema = T.StructType([classes.schema["class"], classes.schema["vector"], T.StructField("list", T.IntegerType()), T.StructField("bound", T.DoubleType())])
+    probes = wanted.mapInArrow(_probes(index, known, sizes, QUERY_FILL * k, query_ratio, k + 1), probe_schema).withColumn("share", F.explode(F.sequence(F.lit(0), shares - 1)))
     found = probes.groupBy("list", "share").cogroup(dealt.groupBy("list", "share")).applyInPandas(_nearest(k + 1), "query long, entry long, members array<long>, score double")
     best = Window.partitionBy("query").orderBy("score", "entry")
     top = found.groupBy("query", "entry").agg(F.first("members").alias("members"), F.min("score").alias("score")).withColumn("place", F.row_number().over(best)).where(F.col("place") <= k + 1)

@@ -196,6 +196,24 @@ def test_neighbours(spark):
     assert neighbours.search(df.where("false"), F.lit(True)).count() == 0 and neighbours.search(df.where("vec_id = 5001"), F.lit(True)).count() == 0
 
 
+def test_neighbours_probe_all_lists_of_the_rule():
+    draw = np.random.default_rng(3)
+    x = draw.normal(size=(3000, 64)).astype(np.float32)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    index = neighbours.fit(x, 600, rounds=2)
+    sizes = np.full(600, 5)
+    rows, lists, first = neighbours.probed(index, x[:40], sizes, 400, 1.25)
+    d = np.sqrt(((x[:40, None].astype(float) - index.centroids[None]) ** 2).sum(axis=2))
+    for q in range(40):
+        nearest = np.argsort(d[q])
+        want = set(np.flatnonzero(d[q] <= 1.25 * d[q].min() * (1 - 1e-6))) | set(nearest[:80])
+        got = lists[rows == q]
+        assert want <= set(got) and len(set(got)) == len(got) and (d[q][got] <= max(1.25 * d[q].min(), d[q][nearest[79]]) * (1 + 1e-6)).all()
+    assert np.bincount(rows).max() > neighbours.BEAM and (np.bincount(rows, first) == 80).all()
+    exact = np.sort(np.sqrt(((x[:40, None].astype(float) - x[None].astype(float)) ** 2).sum(axis=2)), axis=1)
+    assert (neighbours.bounds(x[:40], x[::2], 11) >= exact[:, 10]).all() and np.isinf(neighbours.bounds(x[:2], x[:10], 11)).all()
+
+
 def test_lm_scores_equal_loops(docs, none):
     words = lm_score.vocabulary(lm_score.count(docs))
     weights = lm_score.train(docs, words, every=2)
