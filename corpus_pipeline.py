@@ -3,8 +3,8 @@
 Every stage takes (spark, docs, sf_dir), works on all that its predecessor kept and returns a DataFrame that is written as Parquet
 and read again before the next one. All but the last return the columns of documents.
 
-Nulls and empty texts pass every stage (they score as clean, equal nothing, hold nothing); repeated rows of one id are
-near-duplicates of each other, and one stays.
+Nulls and empty texts pass every stage (they score as clean, equal nothing, hold nothing). Rows that repeat an id and
+a text are one; rows of one id with different texts, and rows without an id, are judged each by itself.
 """
 
 from __future__ import annotations

@@ -21,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from privmatrix.llm.membership import without
+from privmatrix.llm.membership import row_key, without
 from privmatrix.llm.store import written
 
 SHINGLE, THRESHOLD = 5, 0.8
@@ -116,7 +116,8 @@ def judged(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", **options)
     )
 
 
-def clean(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """``docs`` without the documents that hold a benchmark item."""
-    found = written(hits(docs, items, id_col, **options).select(F.col("doc").alias("id")), "contaminated")
-    return without(docs, found, id_col).select(docs.columns)
+def clean(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """``docs`` without the documents that hold a benchmark item. Rows are judged, not ids, so null and repeated ids do no harm."""
+    rows = docs.withColumn("__row", row_key(id_col, text_col))
+    found = written(hits(rows, items, "__row", text_col, **options).select(F.col("doc").alias("id")), "contaminated")
+    return without(rows, found, "__row").select(docs.columns)

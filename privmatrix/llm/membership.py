@@ -31,6 +31,11 @@ def maybe_in(ids: DataFrame, key: Column, id_col: str = "id") -> Column:
     return F.coalesce(F.call_function("getbit", word, (at % 64).cast("int")) == 1, F.lit(False))
 
 
+def row_key(id_col: str, text_col: str) -> Column:
+    """A row's own key, a 64-bit hash of its id and text; a null and an empty text differ, as do a null id and any other."""
+    return F.xxhash64(F.col(id_col).isNull(), F.col(id_col), F.col(text_col).isNull(), F.col(text_col))
+
+
 def only(df: DataFrame, ids: DataFrame, key: str, id_col: str = "id") -> DataFrame:
     """The rows of ``df`` whose key is in ``ids``."""
     wanted = ids.select(F.col(id_col).cast("long").alias("__wanted")).distinct()

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from privmatrix.llm import textscan
 from privmatrix.llm.components import components
-from privmatrix.llm.membership import only, without
+from privmatrix.llm.membership import only, row_key, without
 from privmatrix.llm.store import written
 
 
@@ -420,7 +420,17 @@ def groups(df: DataFrame, o: Options = Options(), id_col: str = "doc_id", text_c
 
 
 def kept_only(df: DataFrame, o: Options = Options(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``df`` without the documents that another of their group stands for; of repeated rows of a kept id one stays."""
-    judged = written(groups(df, o, id_col, text_col).select(F.col(id_col).alias("id"), "kept"), "judged")
-    repeated = judged.groupBy("id").agg(F.count("*").alias("n")).where("n > 1")
-    return without(df, judged.where("NOT kept"), id_col, single=repeated).select(df.columns)
+    """``df`` without the documents that another of their group stands for; the one of smallest id stays, null ids last.
+
+    Rows are judged, not ids: a row goes by a 64-bit hash of its id and text. Rows that repeat both are one. Rows of null id without a
+    word are never repeats.
+    """
+    rows = df.withColumn("__row", row_key(id_col, text_col))
+    ids = rows.select("__row", F.col(id_col).cast("long").alias("own"))
+    judged = written(groups(rows, o, "__row", text_col).select(F.col("__row").alias("id"), "n_shingles", "component_id"), "judged")
+    distinct = ids.groupBy("__row").agg(F.min("own").alias("own"), F.count("*").alias("n"))
+    known = written(judged.groupBy("id", "component_id").agg(F.max("n_shingles").alias("n_shingles")).join(distinct, F.col("id") == F.col("__row")), "rows")
+    first = known.groupBy("component_id").agg(F.min(F.struct(F.col("own").isNull(), "own", "id"))["id"].alias("first"))
+    gone = known.join(first, known["id"] == first["first"], "left_anti").select("id")
+    repeated = known.where("n > 1 AND (own IS NOT NULL OR n_shingles > 0)").select("id")
+    return without(rows, gone, "__row", single=repeated).select(df.columns)

@@ -42,6 +42,17 @@ def test_decontaminate(spark, docs, none):
     assert decontaminate.clean(docs, items).columns == docs.columns
 
 
+def test_rows_are_judged_not_ids(spark):
+    texts = [f"{w} is the first of seven words that differ {w} and {w}" for w in ("red", "blue", "green", "black", "white")]
+    rows = [(None, texts[0], "a"), (None, texts[1], "b"), (7, texts[2], "c"), (7, texts[3], "d"), (7, texts[3], "e"), (3, texts[2], "f"), (None, texts[2], "g"), (None, None, "h"), (None, None, "i"), (8, None, "j"), (8, None, "k"), (None, texts[4], "l"), (None, texts[4], "m")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    left = sorted((r["doc_id"] or 0, r["text"] or "") for r in near_dup.kept_only(df, near_dup.Options(words=5)).collect())
+    assert left == sorted([(0, texts[0]), (0, texts[1]), (7, texts[3]), (3, texts[2]), (0, ""), (0, ""), (8, ""), (0, texts[4])])
+    items = spark.createDataFrame([(1, texts[1]), (2, texts[3])], "item_id long, text string")
+    clean = sorted(r["source"] for r in decontaminate.clean(df, items).collect())
+    assert clean == [x for _, t, x in rows if t not in (texts[1], texts[3])]
+
+
 def test_pieces(docs, none):
     model = piece_model()
     got = pieces.code(docs, model, out=("spans", "score")).orderBy("doc_id").collect()
