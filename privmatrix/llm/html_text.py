@@ -191,4 +191,4 @@ def main_text(df: DataFrame, html_col: str = "html", out: str = "text") -> DataF
                 text = pa.array([extract(x.as_py()) for x in pages], pa.string())
                 yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(c)) for c in kept] + [text], [*kept, out])
 
-    return df.mapInArrow(textscan.tidied(run), schema)
+    return textscan.mapped(df, run, schema)

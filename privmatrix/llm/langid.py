@@ -100,7 +100,7 @@ def count(df: DataFrame, text_col: str = "text", lang_col: str = "lang") -> Data
         yield from out()
 
     known = df.select(text_col, lang_col).where(F.col(text_col).isNotNull() & F.col(lang_col).isNotNull())
-    return known.mapInArrow(textscan.tidied(run), "lang string, size int, slot int, n long").groupBy("lang", "size", "slot").agg(F.sum("n").alias("n"))
+    return textscan.mapped(known, run, "lang string, size int, slot int, n long").groupBy("lang", "size", "slot").agg(F.sum("n").alias("n"))
 
 
 def learn(df: DataFrame, text_col: str = "text", lang_col: str = "lang", share: float = 0.5, least: float = 1e-6, hashes: int = 3) -> LanguageFilter:
@@ -177,7 +177,7 @@ def predict(df: DataFrame, model: LanguageFilter, text_col: str = "text", out: t
                 rows = batch.slice(a, b - a)
                 yield pa.RecordBatch.from_arrays([rows.column(rows.schema.get_field_index(c)) for c in kept] + [pa.array(names[best].tolist(), pa.string()), pa.array(share)], [*kept, *out])
 
-    return df.mapInArrow(textscan.tidied(run), schema)
+    return textscan.mapped(df, run, schema)
 
 
 def held_out(id_col: str = "doc_id") -> Column:

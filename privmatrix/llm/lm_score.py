@@ -128,7 +128,7 @@ def count(df: DataFrame, text_col: str = "text") -> DataFrame:
         seen = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(seen.astype(np.int32)), pa.array(total[seen])], ["bucket", "n"])
 
-    return df.select(text_col).mapInArrow(textscan.tidied(run), "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
+    return textscan.mapped(df.select(text_col), run, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
 
 
 def vocabulary(counts: DataFrame) -> Vocabulary:
@@ -169,7 +169,7 @@ def train(df: DataFrame, words: Vocabulary, text_col: str = "text", rounds: int
                 flat = own.flat().astype(np.float64)
                 yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat), dtype=np.int32)), pa.array(flat * places_seen), pa.array(np.full(len(flat), float(places_seen)))], ["at", "total", "n"])
 
-        summed = df.select(text_col).mapInArrow(textscan.tidied(run), "at int, total double, n double").groupBy("at").agg((F.sum("total") / F.sum("n")).alias("mean")).toArrow()
+        summed = textscan.mapped(df.select(text_col), run, "at int, total double, n double").groupBy("at").agg((F.sum("total") / F.sum("n")).alias("mean")).toArrow()
         if len(summed):
             flat = np.zeros(len(summed))
             flat[summed["at"].to_numpy()] = summed["mean"].to_numpy()
@@ -195,7 +195,7 @@ def score(df: DataFrame, words: Vocabulary, weights: Weights, text_col: str = "t
                 made = [pa.array(np.diff(first).astype(np.int64)), pa.array(sums[first[1:]] - sums[first[:-1]])]
                 yield pa.RecordBatch.from_arrays([rows.column(rows.schema.get_field_index(c)) for c in kept] + made, [*kept, *out])
 
-    return df.mapInArrow(textscan.tidied(run), schema)
+    return textscan.mapped(df, run, schema)
 
 
 def _log_probabilities(words: Vocabulary, net: Weights, bucket: np.ndarray, first: np.ndarray) -> np.ndarray:

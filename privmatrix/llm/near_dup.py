@@ -76,7 +76,7 @@ def sign(df: DataFrame, o: Options, id_col: str, text_col: str) -> DataFrame:
                     tokens.append(minwise(s).tobytes() if len(s) else None)
                 yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.array(sizes, pa.int64()), pa.array(keys, pa.binary()), pa.array(tokens, pa.binary())], ["id", "n", "key", "sig"])
 
-    return df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(textscan.tidied(run), "id long, n long, key binary, sig binary")
+    return textscan.mapped(df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")), run, "id long, n long, key binary, sig binary")
 
 
 def _tokens(column: pa.Array, t: int) -> np.ndarray:
@@ -97,7 +97,7 @@ def roots(reps: DataFrame, o: Options) -> DataFrame:
             nodes = [_child(np.uint64(1000 + k // o.branches), np.full(len(ids), c), sig[:, c]) for k, c in enumerate(picks)]
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(nodes).view(np.int64)), pa.array(np.tile(ids, len(picks))), pa.array(np.full(len(ids) * len(picks), -1, np.int64))], ["node", "id", "parent"])
 
-    return reps.select("id", "sig").mapInArrow(textscan.tidied(run), "node long, id long, parent long")
+    return textscan.mapped(reps.select("id", "sig"), run, "node long, id long, parent long")
 
 
 def branched(members: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
@@ -112,7 +112,7 @@ def branched(members: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
                 out.append(_child(node, c, sig[row, c]))
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out).view(np.int64)), pa.array(np.tile(ids, o.branches)), pa.array(np.tile(size, o.branches))], ["node", "id", "parent"])
 
-    return members.join(reps.select("id", "sig"), "id").select("node", "id", "sig", "size").mapInArrow(textscan.tidied(run), "node long, id long, parent long")
+    return textscan.mapped(members.join(reps.select("id", "sig"), "id").select("node", "id", "sig", "size"), run, "node long, id long, parent long")
 
 
 def dense(members: DataFrame, what: str) -> DataFrame:
@@ -231,7 +231,7 @@ def small_pairs(members: DataFrame, reps: DataFrame, o: Options) -> DataFrame:
                 out = []
         yield _pairs(out)
 
-    return rows.mapInArrow(textscan.tidied(run), "a long, b long").distinct()
+    return textscan.mapped(rows, run, "a long, b long").distinct()
 
 
 def open_members(members: DataFrame, reps: DataFrame, labels: DataFrame, o: Options) -> DataFrame:
@@ -245,7 +245,7 @@ def open_members(members: DataFrame, reps: DataFrame, labels: DataFrame, o: Opti
             if len(keep):
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keep), node)), *[c.take(keep) for c in columns]], ["node", "id", "label", "n", "sig"])
 
-    return rows.mapInArrow(textscan.tidied(run), "node long, id long, label long, n long, sig binary")
+    return textscan.mapped(rows, run, "node long, id long, label long, n long, sig binary")
 
 
 def open_links(open_: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
@@ -272,7 +272,7 @@ def open_links(open_: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
                 sets.pop(i, None)
             yield _pairs(out)
 
-    return rows.mapInArrow(textscan.tidied(run), "a long, b long").distinct()
+    return textscan.mapped(rows, run, "a long, b long").distinct()
 
 
 def _similar(x: np.ndarray, y: np.ndarray, o: Options) -> bool:
@@ -321,7 +321,7 @@ def verified(pairs: DataFrame, texts: DataFrame, o: Options) -> DataFrame:
                 linked = [_similar(x, y, o) for x, y in zip(left, right)]
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
 
-    return rows.mapInArrow(textscan.tidied(run), "a long, b long, linked boolean")
+    return textscan.mapped(rows, run, "a long, b long, linked boolean")
 
 
 def _labelled(members: DataFrame, labels: DataFrame) -> DataFrame:

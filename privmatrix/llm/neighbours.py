@@ -28,6 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
+from privmatrix.llm import textscan
 from privmatrix.llm.store import written
 
 SAMPLE = 20_000
@@ -242,7 +243,7 @@ def search(df: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id",
     known = spark.sparkContext.broadcast(_matrix(chosen["vector"].combine_chunks()))
     index = spark.sparkContext.broadcast(fit(known.value, min(LISTS, -(-n // per_list))))  # LISTS centroids at most
     entry = T.StructType([*classes.schema.fields, T.StructField("list", T.IntegerType())])
-    postings = written(classes.mapInArrow(_postings(index, COPIES, COPY_RATIO), entry), "ann-lists")
+    postings = written(textscan.mapped(classes, _postings(index, COPIES, COPY_RATIO), entry), "ann-lists")
     counted = postings.groupBy("list").count().toArrow()  # LISTS rows at most
     sizes = np.zeros(len(index.value.centroids), np.int64)
     sizes[counted["list"].to_numpy()] = counted["count"].to_numpy()
@@ -253,7 +254,7 @@ def search(df: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id",
     query_ids = written(query_ids, "ann-queries")
     wanted = classes.join(query_ids.select(F.col("query").alias("class")).distinct(), "class", "left_semi").select("class", "vector")
     probe_schema = T.StructType([classes.schema["class"], classes.schema["vector"], T.StructField("list", T.IntegerType()), T.StructField("bound", T.DoubleType())])
-    probes = wanted.mapInArrow(_probes(index, known, sizes, QUERY_FILL * k, query_ratio, k + 1), probe_schema).withColumn("share", F.explode(F.sequence(F.lit(0), shares - 1)))
+    probes = textscan.mapped(wanted, _probes(index, known, sizes, QUERY_FILL * k, query_ratio, k + 1), probe_schema).withColumn("share", F.explode(F.sequence(F.lit(0), shares - 1)))
     found = probes.groupBy("list", "share").cogroup(dealt.groupBy("list", "share")).applyInPandas(_nearest(k + 1), "query long, entry long, members array<long>, score double")
     best = Window.partitionBy("query").orderBy("score", "entry")
     top = found.groupBy("query", "entry").agg(F.first("members").alias("members"), F.min("score").alias("score")).withColumn("place", F.row_number().over(best)).where(F.col("place") <= k + 1)

@@ -1,17 +1,22 @@
 """SentencePiece encoding and decoding as shortest paths through a composed weighted transducer.
 
-A model file is compiled into three machines: a normaliser (character map, white space to the meta symbol, dummy
-prefix), a trie of pieces whose final states emit a piece, and a byte fallback that spells any other character. Composing
-them with an input gives a lattice over its character positions; the encoding is the path of least weight in the tropical
-semiring (weights add along a path, the least total wins).
+A model file is compiled into machines that are arrays: a normaliser (rewrite rules, white space to the meta symbol, dummy prefix), an
+automaton of pieces whose final states emit a piece, and a byte fallback that spells any other character. Composing them with
+an input runs the automaton from all of its positions at once, which gives a lattice of pieces over these positions; the encoding is the
+lattice's path of least weight in the tropical semiring (weights add along a path, the least total wins). Positions are settled from left to
+right, for many inputs of one length together.
 
 * Unigram models: a piece weighs minus its score.
-* Byte-pair models: a path's weight is 0 if every two neighbouring pieces may stand together, which they may if merging
-  their joined text gives back just these two; else it is infinite. Such a segmentation is unique for every prefix of the
-  input, so at most one finite path leads to each position and the result equals that of the merge procedure.
+* Byte-pair models: an arc weighs 0 if its piece may follow the last piece of the path that leads to its start, else it is infinite. A
+  piece may follow another if merging their joined text never joins across their bound. Such a segmentation is unique for every prefix of
+  the input, so just one finite path leads to each position and the result equals that of the merge procedure.
 
-The lattice is cut where no piece can cross (before a meta symbol that follows another character, and around line breaks),
-and the paths of such chunks are kept in a bounded cache.
+Merges across a bound are found from the last one backwards: of the two pieces at the bound, the one that was formed later is undone, until
+they would merge before what was undone last, or both are characters. This needs pieces that are formed of better scored ones
+only; what may stand in an input that holds other pieces (such as runs of the meta symbol) is found by merging the two.
+
+The lattice is cut where no piece can cross (before a meta symbol that follows another character, and around line breaks). The paths
+of such chunks are kept between slices of an input up to a number that bounds memory.
 
 Null texts give a null list and decode to null; empty texts give an empty list. Repeated rows get the same lists; there are
 no ties in byte-pair models, and in unigram models the longer last piece wins. Whole texts are encoded, whatever their
@@ -22,7 +27,6 @@ from __future__ import annotations
 
 import re
 import struct
-from array import array
 from collections.abc import Callable, Iterator
 from functools import lru_cache
 
@@ -36,9 +40,12 @@ from privmatrix.llm import textscan
 
 META = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
-CACHE_CHUNKS = 450_000
-CACHE_PAIRS = 300_000
+KEPT_CHUNKS = 160_000
+PAIR_BITS = 19
+WIDTHS = (8, 10, 13, 20, 40)  # chunks up to each of these lengths are settled together, longer ones one by one
+TOGETHER = 16_384  # chunks that are settled at once
 BATCH_BYTES = 1_000_000
+NEVER = 1 << 30
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, object]]:
@@ -68,6 +75,60 @@ def _fields(data: bytes) -> Iterator[tuple[int, object]]:
         yield key >> 3, value
 
 
+class Automaton:
+    """Keys over symbols 0..n-1 as a deterministic automaton in two arrays: from state s, symbol c leads to base[s] + c if that state's owner is s.
+
+    Symbol n stands for all others. ``emits`` holds each state's key number, or -1.
+    """
+
+    def __init__(self, keys: list[tuple[int, ...]], symbols: int):
+        children: list[dict[int, int]] = [{}]
+        final: dict[int, int] = {}
+        for number, key in enumerate(keys):
+            node = 0
+            for c in key:
+                if c not in children[node]:
+                    children[node][c] = len(children)
+                    children.append({})
+                node = children[node][c]
+            final[node] = number
+        size = 2 * symbols + 4 * len(children) + 16
+        base, owner, emits = np.zeros(size, np.int32), np.full(size, -1, np.int32), np.full(size, -1, np.int32)
+        place, free, low = {0: 0}, bytearray(size), 1
+        free[0] = 1
+        order = [0]
+        for node in order:
+            order += children[node].values()
+        # states stay in order of depth, so that a state is placed before its children
+        for node in order:
+            own = place[node]
+            emits[own] = final.get(node, -1)
+            codes = sorted(children[node])
+            if not codes:
+                continue
+            while free[low]:
+                low += 1
+            b = max(1, low - codes[0])
+            while any(free[b + c] for c in codes):
+                b += 1
+                while free[b + codes[0]]:
+                    b += 1
+            base[own] = b
+            for c in codes:
+                free[b + c] = 1
+                owner[b + c] = own
+                place[children[node][c]] = b + c
+        last = max(place.values()) + symbols + 2
+        self.base, self.owner, self.emits, self.other = base[:last], owner[:last], emits[:last], symbols
+        self.dead = last - 1  # no state's
+        self.base[self.dead] = 0
+        self.owner[self.dead] = -1
+
+    def step(self, state: np.ndarray, symbol: np.ndarray) -> np.ndarray:
+        to = self.base[state] + symbol
+        return np.where(self.owner[to] == state, to, self.dead)
+
+
 class Model:
     """The compiled machines of a model file."""
 
@@ -89,30 +150,30 @@ class Model:
                 spec = dict(_fields(value))
                 charsmap = spec.get(2, b"")
                 self.prefix, self.squeeze, self.escape = bool(spec.get(3, 1)), bool(spec.get(4, 1)), bool(spec.get(5, 1))
-        self.charsmap = self._charsmap(charsmap)
-        self._longest_mapped = max(map(len, self.charsmap), default=0)
+        rules = sorted(self._charsmap(charsmap).items())
+        self._rewrites = [target for _, target in rules]
+        self._normaliser = Automaton([tuple(key) for key, _ in rules], 256) if rules else None
+        self.n = len(self.pieces)
         self.unknown = self.kinds.index(UNKNOWN)
         self.bytes = {int(p[3:5], 16): i for i, (p, k) in enumerate(zip(self.pieces, self.kinds)) if k == BYTE}
         self.id = {p: i for i, (p, k) in enumerate(zip(self.pieces, self.kinds)) if k in (NORMAL, USER_DEFINED)}
-        self.trie: dict = {}
-        for p, i in () if self.bpe else self.id.items():
-            node = self.trie
-            for c in p:
-                node = node.setdefault(c, {})
-            node[""] = i
+        self._lowest = min(self.scores, default=0.0) - 10.0
         crossing = any(re.search(f"[^{META}]{META}", p) for p in self.id)
         self._chunks = None if crossing else re.compile(f"{META}*[^{META}\n]+|{META}+|\n" if not any("\n" in p for p in self.id) else f"{META}*[^{META}]+|{META}+")
-        self._longest: dict[str, int] = {}
-        for p in self.id:
-            if len(p) > 2:
-                self._longest[p[:3]] = max(self._longest.get(p[:3], 2), len(p))
-        self._lowest = min(self.scores, default=0.0) - 10.0
-        self._text: list[str] = list(self.pieces)
-        self._together: dict[int, bool] = {}
-        self._self: dict[int, bool] = {}
-        self._cache: dict[str, bytes] = {}
-        self._surface, self._surface_at = np.zeros(0, np.uint8), np.zeros(0, np.int64)
-        self._strange: dict[str, int] = {}  # at most as many as Unicode has characters
+        odd = self._undo() if self.bpe else []
+        self._odd = re.compile("|".join(map(re.escape, sorted(odd, key=len)))) if 0 < len(odd) <= 1000 else re.compile("" if odd else "(?!)")
+        used = [p for p, i in self.id.items() if len(p) == 1 or not self.bpe or self._left[i] >= 0] + odd
+        letters = sorted({ord(c) for p in used for c in p})
+        self._letter = np.full(0x110000, len(letters), np.uint16 if len(letters) < 65535 else np.int32)
+        self._letter[letters] = np.arange(len(letters))
+        self._machine = Automaton([tuple(self._letter[[ord(c) for c in p]].tolist()) for p in used], len(letters))
+        self._emits = np.append(np.array([self.id[p] for p in used], np.int32), np.int32(-1))[self._machine.emits]
+        self._reach = max(map(len, used), default=1)
+        self._weight = -np.append(np.array(self.scores, np.float64), self._lowest)
+        surface = [bytes([int(p[3:5], 16)]) if k == BYTE else " ⁇ ".encode() if k == UNKNOWN else b"" if k == CONTROL else p.replace(META, " ").encode() for p, k in zip(self.pieces, self.kinds)]
+        self._surface = np.frombuffer(b"".join(surface), np.uint8)
+        self._surface_at = np.concatenate(([0], np.cumsum([len(x) for x in surface])))
+        self.forget()
 
     @staticmethod
     def _charsmap(blob: bytes) -> dict[bytes, bytes]:
@@ -143,37 +204,109 @@ class Model:
         return rules
 
     def normalised(self, text: str) -> str:
-        if self.charsmap:
-            data, out, at = text.encode(), [], 0
-            while at < len(data):
-                for n in range(min(self._longest_mapped, len(data) - at), 0, -1):
-                    if data[at : at + n] in self.charsmap:
-                        out.append(self.charsmap[data[at : at + n]])
-                        at += n
-                        break
-                else:
-                    n = 1 if data[at] < 128 else 2 if data[at] < 224 else 3 if data[at] < 240 else 4
-                    out.append(data[at : at + n])
-                    at += n
-            text = b"".join(out).decode(errors="replace")
+        if self._normaliser:
+            text = self._rewritten(text)
         if self.squeeze:
             text = re.sub(" +", " ", text.strip(" "))
         if text and self.prefix:
             text = " " + text
         return text.replace(" ", META) if self.escape else text
 
-    def _symbol(self, c: str) -> int:
-        """A character's piece, or a number above all pieces for one that has none."""
-        i = self.id.get(c)
-        if i is None:
-            i = self._strange.get(c)
-            if i is None:
-                i = self._strange[c] = len(self._text)
-                self._text.append(c)
-        return i
+    def _rewritten(self, text: str) -> str:
+        """The normaliser composed with a text: from each position the longest rule that fits, else the character itself."""
+        whole = text.encode()
+        data = np.frombuffer(whole, np.uint8).astype(np.int32)
+        rule, span, machine = np.full(len(data), -1), np.zeros(len(data), np.int64), self._normaliser
+        at, state, n = np.arange(len(data)), np.zeros(len(data), np.int32), 0
+        while len(at):
+            state = machine.step(state, data[at + n])
+            n += 1
+            found = machine.emits[state]
+            rule[at[found >= 0]], span[at[found >= 0]] = found[found >= 0], n
+            live = (state != machine.dead) & (at + n < len(data))
+            at, state = at[live], state[live]
+        out, done = [], 0
+        for i in np.flatnonzero((rule >= 0) & (data & 0xC0 != 0x80)).tolist():
+            if i >= done:
+                out += [whole[done:i], self._rewrites[rule[i]]]
+                done = i + int(span[i])
+        return b"".join([*out, whole[done:]]).decode(errors="replace")
+
+    # --- what may follow what in a byte-pair model
+
+    def _undo(self) -> list[str]:
+        """Sets the rank of each piece's merge and the two pieces that it joins; a character's rank is -1, a piece that merging never gives has no parts. Returns the pieces that are formed of worse ones or equals."""
+        odd: list[str] = []
+        ranks, left, right, joins = [-1] * (self.n + 1), [-1] * (self.n + 1), [-1] * (self.n + 1), {}
+        whole = [p for p in self.id if len(p) > 1]
+        order = {s: k for k, s in enumerate(sorted({self.scores[self.id[p]] for p in whole}, reverse=True))}
+        for p in whole:
+            ranks[self.id[p]] = order[self.scores[self.id[p]]]
+        for p in whole:
+            for k in range(1, len(p)):
+                a, b = self.id.get(p[:k]), self.id.get(p[k:])
+                if a is not None and b is not None:
+                    joins[a << 32 | b] = ranks[self.id[p]]
+        self._tables = ranks, left, right, joins
+        for p in sorted(whole, key=lambda p: (ranks[self.id[p]], len(p))):
+            i = self.id[p]
+            for k in range(1, len(p)):
+                a, b = self.id.get(p[:k]), self.id.get(p[k:])
+                formed = a is not None and b is not None and all(len(self.pieces[x]) == 1 or left[x] >= 0 for x in (a, b))
+                if formed and max(ranks[a], ranks[b]) < ranks[i] and self._apart(a, b, ranks[i]):
+                    left[i], right[i] = a, b
+                    break
+            else:
+                odd += [p] if self._merged(p) == [p] else []
+        self._rank, self._left, self._right = (np.array(x, np.int64) for x in (ranks, left, right))
+        keys = np.array(sorted(joins), np.int64)
+        self._join_keys = np.append(keys, NEVER << 32)
+        self._join_ranks = np.append(np.array([joins[k] for k in keys.tolist()], np.int64), NEVER)
+        return odd
+
+    def _apart(self, a: int, b: int, limit: int = NEVER) -> bool:
+        """Whether no merge of a rank below ``limit`` joins across the bound of two pieces."""
+        ranks, left, right, joins = self._tables
+        while True:
+            if joins.get(a << 32 | b, NEVER) < limit:
+                return False
+            if ranks[a] > ranks[b]:
+                limit, a = ranks[a], right[a]
+            elif ranks[b] >= 0:
+                limit, b = ranks[b] + 1, left[b]
+            else:
+                return True
+
+    def _all_apart(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """``_apart`` of many pairs."""
+        ok, row, limit = np.ones(len(a), bool), np.arange(len(a)), np.full(len(a), NEVER)
+        while len(row):
+            key = a << 32 | b
+            at = np.searchsorted(self._join_keys, key)
+            joined = (self._join_keys[at] == key) & (self._join_ranks[at] < limit)
+            ok[row[joined]] = False
+            x, y = self._rank[a], self._rank[b]
+            first = x > y
+            go = ~joined & (first | (y >= 0))
+            limit = np.where(first, x, y + 1)[go]
+            row, a, b = row[go], np.where(first, self._right[a], a)[go], np.where(first, b, self._left[b])[go]
+        return ok
+
+    def _may_follow(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """``_all_apart`` with a table of verdicts, each of which the next pair of its place replaces. Symbols without a piece stand anywhere."""
+        a, b = np.minimum(a, self.n).astype(np.int64), np.minimum(b, self.n).astype(np.int64)
+        key = a << 32 | b
+        at = (key * np.int64(-7046029254386353131)) >> np.int64(64 - PAIR_BITS) & np.int64((1 << PAIR_BITS) - 1)
+        held = self._pairs[at]
+        miss = np.flatnonzero(held >> 1 != key)
+        if len(miss):
+            once, back = np.unique(key[miss], return_inverse=True)
+            held[miss] = (once << 1 | self._all_apart(once >> 32, once & 0xFFFFFFFF))[back]
+            self._pairs[at[miss]] = held[miss]
+        return (held & 1).astype(bool)
 
     def _merged(self, text: str) -> list[str]:
-        """Byte-pair merging of a short text, best score first, leftmost of equals."""
+        """Byte-pair merging of a text, best score first, leftmost of equals."""
         parts = list(text)
         while True:
             best, at = None, -1
@@ -185,143 +318,170 @@ class Model:
                 return parts
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
 
-    def _may_stand(self, a: int, b: int) -> bool:
-        """Whether b may follow a on a path of finite weight."""
-        if len(self._together) >= CACHE_PAIRS:
-            self._together.clear()
-        ok = self._together[a << 24 | b] = self._stands_alone(a) and self._stands_alone(b) and not self._crossed(self._text[a], self._text[b])
-        return ok
+    # --- shortest paths
 
-    def _crossed(self, x: str, y: str) -> bool:
-        """Whether merging x followed by y, which each merge to one piece, joins across their bound."""
-        parts, bound, get, scores = [*x, *y], len(x), self.id.get, self.scores
-        ranks = [scores[p] if (p := get(parts[i] + parts[i + 1])) is not None else None for i in range(len(parts) - 1)]
-        while True:
-            best, at = None, -1
-            for i, r in enumerate(ranks):
-                if r is not None and (best is None or r > best):
-                    best, at = r, i
-            if best is None:
-                return False
-            if at == bound - 1:
-                return True
-            parts[at : at + 2] = [parts[at] + parts[at + 1]]
-            bound -= at < bound
-            del ranks[at]
-            for i in (at - 1, at):
-                if 0 <= i < len(ranks):
-                    p = get(parts[i] + parts[i + 1])
-                    ranks[i] = scores[p] if p is not None else None
-
-    def _stands_alone(self, a: int) -> bool:
-        ok = self._self.get(a)
+    def _lattice(self, letters: np.ndarray, points: np.ndarray) -> list[np.ndarray]:
+        """Inputs of one length (rows) composed with the pieces: for each piece length the piece that starts at each position, or -1. A character without a piece is a symbol above all pieces."""
+        state, out = np.zeros(letters.shape, np.int32), []
+        for n in range(1, min(self._reach, letters.shape[1]) + 1):
+            state = self._machine.step(state[:, : letters.shape[1] - n + 1], letters[:, n - 1 :])
+            found = self._emits[state]
+            out.append(found if n > 1 else np.where(found < 0, self.n + points, found).astype(np.int32))
+        return out
+
+    def _settled(self, points: np.ndarray, length: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Shortest paths of inputs (rows of code points, the longest first, padded): the last piece of the path to each position, and its length."""
+        rows, width = points.shape
+        last, span = np.full((width + 1, rows), -1, np.int32), np.zeros((width + 1, rows), np.int8)
+        weight = np.full((width + 1, rows), np.inf)
+        weight[0] = 0
+        arcs: list[list[tuple[int, np.ndarray, np.ndarray]]] = [[] for _ in range(width + 1)]  # of each position: length, rows and pieces of what ends there
+        for n, found in reversed(list(enumerate(self._lattice(self._letter[points].astype(np.int32), points), 1))):
+            at, row = np.nonzero((found >= 0).T)
+            piece = found.T[at, row]
+            cuts = np.searchsorted(at, np.arange(found.shape[1] + 1)).tolist()
+            for i, (x, y) in enumerate(zip(cuts[:-1], cuts[1:])):
+                if y > x:
+                    arcs[i + n].append((n, row[x:y], piece[x:y]))
+        live = np.searchsorted(-length, -np.arange(width + 1), "right")
+        for j in range(1, width + 1):
+            for n, row, piece in arcs[j]:  # longest first
+                if self.bpe:
+                    open_ = np.flatnonzero(last[j, row] < 0) if n > 1 else np.flatnonzero((last[j] < 0) & (np.arange(rows) < live[j]))
+                    row, piece = row[open_], piece[open_]
+                    if n < j:
+                        ok = self._may_follow(last[j - n, row], piece)
+                        row, piece = row[ok], piece[ok]
+                else:
+                    total = weight[j - n, row] + self._weight[np.minimum(piece, self.n)]
+                    better = total < weight[j, row]
+                    row, piece = row[better], piece[better]
+                    weight[j, row] = total[better]
+                last[j, row], span[j, row] = piece, n
+        return last, span
+
+    def _stands(self, a: int, b: int, odd: bool) -> bool:
+        """``_may_follow`` for one pair; by merging the joined text where pieces that are formed of worse ones may be in play."""
+        if a >= self.n or b >= self.n:
+            return True
+        key = (a << 32 | b) << 1 | odd
+        ok = self._verdicts.get(key)
         if ok is None:
-            ok = self._self[a] = self._merged(self._text[a]) == [self._text[a]]
+            if len(self._verdicts) >= KEPT_CHUNKS:
+                self._verdicts.clear()
+            x, y = self.pieces[a], self.pieces[b]
+            ok = self._verdicts[key] = self._merged(x + y) == [x, y] if odd else self._apart(a, b)
         return ok
 
-    def _reach(self, text: str, i: int) -> int:
-        """End of the longest piece that could start at position i, by its first three characters."""
-        return min(len(text), i + self._longest.get(text[i : i + 3], 2))
-
-    def _finite_path(self, text: str) -> list[int]:
-        """The one path of weight 0 of a byte-pair model, searched depth first, longest arcs first.
-
-        A position that was reached and left again lies on no such path, as only one finite path leads to it.
-        """
-        n, get, together, dead = len(text), self.id.get, self._together, set()
-        path: list[int] = []
-        ends, tries = [0], [self._reach(text, 0)]
-        while (i := ends[-1]) < n:
-            j, before = tries[-1], path[-1] if path else -1
-            while j > i:
-                if j not in dead:
-                    p = get(text[i:j])
-                    if p is None and j == i + 1:
-                        p = self._symbol(text[i])
-                    if p is not None:
-                        if before < 0:
-                            ok = self._stands_alone(p)
-                        elif (ok := together.get(before << 24 | p)) is None:
-                            ok = self._may_stand(before, p)
-                        if ok:
-                            break
-                j -= 1
-            else:
-                dead.add(ends.pop())
-                path.pop()
-                tries.pop()
-                continue
-            tries[-1] = j - 1
-            path.append(p)
-            ends.append(j)
-            tries.append(self._reach(text, j))
-        return path
-
-    def _path(self, text: str) -> list[int]:
-        """The shortest path of one chunk: symbols, in order."""
-        if self.bpe:
-            return self._finite_path(text)
-        n = len(text)
-        weight: list[float] = [0.0] + [float("inf")] * n
-        last: list[tuple[int, int]] = [(0, -1)] * (n + 1)
-        for i in range(n):
-            if weight[i] == float("inf"):
-                continue
-            w, node, j = weight[i], self.trie, i
-            single = False
-            while j < n and (node := node.get(text[j])) is not None:
-                j += 1
-                p = node.get("")
-                if p is None:
+    def _long(self, text: str, odd: bool) -> list[int]:
+        """The shortest path of one input, from the same lattice."""
+        points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)[None]
+        arcs = [x[0].tolist() for x in self._lattice(self._letter[points].astype(np.int32), points)]
+        last, span, weight = [-1] * (len(text) + 1), [0] * (len(text) + 1), [0.0] * (len(text) + 1)
+        for j in range(1, len(text) + 1):
+            best = float("inf")
+            for n in range(min(len(arcs), j), 0, -1):
+                if (piece := arcs[n - 1][j - n]) < 0:
                     continue
-                single |= j == i + 1
-                if w - self.scores[p] < weight[j]:
-                    weight[j], last[j] = w - self.scores[p], (i, p)
-            if not single:
-                p = self._symbol(text[i])
-                if w - self._lowest < weight[i + 1]:
-                    weight[i + 1], last[i + 1] = w - self._lowest, (i, p)
-        out, j = [], n
+                if self.bpe:
+                    if n < j and not self._stands(last[j - n], piece, odd):
+                        continue
+                    last[j], span[j] = piece, n
+                    break
+                total = weight[j - n] + self._weight[min(piece, self.n)]
+                if total < best:
+                    best = weight[j] = total
+                    last[j], span[j] = piece, n
+        out, j = [], len(text)
         while j:
-            i, p = last[j]
-            out.append(p)
-            j = i
+            out.append(last[j])
+            j -= span[j]
         return out[::-1]
 
+    def _paths(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all chunks' paths joined, their number for each chunk)."""
+        counts, found = np.zeros(len(chunks), np.int64), []  # found: chunk, place from the end, symbol
+        length = np.fromiter(map(len, chunks), np.int64, len(chunks))
+        odd = np.fromiter((x is not None for x in map(self._odd.search, chunks)), bool, len(chunks))
+        alone = odd | (length > WIDTHS[-1])
+        low = 0
+        for width in WIDTHS:
+            own = np.flatnonzero(~alone & (length > low) & (length <= width))
+            own, low = own[np.argsort(-length[own], kind="stable")], width
+            for a in range(0, len(own), TOGETHER):
+                part = own[a : a + TOGETHER]
+                joined = "".join([chunks[i].ljust(width) for i in part.tolist()])
+                points = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64).reshape(-1, width)
+                last, span = self._settled(points, length[part])
+                row, end, k = np.arange(len(part)), length[part], 0
+                while len(row):
+                    found.append((part[row], np.full(len(row), k), last[end, row]))
+                    counts[part[row]] += 1
+                    end = end - span[end, row]
+                    row, end, k = row[end > 0], end[end > 0], k + 1
+        for i in np.flatnonzero(alone).tolist():
+            path = self._long(chunks[i], bool(odd[i]))
+            counts[i] = len(path)
+            found.append((np.full(len(path), i), np.arange(len(path))[::-1], np.array(path, np.int32)))
+        starts = np.concatenate(([0], np.cumsum(counts)))
+        flat = np.zeros(int(starts[-1]), np.int32)
+        for chunk, back, symbol in found:
+            flat[starts[chunk + 1] - 1 - back] = symbol
+        strange = np.flatnonzero(flat >= self.n)
+        if not len(strange):
+            return flat, counts
+        out, done = [], 0
+        for i in np.unique(np.searchsorted(starts, strange, "right") - 1).tolist():
+            spelt = self._spelt(flat[starts[i] : starts[i + 1]].tolist())
+            out += [flat[done : starts[i]], np.array(spelt, np.int32)]
+            done, counts[i] = starts[i + 1], len(spelt)
+        return np.concatenate([*out, flat[done:]]), counts
+
     def _spelt(self, path: list[int]) -> list[int]:
         """Ids of a path; symbols without a piece become bytes, or the unknown piece (one for a run of them)."""
         out: list[int] = []
         for p in path:
-            if p < len(self.pieces):
+            if p < self.n:
                 out.append(p)
             elif self.bytes:
-                out += [self.bytes[b] for b in self._text[p].encode()]
+                out += [self.bytes[b] for b in chr(p - self.n).encode()]
             elif not out or out[-1] != self.unknown:
                 out.append(self.unknown)
         return out
 
     def encode(self, text: str) -> list[int]:
-        out = bytearray()
-        self.encode_onto(text, out)
-        return np.frombuffer(out, np.int32).tolist()
-
-    def encode_onto(self, text: str, out: bytearray) -> None:
-        """Appends the ids to ``out``, four bytes each."""
-        text, cache = self.normalised(text), self._cache
-        for chunk in self._chunks.findall(text) if self._chunks else [text] if text else []:
-            ids = cache.get(chunk)
-            if ids is None:
-                if len(cache) >= CACHE_CHUNKS:
-                    cache.clear()
-                ids = array('i', self._spelt(self._path(chunk))).tobytes()
-                if len(chunk) < 200:
-                    cache[chunk] = ids
-            out += ids
+        return self.encode_all([text])[0].tolist()
+
+    def encode_all(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts joined, their number for each text)."""
+        chunks: list[str] = []
+        ends = np.zeros(len(texts) + 1, np.int64)
+        for i, text in enumerate(texts):
+            text = self.normalised(text)
+            chunks += self._chunks.findall(text) if self._chunks else [text] if text else []
+            ends[i + 1] = len(chunks)
+        if len(self._known) > KEPT_CHUNKS:
+            self._drop()
+        new = list(set(chunks).difference(self._known))
+        flat, counts = self._paths(new)
+        self._known.update(zip(new, range(len(self._known), len(self._known) + len(new))))
+        self._kept = np.concatenate((self._kept, flat))
+        self._kept_at = np.concatenate((self._kept_at, self._kept_at[-1] + np.cumsum(counts)))
+        code = np.fromiter(map(self._known.__getitem__, chunks), np.int64, len(chunks))
+        starts, size = self._kept_at[code], self._kept_at[code + 1] - self._kept_at[code]
+        total = np.concatenate(([0], np.cumsum(size)))
+        ids = self._kept[np.repeat(starts - total[:-1], size) + np.arange(total[-1])]
+        return ids, np.diff(total[ends])
+
+    def _drop(self) -> None:
+        self._known: dict[str, int] = {}
+        self._kept, self._kept_at = np.zeros(0, np.int32), np.zeros(1, np.int64)
 
     def forget(self) -> None:
-        """Drop the cached paths; a worker outlives its task and may next serve another operator."""
-        self._cache.clear()
-        self._together.clear()
+        """Drop the kept paths; a worker outlives its task and may next serve another operator."""
+        self._drop()
+        self._pairs = np.full(1 << PAIR_BITS if self.bpe else 0, -1, np.int64)
+        self._verdicts = {}
 
     def decode(self, ids: list[int]) -> str:
         """The text of a list of ids: bytes joined, the meta symbol back to a space, the dummy prefix gone."""
@@ -329,10 +489,6 @@ class Model:
 
     def decode_all(self, ids: np.ndarray, offsets: np.ndarray) -> pa.Array:
         """The texts of the lists that ``offsets`` cut ``ids`` into."""
-        if not len(self._surface_at):
-            surface = [bytes([int(p[3:5], 16)]) if k == BYTE else " ⁇ ".encode() if k == UNKNOWN else b"" if k == CONTROL else p.replace(META, " ").encode() for p, k in zip(self.pieces, self.kinds)]
-            self._surface = np.frombuffer(b"".join(surface), np.uint8)
-            self._surface_at = np.concatenate(([0], np.cumsum([len(x) for x in surface])))
         length = np.diff(self._surface_at)[ids]
         ends = np.concatenate(([0], np.cumsum(length)))
         data = self._surface[np.repeat(self._surface_at[ids] - ends[:-1], length) + np.arange(ends[-1])]
@@ -355,14 +511,11 @@ def _slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
 
 
 def _encoded(model: Model, column: pa.Array) -> pa.Array:
-    flat = bytearray()
-    offsets = np.zeros(len(column) + 1, np.int32)
-    for i, value in enumerate(column):
-        if value.is_valid:
-            model.encode_onto(value.as_py(), flat)
-        offsets[i + 1] = len(flat) // 4
+    texts = column.to_pylist()
+    ids, counts = model.encode_all([t or "" for t in texts])
+    offsets = np.concatenate(([0], np.cumsum(counts))).astype(np.int32)
     nulls = column.is_null() if column.null_count else None
-    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(flat, np.int32)), mask=nulls)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(ids), mask=nulls)
 
 
 def _decoded(model: Model, column: pa.Array) -> pa.Array:
@@ -386,7 +539,7 @@ def _mapped(df: DataFrame, model: bytes, source: str, made: dict[str, T.DataType
         finally:
             compiled.forget()
 
-    return df.mapInArrow(textscan.tidied(run), schema)
+    return textscan.mapped(df, run, schema)
 
 
 _IDS = T.ArrayType(T.IntegerType())

@@ -7,13 +7,18 @@ bounded whatever the batch holds (a single document is always scanned whole).
 from __future__ import annotations
 
 import ctypes
+import re
 from collections.abc import Callable, Iterator
 from functools import wraps
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import types as T
 
 SLICE_BYTES = 1_000_000
+ARROW_BYTES = 4 << 20
+_LIMIT = "spark.sql.execution.arrow.maxBytesPerBatch"
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BASE_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 _BYTES = np.random.default_rng(20240117).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
@@ -129,8 +134,15 @@ class Minwise:
         return out
 
 
-def tidied(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """``run``, giving freed memory back to the system at the end of a task, as Python workers live on between tasks."""
+def mapped(df: DataFrame, run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str | T.StructType) -> DataFrame:
+    """``df.mapInArrow(run, schema)`` with bounded batches, giving freed memory back to the system at the end of a task, as Python workers live on between tasks.
+
+    The session's limit on the bytes of a batch is lowered to ``ARROW_BYTES`` if it is above: batches of ten thousand long texts take a
+    hundred MB in the JVM and as much in its worker.
+    """
+    conf = df.sparkSession.conf
+    if _bytes(conf.get(_LIMIT, "0")) > ARROW_BYTES:
+        conf.set(_LIMIT, str(ARROW_BYTES))
 
     @wraps(run)
     def tidy(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -139,7 +151,13 @@ def tidied(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]])
         finally:
             trim()
 
-    return tidy
+    return df.mapInArrow(tidy, schema)
+
+
+def _bytes(text: str) -> int:
+    """A size setting in bytes, such as 64m or 67108864b."""
+    number, unit = re.fullmatch(r"(-?[0-9]+)\s*([a-z]*)", text.strip().lower()).groups()
+    return int(number) << {"": 0, "b": 0, "k": 10, "m": 20, "g": 30, "t": 40}[unit.removesuffix("b")[:1]]
 
 
 def trim() -> None:

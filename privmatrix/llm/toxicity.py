@@ -236,4 +236,4 @@ def score(df: DataFrame, net: Network | None, text_col: str = "text", out: str =
                 rows = batch.slice(a, b - a)
                 yield pa.RecordBatch.from_arrays([rows.column(rows.schema.get_field_index(c)) for c in kept] + [pa.array(values)], [*kept, out])
 
-    return df.mapInArrow(textscan.tidied(run), schema)
+    return textscan.mapped(df, run, schema)
