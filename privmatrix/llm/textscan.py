@@ -141,7 +141,7 @@ def mapped(df: DataFrame, run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.
     hundred MB in the JVM and as much in its worker.
     """
     conf = df.sparkSession.conf
-    if _bytes(conf.get(_LIMIT, str(ARROW_BYTES))) > ARROW_BYTES:
+    if _bytes(conf.get(_LIMIT)) > ARROW_BYTES:
         conf.set(_LIMIT, str(ARROW_BYTES))
 
     @wraps(run)
