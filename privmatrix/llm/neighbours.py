@@ -11,7 +11,8 @@ a vector that a third of all rows share costs one entry. Lists above ``MOST`` en
 all see the list's queries.
 
 Vectors that are null, zero, of another length than most, or hold null or non-finite components take no part, neither as
-query nor as candidate. Ties go to the smaller id; an id that occurs twice is two rows. An empty table gives an empty result.
+query nor as candidate. Ties go to the smaller id, those at a list's last place included. An id that occurs twice is two rows: each is a candidate of
+the other, rows of one id with different vectors are queries of their own under that id, and rows that repeat both are one query. An empty table gives an empty result.
 Extra columns are ignored.
 """
 
@@ -207,13 +208,14 @@ def _nearest(most: int):
         p = np.stack(entries["vector"].to_numpy()).astype(np.float64)
         ids, members = entries["class"].to_numpy(), entries["members"].to_numpy()
         norm, out = (p * p).sum(axis=1), []
-        take = min(len(p), most + 16)
+        place = min(len(p), most) - 1
         vectors, bound = np.stack(queries["vector"].to_numpy()).astype(np.float64), queries["bound"].to_numpy()
         for a in range(0, len(vectors), 256):
             q = vectors[a : a + 256]
             rough = norm - 2 * q @ p.T
+            slack = 1e-9 * (norm.max() + (q * q).sum(axis=1))  # more than double precision may be off
             for i, row in enumerate(rough):
-                near = np.argpartition(row, take - 1)[:take]
+                near = np.flatnonzero(row <= np.partition(row, place)[place] + slack[i])  # ties at the last place too
                 exact = np.sqrt(((p[near] - q[i]) ** 2).sum(axis=1))
                 order = np.lexsort((ids[near], exact))[:most]
                 near, exact = (z[order[exact[order] <= bound[a + i]]] for z in (near, exact))
@@ -228,7 +230,8 @@ def search(df: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id",
     """query_id, rank, vec_id, score: the k nearest found of every row that ``is_query`` picks, itself left out."""
     spark = df.sparkSession
     result = "query_id long, rank int, vec_id long, score double"
-    rows = df.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<float>").alias("vector"), is_query.alias("asks"))
+    single = df.schema[vector_col].dataType.simpleString() in ("array<float>", "array<tinyint>", "array<smallint>")
+    rows = df.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<float>" if single else "array<double>").alias("vector"), is_query.alias("asks"))
     dim = rows.where("vector IS NOT NULL").agg(F.mode(F.size("vector"), True)).first()[0]
     if dim is None:
         return spark.createDataFrame([], result)
@@ -251,13 +254,15 @@ def search(df: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id",
     dealt = postings.withColumn("share", (F.pmod(F.xxhash64("class"), shares)).cast("int"))
     asking = rows.where("asks").select("id", "vector")
     query_ids = asking.join(classes.select("class", "vector"), "vector").select(F.col("id").alias("query_id"), F.col("class").alias("query"))
-    query_ids = written(query_ids, "ann-queries")
+    query_ids = written(query_ids.distinct(), "ann-queries")
     wanted = classes.join(query_ids.select(F.col("query").alias("class")).distinct(), "class", "left_semi").select("class", "vector")
     probe_schema = T.StructType([classes.schema["class"], classes.schema["vector"], T.StructField("list", T.IntegerType()), T.StructField("bound", T.DoubleType())])
     probes = textscan.mapped(wanted, _probes(index, known, sizes, QUERY_FILL * k, query_ratio, k + 1), probe_schema).withColumn("share", F.explode(F.sequence(F.lit(0), shares - 1)))
     found = probes.groupBy("list", "share").cogroup(dealt.groupBy("list", "share")).applyInPandas(_nearest(k + 1), "query long, entry long, members array<long>, score double")
     best = Window.partitionBy("query").orderBy("score", "entry")
     top = found.groupBy("query", "entry").agg(F.first("members").alias("members"), F.min("score").alias("score")).withColumn("place", F.row_number().over(best)).where(F.col("place") <= k + 1)
-    pairs = query_ids.join(top, "query").select("query_id", F.explode("members").alias("vec_id"), "score").where("vec_id <> query_id")
-    ranked = Window.partitionBy("query_id").orderBy("score", "vec_id")
+    at = F.when(F.col("entry") == F.col("query"), F.array_position("members", F.col("query_id"))).otherwise(0).cast("int")
+    others = F.when(at > 0, F.concat(F.slice("members", F.lit(1), at - 1), F.slice("members", at + 1, F.size("members")))).otherwise(F.col("members"))
+    pairs = query_ids.join(top, "query").select("query_id", "query", F.explode(others).alias("vec_id"), "score")
+    ranked = Window.partitionBy("query_id", "query").orderBy("score", "vec_id")
     return pairs.withColumn("rank", F.row_number().over(ranked)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
