@@ -74,9 +74,9 @@ def op9_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    words = lm_score.vocabulary(lm_score.count(docs))
+    words = lm_score.vocabulary(lm_score.count(docs), docs)
     scored = lm_score.score(docs, words, lm_score.train(docs, words))
-    return scored.select("doc_id", "n_words", "log_prob", F.coalesce(F.try_divide("log_prob", F.col("n_words").cast("double")), F.lit(0.0)).alias("per_word"))
+    return scored.select("doc_id", "n_words", "log_prob", "log_unigram", F.coalesce(F.try_divide("log_prob", F.col("n_words").cast("double")), F.lit(0.0)).alias("per_word"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op1_near_dup": op1_near_dup, "op2_decontaminate": op2_decontaminate, "op3_pieces": op3_pieces, "op4_urls": op4_urls, "op5_language": op5_language, "op6_pii": op6_pii, "op7_html": op7_html, "op8_toxicity": op8_toxicity, "op9_neighbours": op9_neighbours, "op10_lm": op10_lm}

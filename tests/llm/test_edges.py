@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from privmatrix.llm import decontaminate, html_text, langid, lm_score, near_dup, neighbours, pieces, pii, toxicity, url_filter
-from privmatrix.llm.queries import piece_model
+from privmatrix.llm.queries import PIECE_MODEL, piece_model
 
 TEXTS = [None, "", "   \n\t", "a", "one two three", "the cat sat on the mat and the dog ran to the park with a ball", "the cat sat on the mat and the dog ran to the park with a ball", "x" * 50_000, "word " * 20_000, "naïve café — 日本語 😀 ​", "!!! ??? 123"]
 
@@ -79,8 +79,28 @@ def test_unigram_paths_are_shortest():
             return min([-s + best(t[len(w):]) for w, s in words.items() if t.startswith(w)] + [-model._lowest + best(t[1:])])  # noqa: E203
 
         chunk = model.normalised(text)
-        cost = sum(-model.scores[p] if p < len(model.pieces) else -model._lowest for p in model._path(chunk))
-        assert cost == pytest.approx(best(chunk))
+        cost = sum(-model.scores[p] if p < model.n else -model._lowest for p in model._long(chunk, False))
+        assert cost == pytest.approx(best(chunk)) and model._paths([chunk])[0].tolist() == model._spelt(model._long(chunk, False))
+
+
+def test_normaliser_rewrites_longest_rules():
+    model = pieces.Model(b"\x0a\x09\x0a\x05<unk>\x18\x02")
+    model._rewrites, model._normaliser = [b"1", b"2", b""], pieces.Automaton([tuple(b"ab"), tuple(b"abc"), tuple("é".encode())], 256)
+    assert model._rewritten("xababcé日éab") == "x12日1" and model._rewritten("") == ""
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_pieces_of_odd_texts_equal_the_library(seed):
+    import sentencepiece
+
+    library, model = sentencepiece.SentencePieceProcessor(model_file=PIECE_MODEL), pieces.Model(piece_model())
+    draw = np.random.default_rng(seed)
+    signs = [*"aaeinorst  ▁\n\t.,0129-_", "  ", "the", "ing", "日", "é", "😀", "\u200b", "aaaa"]
+    texts = ["".join(draw.choice(signs, draw.integers(0, n))) for n in (3, 10, 60, 400, 3000) for _ in range(20)] + [" " * k + "x" for k in range(40)] + ["ab" * 200, "\n\n \n"]
+    ids, counts = model.encode_all(texts)
+    cuts = np.concatenate(([0], np.cumsum(counts)))
+    for i, t in enumerate(texts):
+        assert ids[cuts[i] : cuts[i + 1]].tolist() == library.encode(t), t
 
 
 def test_url_filter(spark):
@@ -207,6 +227,32 @@ def test_neighbours(spark):
     assert neighbours.search(df.where("false"), F.lit(True)).count() == 0 and neighbours.search(df.where("vec_id = 5001"), F.lit(True)).count() == 0
 
 
+def test_neighbours_ties_and_repeated_ids(spark):
+    """63 vectors at one distance from the query: the smallest ids are due. Of an id's two rows each is the other's candidate."""
+    around = [(i, [1.0 if k == i else 0.0 for k in range(64)]) for i in range(1, 64)]
+    df = spark.createDataFrame([(100, [1.0] + [0.0] * 63), *reversed(around)], "vec_id long, embedding array<float>")
+    got = sorted((r["rank"], r["vec_id"], r["score"]) for r in neighbours.search(df, F.col("vec_id") == 100, per_list=20).collect())
+    assert [(k, v) for k, v, _ in got] == [(k, k) for k in range(1, 11)] and all(x == np.sqrt(2.0) for _, _, x in got)
+    rows = [(7, [1.0, 0.0]), (7, [1.0, 0.0]), (7, [0.0, 1.0]), (8, [1.0, 1.0])]
+    twice = neighbours.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), F.col("vec_id") == 7)
+    assert sorted((r["rank"], r["vec_id"], round(r["score"], 6)) for r in twice.collect()) == sorted([(1, 7, 0.0), (2, 8, 1.0), (3, 7, 1.414214)] + [(1, 8, 1.0), (2, 7, 1.414214), (3, 7, 1.414214)])
+
+
+def test_neighbours_recall_on_the_given_table(spark):
+    df = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
+    table = df.select("vec_id", "embedding").toArrow()
+    ids, x = table["vec_id"].to_numpy(), np.array(table["embedding"].to_pylist(), np.float64)
+    got = {}
+    for r in neighbours.search(df, F.col("vec_id") % 20 == 0, per_list=50).collect():
+        got.setdefault(r["query_id"], set()).add(r["vec_id"])
+    asked = np.flatnonzero(ids % 20 == 0)
+    want = {}
+    for q in asked:
+        order = [k for k in np.lexsort((ids, ((x - x[q]) ** 2).sum(axis=1))) if k != q][:10]
+        want[int(ids[q])] = {int(ids[k]) for k in order}
+    assert np.mean([len(got[q] & want[q]) / 10 for q in want]) >= 0.95
+
+
 def test_neighbours_probe_all_lists_of_the_rule():
     draw = np.random.default_rng(3)
     x = draw.normal(size=(3000, 64)).astype(np.float32)
@@ -226,8 +272,8 @@ def test_neighbours_probe_all_lists_of_the_rule():
 
 
 def test_lm_scores_equal_loops(docs, none):
-    words = lm_score.vocabulary(lm_score.count(docs))
-    weights = lm_score.train(docs, words, every=2)
+    words = lm_score.vocabulary(lm_score.count(docs), docs)
+    weights = lm_score.train(docs, words)
     got = lm_score.score(docs, words, weights).dropDuplicates(["doc_id"]).orderBy("doc_id").collect()
     for r in got:
         tokens = re.findall(rb"[^\x20\x09-\x0D]+", (r["text"] or "").encode())
@@ -239,11 +285,28 @@ def test_lm_scores_equal_loops(docs, none):
         total = 0.0
         for k in range(len(bucket)):
             around = [words.symbol[bucket[k + s]] if 0 <= k + s < len(bucket) else lm_score.OWN for s in (-2, -1, 1, 2)]
-            z = weights.hidden(np.array([around]))[1] @ weights.parts[3] + weights.parts[4]
-            p = np.exp(z[0].astype(float)) / np.exp(z[0].astype(float)).sum()
+            h = np.append(sum(weights.embedding[j][c] for j, c in enumerate(around)), 1.0)
+            z = np.exp((weights.out @ h).astype(float))
+            p = z / z.sum()
             total += np.log(p[words.label[bucket[k]]]) + words.log_share[bucket[k]]
         assert r["log_prob"] == pytest.approx(total, rel=1e-4)
     assert got[0]["log_prob"] == 0.0 and got[1]["n_words"] == 0
-    share = np.bincount(words.label, np.exp(words.log_share.astype(float)), lm_score.OWN + lm_score.SHARED)
-    assert share == pytest.approx(np.ones(len(share)), abs=1e-4)
-    assert lm_score.score(none, words, weights).count() == 0 and lm_score.vocabulary(lm_score.count(none)).class_prior.sum() == pytest.approx(1)
+    share = np.bincount(words.label, np.exp(words.log_share.astype(float)), lm_score.CLASSES)
+    assert share[np.bincount(words.label, minlength=lm_score.CLASSES) > 0] == pytest.approx(1, rel=0.01)
+    assert lm_score.score(none, words, weights).count() == 0 and lm_score.vocabulary(lm_score.count(none), none).class_prior.sum() == pytest.approx(1)
+
+
+def test_lm_gain_and_dealing(spark):
+    """Context is worth half a nat a word at least over frequencies alone, each round adds to it, and scores don't depend on partitions."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").persist()
+
+    def scored(df, rounds=lm_score.ROUNDS):
+        words = lm_score.vocabulary(lm_score.count(df), df)
+        return {r["doc_id"]: r for r in lm_score.score(df, words, lm_score.train(df, words, rounds=rounds)).drop("text").collect()}
+
+    def per_word(rows, c):
+        return sum(r[c] for r in rows.values()) / sum(r["n_words"] for r in rows.values())
+
+    start, one, dealt = scored(docs, 0), scored(docs), scored(docs.repartition(7))
+    assert per_word(one, "log_prob") > per_word(start, "log_prob") > per_word(one, "log_unigram") + 0.5
+    assert all(dealt[i]["log_prob"] == pytest.approx(one[i]["log_prob"], rel=1e-5, abs=1e-5) for i in one)
