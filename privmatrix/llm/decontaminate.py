@@ -1,33 +1,37 @@
 """Benchmark decontamination, with DataFrame functions only.
 
-For every benchmark item, windows of the item's number of words are fingerprinted (64-bit SimHash of their weighted word
-shingles). Fingerprints are cut into one block more than the search radius has bits, so any two within the radius agree on a whole
+For every benchmark item, windows of the item's number of words are fingerprinted (128-bit SimHash of their words, each as often as it
+occurs). Fingerprints are cut into one block more than the search radius has bits, so any two within the radius agree on a whole
 block: joining windows and items of the same size on (block number, block value) finds all of them. What is within the radius is
-verified by the exact weighted Jaccard similarity of the shingles; a shingle weighs its number of occurrences times the logarithm of
+verified by the exact weighted Jaccard similarity of the word shingles; a shingle weighs its number of occurrences times the logarithm of
 one plus the number of items over the number of items that hold it.
 
-A window without a shingle in common with any item cannot reach a similarity above 0, so only windows that align one of
-their shingles with an item's are fingerprinted: every place of every text is looked up among the items' shingles. A window that
-runs over a text's bounds is cut there.
+An edited word changes one feature of a fingerprint but several shingles, so windows at a similarity of 0.8 to an item differ from it in 8 to 17
+of 128 bits on average. The radius of 22 leaves out few of them (a test measures how many), while of unrelated fingerprints two fifths
+share a block. A window without a shingle in common with any item cannot reach a similarity above 0, so only windows that align
+one of their shingles with an item's are fingerprinted: every place of every text is looked up among the items' shingles. Only
+positions are joined there; words are fetched for the texts that hold a window. A window that runs over a text's bounds is cut there.
 
 Words are runs of letters and digits, lower-cased. A text or item of fewer than ``shingle`` words is one shingle; null texts and
 texts without a word never match, nor do such items. Rows that repeat an item's id and words are one item; rows of one id with other
-words are searched each and reported under the id. Extra columns are ignored; empty tables
+words are searched each and reported under the id, on both sides. Extra columns are ignored; empty tables
 give no hits.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from privmatrix.llm.membership import row_key, without
+from privmatrix.llm.membership import only, row_key, without
 from privmatrix.llm.store import written
 
 SHINGLE, THRESHOLD = 5, 0.8
-RADIUS = 19
-BITS = 64
-BROADCAST_ROWS = 1_000_000  # of items' shingles (40 bytes each); beyond it they are joined by a shuffle
+RADIUS = 22
+HASHES, BITS = 2, 64
+BROADCAST_ROWS = 1_000_000  # of items' shingles and blocks (40 bytes each); beyond it they are joined by a shuffle
 DIGITS = 9
 
 
@@ -35,8 +39,13 @@ def words(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda x: x != "")
 
 
+def _coded(text: Column) -> Column:
+    """64-bit hashes of a text's words, in order."""
+    return F.transform(words(text), lambda x: F.xxhash64(x))
+
+
 def _grams(w: str, n: int) -> Column:
-    """Hashes of the n-word shingles of the array column w, in order; a shingle's length is part of its hash."""
+    """Hashes of the n-word shingles of the array column w of coded words, in order; a shingle's length is part of its hash."""
     each = ", ".join(f"{w}[i + {j}]" if j else f"{w}[i]" for j in range(n))
     return F.expr(f"transform(sequence(0, size({w}) - {n}), i -> xxhash64({n}, {each}))")
 
@@ -49,60 +58,66 @@ def _shingles(w: str, k: int) -> Column:
     return out
 
 
-def _fingerprint(hash_col: str, weight: Column) -> list[Column]:
-    return [F.sum(F.when(F.expr(f"getbit({hash_col}, {b})") == 1, weight).otherwise(-weight)).alias(f"__b{b}") for b in range(BITS)]
+def _fingerprints(words_: DataFrame, keys: list[str], prefix: str = "fp") -> DataFrame:
+    """keys, fp0, fp1 from rows (keys, word): a bit is set if most words' hashes set it. A sum counts the words of two bits, one in each half."""
+    hashed = words_.select(*keys, *[F.expr(f"xxhash64({i}, word)").alias(f"__h{i}") for i in range(HASHES)])
+    counted = hashed.groupBy(*keys).agg(F.count("*").alias("__n"), *[F.expr(f"sum(shiftrightunsigned(__h{i}, {b}) & 4294967297L)").alias(f"__{i}_{b}") for i in range(HASHES) for b in range(BITS // 2)])
+    set_ = "if(({0}) * 2 > __n, {1}L, 0L)".format
+    packed = [" | ".join(set_(f"__{i}_{b} & 4294967295L", 1 << b) + " | " + set_(f"shiftrightunsigned(__{i}_{b}, 32)", _signed(1 << b + BITS // 2)) for b in range(BITS // 2)) for i in range(HASHES)]
+    return counted.select(*keys, *[F.expr(x).alias(f"{prefix}{i}") for i, x in enumerate(packed)])
 
 
-def _packed() -> Column:
-    out = F.lit(0).cast("long")
-    for b in range(BITS):
-        out = out.bitwiseOR(F.when(F.col(f"__b{b}") > 0, F.expr(f"shiftleft(1L, {b})")).otherwise(F.lit(0).cast("long")))
-    return out
+def _signed(mask: int) -> int:
+    return mask - (1 << BITS) if mask >> BITS - 1 else mask
 
 
-def _blocks(fingerprint: str, radius: int) -> Column:
-    """radius + 1 blocks: block k holds every (radius + 1)-th bit from bit k."""
-    masks = [sum(1 << b for b in range(k, BITS, radius + 1)) for k in range(radius + 1)]
-    signed = [m - (1 << 64) if m >> 63 else m for m in masks]
-    return F.array(*[F.struct(F.lit(k).alias("no"), F.col(fingerprint).bitwiseAND(F.lit(m).cast("long")).alias("value")) for k, m in enumerate(signed)])
+def _blocks(prefix: str, radius: int) -> Column:
+    """radius + 1 blocks: block k holds every (radius + 1)-th bit from bit k on of the fingerprint."""
+    own = [[_signed(sum(1 << b for b in range(BITS) if (i * BITS + b) % (radius + 1) == k)) for i in range(HASHES)] for k in range(radius + 1)]
+    each = ", ".join(f"named_struct('no', {k}, " + ", ".join(f"'value{i}', {prefix}{i} & {m}L" for i, m in enumerate(masks)) + ")" for k, masks in enumerate(own))
+    return F.expr(f"array({each})")
 
 
 def hits(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", shingle: int = SHINGLE, threshold: float = THRESHOLD, radius: int = RADIUS) -> DataFrame:
     """doc, item, start (of the best window, in words), similarity: one row for each document and item at or above the threshold."""
-    item = items.select(F.col(item_col).alias("name"), words(F.col(item_text_col)).alias("w")).where(F.size("w") > 0).distinct()
-    item = written(item.select(F.xxhash64("name", "w").alias("item"), "name", F.size("w").alias("size"), _shingles("w", shingle).alias("grams")), "benchmark-items")
+    item = items.select(F.col(item_col).alias("name"), _coded(F.col(item_text_col)).alias("w")).where(F.size("w") > 0).distinct()
+    item = written(item.select(F.xxhash64("name", "w").alias("item"), "name", "w", F.size("w").alias("size"), _shingles("w", shingle).alias("grams")), "benchmark-items")
     places = written(item.select("item", "size", F.posexplode("grams").alias("at", "gram")), "benchmark-shingles")
-    few = places.count() <= BROADCAST_ROWS
+    n_items = item.count()
+    few = places.count() + (radius + 1) * n_items <= BROADCAST_ROWS
     small = F.broadcast if few else (lambda df: df)
-    total = item.select(F.count("*").alias("items"))
-    weights = places.select("gram", "item").distinct().groupBy("gram").agg(F.count("*").alias("df")).join(F.broadcast(total)).select("gram", F.log(1 + F.col("items") / F.col("df")).alias("weight"))
-    weights = written(weights.join(F.broadcast(total)), "benchmark-weights")
+    weights = places.select("gram", "item").distinct().groupBy("gram").agg(F.log(1 + F.lit(float(n_items)) / F.count("*")).alias("weight"))
+    weights = written(weights, "benchmark-weights")
     item_bags = places.groupBy("item", "size", "gram").agg(F.count("*").alias("n")).join(weights, "gram")
     anchors = places.select("gram", "size", "at").distinct()
 
-    doc = docs.select(F.col(id_col).alias("doc"), words(F.col(text_col)).alias("w")).where(F.size("w") > 0)
+    texts = docs.select(F.col(id_col).alias("doc"), row_key(id_col, text_col).alias("row"), F.col(text_col).alias("text"))
+    split = texts.select("row", _coded(F.col("text")).alias("w"))
     lengths = [r[0] for r in places.where(F.col("size") < shingle).select("size").distinct().collect()]  # at most shingle - 1 rows
-    looked = [doc.where(F.size("w") >= n).select("doc", "w", F.posexplode(_grams("w", n)).alias("pos", "gram")) for n in [shingle, *sorted(lengths)]]
-    looked.append(doc.where(F.size("w") < shingle).select("doc", "w", F.posexplode(_shingles("w", shingle)).alias("pos", "gram")))
-    windows = None
-    for part in looked:
-        low, high = F.greatest(F.col("pos") - F.col("at"), F.lit(0)), F.least(F.col("pos") - F.col("at") + F.col("size"), F.size("w"))
-        cut = part.join(small(anchors), "gram").select("doc", "size", low.alias("start"), F.slice("w", low + 1, high - low).alias("w"))
-        windows = cut if windows is None else windows.unionByName(cut)
-    windows = windows.groupBy("doc", "size", "start").agg(F.first("w").alias("w"))
-    bags = windows.select("doc", "size", "start", F.explode(_shingles("w", shingle)).alias("gram")).groupBy("doc", "size", "start", "gram").agg(F.count("*").alias("n"))
-    default = F.log(1 + F.lit(places.select("item").distinct().count()).cast("double"))
-    bags = written(bags.join(small(weights.select("gram", "weight")), "gram", "left").withColumn("weight", F.coalesce("weight", default)), "window-shingles")
-
+    looked = [split.select("row", F.size("w").alias("len"), F.posexplode(_shingles("w", shingle)).alias("pos", "gram"))]
+    looked += [split.where(F.size("w") > n).select("row", F.size("w").alias("len"), F.posexplode(_grams("w", n)).alias("pos", "gram")) for n in sorted(lengths)]
+    low, high = F.greatest(F.col("pos") - F.col("at"), F.lit(0)), F.least(F.col("pos") - F.col("at") + F.col("size"), F.col("len"))
+    spans = reduce(DataFrame.unionByName, [part.join(small(anchors), "gram").select("row", "size", low.alias("start"), high.alias("stop")) for part in looked])
+    spans = written(spans.distinct(), "window-places")
+    held = only(texts, spans, "row", "row").dropDuplicates(["row"]).select("doc", "row", _coded(F.col("text")).alias("w"))
+    cut = spans.join(held, "row").select("doc", "row", "size", "start", F.slice("w", F.col("start") + 1, F.col("stop") - F.col("start")).alias("w"))
+    cut = written(cut, "windows")
+
+    keys = ["doc", "row", "size", "start"]
+    bags = cut.select(*keys, F.explode(_shingles("w", shingle)).alias("gram")).groupBy(*keys, "gram").agg(F.count("*").alias("n"))
+    bags = written(bags.join(small(weights), "gram", "left").withColumn("weight", F.coalesce("weight", F.lit(0.0) + F.log(F.lit(1.0 + n_items)))), "window-shingles")
     mass = F.col("n") * F.col("weight")
-    window_prints = bags.groupBy("doc", "size", "start").agg(F.sum(mass).alias("window_mass"), *_fingerprint("gram", mass)).select("doc", "size", "start", "window_mass", _packed().alias("fp"))
-    item_prints = item_bags.groupBy("item", "size").agg(F.sum(mass).alias("item_mass"), *_fingerprint("gram", mass)).select("item", "size", "item_mass", _packed().alias("item_fp"))
-    left = window_prints.select("*", F.explode(_blocks("fp", radius)).alias("block"))
-    right = item_prints.select("*", F.explode(_blocks("item_fp", radius)).alias("block"))
-    near = left.join(small(right), ["size", "block"]).where(F.bit_count(F.col("fp").bitwiseXOR(F.col("item_fp"))) <= radius)
-    near = near.select("doc", "size", "start", "window_mass", "item", "item_mass").distinct()
-    common = near.join(bags, ["doc", "size", "start"]).join(small(item_bags.select("item", "gram", F.col("n").alias("item_n"))), ["item", "gram"])
-    verified = common.groupBy("doc", "size", "start", "item", "window_mass", "item_mass").agg(F.sum(F.least("n", "item_n") * F.col("weight")).alias("both"))
+    window_mass = bags.groupBy(*keys).agg(F.sum(mass).alias("window_mass"))
+    item_mass = item_bags.groupBy("item").agg(F.sum(mass).alias("item_mass"))
+
+    left = _fingerprints(cut.select(*keys, F.explode("w").alias("word")), keys).select("*", F.explode(_blocks("fp", radius)).alias("block"))
+    right = _fingerprints(item.select("item", "size", F.explode("w").alias("word")), ["item", "size"], "own")
+    right = written(right.select("*", F.explode(_blocks("own", radius)).alias("block")), "benchmark-blocks")
+    apart = sum((F.bit_count(F.col(f"fp{i}").bitwiseXOR(F.col(f"own{i}"))) for i in range(HASHES)), F.lit(0))
+    near = left.join(small(right), ["size", "block"]).where(apart <= radius).select(*keys, "item").distinct()
+    common = near.join(bags, keys).join(small(item_bags.select("item", "gram", F.col("n").alias("item_n"))), ["item", "gram"])
+    both = common.groupBy(*keys, "item").agg(F.sum(F.least("n", "item_n") * F.col("weight")).alias("both"))
+    verified = both.join(window_mass, keys).join(small(item_mass), "item")
     verified = verified.withColumn("similarity", F.round(F.col("both") / (F.col("window_mass") + F.col("item_mass") - F.col("both")), DIGITS)).where(F.col("similarity") >= threshold)
     named = verified.join(small(item.select("item", "name")), "item").select("doc", F.col("name").alias("item"), "start", "similarity")
     return named.groupBy("doc", "item").agg(F.max("similarity").alias("similarity"), F.min_by("start", F.struct(-F.col("similarity"), "start")).alias("start"))

@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from privmatrix.llm import components, near_dup, pieces
+from privmatrix.llm import components, decontaminate, near_dup, pieces
 from privmatrix.llm.queries import ORACLES, PIECE_MODEL, QUERIES, piece_model
 
 DATA = "/root/testdata/sf0.01"
@@ -64,6 +64,56 @@ def test_near_dup_equals_brute_force(documents, options):
     assert {r["doc_id"]: r["component_id"] for r in got} == want and all(r["n_shingles"] == sizes[r["doc_id"]] for r in got)
 
 
+def brute_hits(rows, items, k=5):
+    """Best weighted similarity of every item with every window of its size (cut at a text's bounds), at 0.8 or more."""
+    def words(t):
+        return [w for w in re.split(r"[\W_]+", (t or "").lower()) if w]
+
+    def bag(w):
+        return collections.Counter(tuple(w[i : i + k]) for i in range(len(w) - k + 1)) if len(w) >= k else collections.Counter([tuple(w)] if w else [])
+
+    split = {i: words(t) for i, t in items}
+    bags = {i: bag(w) for i, w in split.items() if w}
+    held, out = collections.Counter(g for b in bags.values() for g in b), {}
+    weigh = lambda g: np.log(1 + len(bags) / held[g]) if g in held else np.log(1 + len(bags))
+    for i, t in rows:
+        w = words(t)
+        own = set(bag(w))
+        for j, b in bags.items():
+            n, mass = len(split[j]), sum(c * weigh(g) for g, c in b.items())
+            for a in range(1 - n, len(w)) if not own.isdisjoint(b) or n < k else ():
+                window = bag(w[max(a, 0) : a + n])
+                both = sum(min(c, b[g]) * weigh(g) for g, c in window.items())
+                similarity = round(both / (mass + sum(c * weigh(g) for g, c in window.items()) - both), 9) if both else 0
+                if similarity >= 0.8:
+                    out[i, j] = max(similarity, out.get((i, j), 0))
+    return out
+
+
+def test_decontaminate_equals_brute_force(spark, documents):
+    items = spark.read.parquet(f"{DATA}/benchmark.parquet").select("item_id", "text")
+    want = brute_hits([(r[0], r[1]) for r in documents.select("doc_id", "text").collect()], [(r[0], r[1]) for r in items.collect()])
+    got = {(r["doc"], r["item"]): r["similarity"] for r in decontaminate.hits(documents, items).collect()}
+    assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k], abs=1e-8) for k in want)
+
+
+def test_decontaminate_recall_of_edited_passages(spark):
+    """Items with words replaced, put in and left out, from 0.8 up: all but one of a hundred at most are within the radius."""
+    items, draw = [(r[0], r[1]) for r in spark.read.parquet("/root/testdata/sf0.1/benchmark.parquet").select("item_id", "text").collect()], np.random.default_rng(5)
+    rows = []
+    for i in range(1500):
+        w = items[draw.integers(len(items))][1].split()
+        at, n = int(draw.integers(0, len(w))), int(draw.integers(1, 5))
+        new = [f"zz{x}" for x in draw.integers(0, 1 << 30, n)]
+        w = [w[:at] + new + w[at + n :], w[:at] + new + w[at:], w[:at] + w[at + n :]][i % 3]
+        rows.append((i, " ".join([f"a{x}" for x in draw.integers(0, 1 << 30, 60)] + w + [f"b{x}" for x in draw.integers(0, 1 << 30, 60)])))
+    want = brute_hits(rows, items)
+    got = {(r["doc"], r["item"]) for r in decontaminate.hits(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    near = [k for k, s in want.items() if s < 0.9]
+    print("recall", len(got) / len(want), sum(k in got for k in near) / len(near), len(near))
+    assert got <= want.keys() and len(near) > 100 and len(got) >= 0.99 * len(want) and sum(k in got for k in near) >= 0.99 * len(near)
+
+
 def test_components(spark):
     draw = np.random.default_rng(2)
     pairs = [(i, i + 1) for i in range(60)] + [(100, 101), (101, 100), (200, 200)] + [tuple(map(int, draw.integers(300, 400, 2))) for _ in range(60)]
