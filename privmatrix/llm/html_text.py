@@ -1,9 +1,12 @@
 """Main text of HTML pages by two passes over their blocks.
 
-A tolerant tokeniser cuts a page into blocks at block-level tags. Pass one decides blocks by where they stand (menus, footers,
-forms, adverts and the like are out, an article's own blocks are in), by link density, by length and by the density of common
-words; short blocks that these leave open are ambiguous. Pass two lets each ambiguous block inherit the label of its nearest decided
-neighbours: the label both sides share, else that of the nearer one, a tie goes to the one before.
+A tolerant tokeniser cuts a page into blocks at block-level tags and drops what the markup itself names as no text of the article (scripts, menus,
+footers, forms, adverts, comments and the like). Pass one then judges every other block by its own text: mostly links is bad; enough common
+words for its length is good; a block too short to tell, or of a middling share of common words, is ambiguous, as is a
+heading. A block of hardly any common words is bad outside an article element and ambiguous within one, where lists, tables and code stand.
+Pass two lets each ambiguous block inherit the label of its nearest decided neighbours in its section (an article element's
+blocks, or those between two): the label both sides share, else that of the nearer one, a tie goes to the one before; a
+heading follows the block after it. Where a section has no decided block, its ambiguous ones are good in an article element and bad elsewhere.
 
 Null and empty pages give an empty text. Blocks keep page order, so repeated blocks stay; whole pages are read. Extra columns
 are kept; a column named like the output column is replaced.
@@ -122,51 +125,58 @@ def blocks(html: str) -> list[Block]:
     return out
 
 
+def common_share(text: str) -> float:
+    """Share of a text's words that are common ones."""
+    words = text.lower().split()
+    return sum(w.strip(".,;:!?()\"'") in COMMON_WORDS for w in words) / len(words)
+
+
+def judged(b: Block) -> tuple[int, str]:
+    """(GOOD, BAD or OPEN, the rule that says so) of a block by itself."""
+    n = len(b.text)
+    if b.outside:
+        return BAD, "named"
+    if b.link_chars / n > LINK_DENSITY:
+        return (OPEN if b.inside else BAD), "links"
+    if "©" in b.text and not b.inside:
+        return BAD, "notice"
+    if b.heading or n < SHORT:
+        return OPEN, "short"
+    common = common_share(b.text)
+    if common >= STOP_HIGH or (common >= STOP_LOW and n >= LONG):
+        return GOOD, "common words"
+    if common >= STOP_LOW or b.inside:
+        return OPEN, "few common words"
+    return BAD, "no common words"
+
+
 def first_pass(found: list[Block]) -> list[int]:
     """GOOD, BAD or OPEN for each block."""
-    article = any(b.inside and not b.outside for b in found)
-    labels = []
-    for b in found:
-        n = len(b.text)
-        dense = b.link_chars / n
-        if b.outside or (article and not b.inside):
-            labels.append(BAD)
-        elif dense > LINK_DENSITY:
-            labels.append(OPEN if article and not b.heading and n >= SHORT else BAD if not b.inside else OPEN)
-        elif article:
-            labels.append(GOOD)
-        else:
-            words = b.text.lower().split()
-            stop = sum(w.strip(".,;:!?()\"'") in COMMON_WORDS for w in words) / len(words)
-            if "©" in b.text or n < SHORT or b.heading:
-                labels.append(OPEN if "©" not in b.text else BAD)
-            elif stop >= STOP_HIGH or (stop >= STOP_LOW and n >= LONG):
-                labels.append(GOOD)
-            else:
-                labels.append(OPEN if stop >= STOP_LOW else BAD)
-    return labels
+    return [judged(b)[0] for b in found]
 
 
 def second_pass(labels: list[int], found: list[Block]) -> list[int]:
-    """OPEN labels replaced by those of the nearest decided neighbours; a heading follows the block after it."""
-    n = len(labels)
-    before, after, seen = [(n + 1, BAD)] * n, [(n + 1, BAD)] * n, None
-    for i in range(n):
-        if labels[i] != OPEN:
-            seen = i
-        elif seen is not None:
-            before[i] = (i - seen, labels[seen])
-    seen = None
-    for i in reversed(range(n)):
-        if labels[i] != OPEN:
-            seen = i
-        elif seen is not None:
-            after[i] = (seen - i, labels[seen])
-    out = []
-    for i, label in enumerate(labels):
-        if label == OPEN:
-            label = after[i][1] if found[i].heading else before[i][1] if before[i][1] == after[i][1] or before[i][0] <= after[i][0] else after[i][1]
-        out.append(label)
+    """OPEN labels replaced by those of the nearest decided blocks of the section; what the markup names as no text parts no section and decides nothing."""
+    out, own = list(labels), [i for i, b in enumerate(found) if not b.outside]
+    sections: list[list[int]] = []
+    for i in own:
+        if not sections or found[sections[-1][-1]].inside != found[i].inside:
+            sections.append([])
+        sections[-1].append(i)
+    for section in sections:
+        last = GOOD if found[section[0]].inside else BAD
+        before: list[tuple[int, int] | None] = []
+        after: list[tuple[int, int] | None] = []
+        for run, order in ((before, section), (after, section[::-1])):
+            seen = None
+            for place, i in enumerate(order):
+                if labels[i] != OPEN:
+                    seen = place
+                run.append(None if seen is None else (place - seen, labels[order[seen]]))
+        for i, x, y in zip(section, before, after[::-1]):
+            if labels[i] == OPEN:
+                near = [z for z in ((y, x) if found[i].heading else (x, y)) if z]
+                out[i] = last if not near else near[0][1] if found[i].heading else min(near, key=lambda z: z[0])[1]
     return out
 
 
