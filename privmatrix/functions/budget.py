@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 ROOT_FRACTION = 0.01
@@ -45,6 +45,19 @@ def path_total(spent: DataFrame) -> DataFrame:
     return spent.groupBy("path").agg(F.sum("eps").alias("eps"), F.min("proven").alias("proven"))
 
 
+class Releases:
+    """Releases that were made, as marker files in a folder that all drivers share. A key (see ``noise.release_salt``) is claimed once: the same
+    noise on other data, or a second look under one label, is refused."""
+
+    def __init__(self, spark: SparkSession, path: str):
+        self._spark, self._path = spark, path
+
+    def claim(self, key: str) -> None:
+        file = self._spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self._path}/{key}")
+        if not file.getFileSystem(self._spark.sparkContext._jsc.hadoopConfiguration()).createNewFile(file):
+            raise ValueError("this salt, method, budget, matrix and label were released before")
+
+
 def assert_within(spent: DataFrame, eps: float, tolerance: float = 1e-9) -> None:
     """Raises where a path spends more than eps. Disjoint siblings share a budget, steps of one path add up."""
     worst = path_total(spent).agg(F.max("eps")).first()[0]

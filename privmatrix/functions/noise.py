@@ -1,11 +1,13 @@
 """Noise that is a function of a secret salt, a purpose and a key.
 
 A retried or speculative task, or another partitioning, draws the same values, so repeated execution never releases a second draw.
-Every purpose has its own tag, so that no draw is used twice.
+Every purpose has its own tag, and every release a salt of its own that follows from the secret one, the method, the budget, the matrix, the
+options and a label of the data's state, so that no draw is used twice: two releases never share noise that could be solved for a count.
 """
 
 from __future__ import annotations
 
+import hashlib
 import math
 import secrets
 
@@ -21,6 +23,13 @@ def fresh_salt() -> str:
     return secrets.token_hex(32)
 
 
+def release_salt(salt: str, method: str, eps: float, matrix: str, *details: object) -> str:
+    """The salt of one release, as hexadecimal text. ``details`` holds all options that change what is released, and the label of the data's state."""
+    if not salt:
+        raise ValueError("a release needs a secret salt")
+    return hashlib.sha256(SEPARATOR.join(map(str, (salt, method, repr(float(eps)), matrix, *details))).encode()).hexdigest()
+
+
 def _text(key: Column | str | int) -> Column:
     return F.lit(str(key)) if isinstance(key, int) else (F.col(key) if isinstance(key, str) else key).cast("string")
 

@@ -91,14 +91,14 @@ def truth(cells: DataFrame, queries: DataFrame, d: int, strategy: str = "auto",
     return _finished(queries, met.groupBy("qid").agg(F.sum("f").cast("double").alias("truth")), "truth")
 
 
-def prefix_sums(cells: DataFrame, d: int, corners: DataFrame) -> DataFrame:
-    """c1..cd, s: the number of records below each asked corner on all axes.
+def prefix_sums(cells: DataFrame, d: int, corners: DataFrame, kind: str = "long") -> DataFrame:
+    """c1..cd, s: the number of records (or sum of noisy counts) below each asked corner on all axes.
 
     Axis by axis, cells and corners are laid on the same lines and summed by a window over the positions; a line is all rows that agree on the
     other coordinates.
     """
     axes = [f"x{i}" for i in range(1, d + 1)]
-    state = cells.select(*axes, F.col("f").cast("long").alias("s"))
+    state = cells.select(*axes, F.col("f").cast(kind).alias("s"))
     for i in range(1, d + 1):
         x = f"x{i}"
         others = [a for a in axes if a != x]
@@ -106,7 +106,7 @@ def prefix_sums(cells: DataFrame, d: int, corners: DataFrame) -> DataFrame:
         lines = state.select(*others).distinct() if others else None
         grid = lines.join(F.broadcast(asked)) if lines is not None else asked
         # a corner's sum takes positions below it, so at equal positions the corner's row comes first
-        rows = state.select(*axes, "s", F.lit(1).alias("side")).unionByName(grid.select(*axes, F.lit(0).cast("long").alias("s"), F.lit(0).alias("side")))
+        rows = state.select(*axes, "s", F.lit(1).alias("side")).unionByName(grid.select(*axes, F.lit(0).cast(kind).alias("s"), F.lit(0).alias("side")))
         order = Window.partitionBy(*others).orderBy(x, "side").rowsBetween(Window.unboundedPreceding, 0)
         state = rows.withColumn("s", F.sum("s").over(order)).where("side = 0").select(*axes, "s")
     return state.select(*[F.col(f"x{i}").alias(f"c{i}") for i in range(1, d + 1)], "s")
@@ -114,13 +114,22 @@ def prefix_sums(cells: DataFrame, d: int, corners: DataFrame) -> DataFrame:
 
 def truth_prefix(cells: DataFrame, queries: DataFrame, d: int) -> DataFrame:
     """Exact counts from prefix sums at the 2**d corners of each query; for low d and many queries."""
+    return _finished(queries, _from_corners(cells, queries, d, "long", "truth"), "truth")
+
+
+def answer_entries(partitions: DataFrame, queries: DataFrame, d: int) -> DataFrame:
+    """For releases whose boxes are single entries: 2**d prefix sums for each query instead of all entries that it covers."""
+    entries = partitions.select(*[F.col(f"lo{i}").alias(f"x{i}") for i in range(1, d + 1)], F.col("ncount").alias("f"))
+    return _finished(queries, _from_corners(entries, queries, d, "double", "est"), "est")
+
+
+def _from_corners(cells: DataFrame, queries: DataFrame, d: int, kind: str, name: str) -> DataFrame:
     corners = None
     for bits in range(1 << d):
         c = [F.col(f"q{'hi' if bits >> (i - 1) & 1 else 'lo'}{i}").alias(f"c{i}") for i in range(1, d + 1)]
         sign = -1 if (d - bin(bits).count("1")) % 2 else 1
         one = queries.where(" AND ".join(f"qlo{i} < qhi{i}" for i in range(1, d + 1))).select("qid", *c, F.lit(sign).alias("sign"))
         corners = one if corners is None else corners.unionByName(one)
-    sums = prefix_sums(cells, d, corners)
+    sums = prefix_sums(cells, d, corners, kind)
     on = [f"c{i}" for i in range(1, d + 1)]
-    summed = corners.join(sums, on, "left").groupBy("qid").agg(F.sum(F.col("sign") * F.coalesce("s", F.lit(0))).cast("double").alias("truth"))
-    return _finished(queries, summed, "truth")
+    return corners.join(sums, on, "left").groupBy("qid").agg(F.sum(F.col("sign") * F.coalesce("s", F.lit(0))).cast("double").alias(name))

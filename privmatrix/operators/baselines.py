@@ -11,18 +11,20 @@ from privmatrix.sources.spec import MatrixSpec
 
 
 def log_grid(cells: DataFrame, spec: MatrixSpec, eps: float, **options) -> DataFrame:
-    return grids.grid_release(cells, spec, eps, grids.granularity_log, **options)
+    return grids.grid_release(cells, spec, eps, grids.granularity_log, "log_grid", **options)
 
 
-def one_box(cells: DataFrame, spec: MatrixSpec, eps: float, s: float = 1.0, salt: str = "", noisy: bool = True) -> DataFrame:
+def one_box(cells: DataFrame, spec: MatrixSpec, eps: float, s: float = 1.0, *, salt: str, label: str = "", noisy: bool = True) -> DataFrame:
     """The whole domain as one box."""
+    salt = noise.release_salt(salt, "one_box", eps, spec.key, s, label)
     bounds = [F.lit(v).cast("int").alias(f"{side}{i}") for i, w in enumerate(spec.widths, 1) for side, v in (("lo", 0), ("hi", w))]
     drawn = noise.laplace(salt, "leaf", s / eps, F.lit("r")) if noisy else F.lit(0.0)
     return cells.agg((F.coalesce(F.sum("f"), F.lit(0)) + drawn).alias("ncount")).select(F.lit("r").alias("pid"), *bounds, F.lit(float(spec.entries)).alias("n_entries"), "ncount", F.lit(0).alias("depth"), F.lit(eps).alias("eps_path"))
 
 
-def cell_noise(cells: DataFrame, spec: MatrixSpec, eps: float, s: float = 1.0, salt: str = "", noisy: bool = True) -> DataFrame:
-    """Every entry of the domain as a box of size 1. The entries stream from a distributed range; only the cells are shuffled or broadcast."""
+def cell_noise(cells: DataFrame, spec: MatrixSpec, eps: float, s: float = 1.0, *, salt: str, label: str = "", noisy: bool = True) -> DataFrame:
+    """Every entry of the domain as a box of size 1. The entries come from a distributed range; cells too many to be broadcast are joined by a shuffle of the whole domain, for which ``cell_noise_lazy`` is the way out."""
+    salt = noise.release_salt(salt, "cell_noise", eps, spec.key, s, label)
     d = spec.d
     out, rest = cells.sparkSession.range(spec.entries), F.col("id")
     columns = []
@@ -36,8 +38,9 @@ def cell_noise(cells: DataFrame, spec: MatrixSpec, eps: float, s: float = 1.0, s
     return full.select(F.concat_ws(".", F.lit("c"), *spec.axes).alias("pid"), *sides, F.lit(1.0).alias("n_entries"), (F.coalesce("f", F.lit(0)) + drawn).alias("ncount"), F.lit(1).alias("depth"), F.lit(eps).alias("eps_path"))
 
 
-def cell_noise_lazy(cells: DataFrame, queries: DataFrame, spec: MatrixSpec, eps: float, s: float = 1.0, salt: str = "") -> DataFrame:
+def cell_noise_lazy(cells: DataFrame, queries: DataFrame, spec: MatrixSpec, eps: float, s: float = 1.0, *, salt: str, label: str = "") -> DataFrame:
     """qid, est as ``cell_noise`` would answer: an entry's noise is a function of its key, so only the entries asked for are drawn."""
+    salt = noise.release_salt(salt, "cell_noise", eps, spec.key, s, label)
     out = queries
     for i in range(1, spec.d + 1):
         out = out.where(f"qlo{i} < qhi{i}").withColumn(f"x{i}", F.explode(F.sequence(F.col(f"qlo{i}"), F.col(f"qhi{i}") - 1)))
@@ -46,12 +49,13 @@ def cell_noise_lazy(cells: DataFrame, queries: DataFrame, spec: MatrixSpec, eps:
     return queries.select("qid").join(summed, "qid", "left").select("qid", F.coalesce("est", F.lit(0.0)).alias("est"))
 
 
-def cell_noise_answers(truth: DataFrame, queries: DataFrame, d: int, eps: float, s: float = 1.0, salt: str = "") -> DataFrame:
+def cell_noise_answers(truth: DataFrame, queries: DataFrame, d: int, eps: float, s: float = 1.0, *, salt: str, matrix: str = "", label: str = "") -> DataFrame:
     """qid, est for evaluation on domains too large to draw: a query's summed noise in one draw of the same distribution.
 
     The sum of k Laplace draws is the difference of two Gamma(k) draws. Up to 64 entries these are sums of keyed exponentials;
     beyond, a normal draw of the same variance. truth: qid, truth.
     """
+    salt = noise.release_salt(salt, "cell_noise_answers", eps, matrix, s, label)
     scale, k = s / eps, boxes.volume(d, "q")
     exponentials = lambda tag: F.aggregate(F.sequence(F.lit(1), F.least(k, F.lit(64.0)).cast("int")), F.lit(0.0), lambda acc, i: acc - F.log(noise.keyed_uniform(salt, f"query{tag}", F.col("qid"), i)))
     u1, u2 = (noise.keyed_uniform(salt, f"query{t}", F.col("qid")) for t in ("a", "b"))

@@ -19,8 +19,9 @@ C0 = 10 / math.sqrt(2)
 Rule = Callable[[Column, float, int], Column]
 
 
-def noisy_total(cells: DataFrame, eps0: float, s: float = 1.0, salt: str = "") -> DataFrame:
+def noisy_total(cells: DataFrame, eps0: float, s: float = 1.0, *, salt: str, matrix: str = "") -> DataFrame:
     """One row: n, the number of records plus Laplace noise of scale s / eps0."""
+    salt = noise.release_salt(salt, "total", eps0, matrix, s)
     return cells.agg((F.coalesce(F.sum("f"), F.lit(0)) + noise.laplace(salt, "total", s / eps0)).alias("n"))
 
 
@@ -58,13 +59,14 @@ def granularity(total: DataFrame, spec: MatrixSpec, eps: float, rule: Rule, roun
     return g.select(*[rounded(F.col("g"), w, rounding).alias(f"m{i}") for i, w in enumerate(spec.widths, 1)])
 
 
-def grid_release(cells: DataFrame, spec: MatrixSpec, eps: float, rule: Rule, eps0: float | None = None, rounding: str = "round", s: float = 1.0, salt: str = "", noisy: bool = True) -> DataFrame:
+def grid_release(cells: DataFrame, spec: MatrixSpec, eps: float, rule: Rule, method: str, eps0: float | None = None, rounding: str = "round", s: float = 1.0, *, salt: str, label: str = "", noisy: bool = True) -> DataFrame:
     """Boxes of an equal grid with noisy counts; every box of the domain is released, the empty ones too.
 
-    pid, lo1, hi1, .., n_entries, ncount, depth, eps_path. With ``noisy`` off, the granularity is still private, the counts are exact.
+    pid, lo1, hi1, .., n_entries, ncount, depth, eps_path. ``method`` names the rule and its parameters, ``label`` the state of the data. With ``noisy`` off, the granularity is still private, the counts are exact.
     """
     d, eps0 = spec.d, root_share(eps) if eps0 is None else eps0
-    one = granularity(noisy_total(cells, eps0, s, salt), spec, eps - eps0, rule, rounding)
+    salt = noise.release_salt(salt, method, eps, spec.key, eps0, rounding, s, label)
+    one = granularity(noisy_total(cells, eps0, s, salt=salt), spec, eps - eps0, rule, rounding)
     js = [f"j{i}" for i in range(1, d + 1)]
     placed = cells.join(F.broadcast(one)).select(*[boxes.even_index(F.col(f"x{i}"), 0, w, F.col(f"m{i}")).alias(f"j{i}") for i, w in enumerate(spec.widths, 1)], "f")
     counts = placed.groupBy(*js).agg(F.sum("f").alias("cnt"))
@@ -75,8 +77,8 @@ def grid_release(cells: DataFrame, spec: MatrixSpec, eps: float, rule: Rule, eps
 
 
 def uniform_grid(cells: DataFrame, spec: MatrixSpec, eps: float, r: float | None = None, c0: float = C0, **options) -> DataFrame:
-    return grid_release(cells, spec, eps, lambda n, e, d: granularity_error(n, e, d, r, c0), **options)
+    return grid_release(cells, spec, eps, lambda n, e, d: granularity_error(n, e, d, r, c0), f"uniform_grid({r},{c0})", **options)
 
 
 def entropy_grid(cells: DataFrame, spec: MatrixSpec, eps: float, **options) -> DataFrame:
-    return grid_release(cells, spec, eps, granularity_entropy, **options)
+    return grid_release(cells, spec, eps, granularity_entropy, "entropy_grid", **options)

@@ -27,7 +27,7 @@ def base_intervals(lo: Column, width: Column, m: Column) -> Column:
     return F.transform(F.sequence(F.lit(0), m), lambda j: (lo + F.floor(j.cast("long") * width / m)).cast("int"))
 
 
-def candidates(nodes: DataFrame, p: int, cuts: str = "m", salt: str = "") -> DataFrame:
+def candidates(nodes: DataFrame, p: int, cuts: str = "m", *, salt: str) -> DataFrame:
     """node, cand (1..p), ends: slab ends of every candidate; one uniform position in each base interval.
 
     nodes: node, lo, hi, m of the axis to split. ``cuts``: ``m`` cuts in all intervals, or ``m-1`` that leave the first out. Cuts at the
@@ -52,25 +52,33 @@ def slab_of(ends: Column, x: Column) -> Column:
 
 
 def profile(cells: DataFrame, axis: str) -> DataFrame:
-    """node, coord, f, n: non-empty entries of a node by coordinate and count."""
-    return cells.groupBy("node", F.col(axis).alias("coord"), "f").agg(F.count("*").alias("n"))
+    """node, coord, f, n: non-empty entries of a node by coordinate and count. cells may hold n, the number of entries that a row stands for."""
+    return cells.groupBy("node", F.col(axis).alias("coord"), "f").agg((F.sum("n") if "n" in cells.columns else F.count("*")).alias("n"))
 
 
 def objective(profiles: DataFrame, cands: DataFrame, sides: DataFrame) -> DataFrame:
-    """node, cand, o for every candidate. sides: node, area (entries of the node for each coordinate of the axis)."""
-    placed = profiles.join(cands, "node").select("node", "cand", slab_of(F.col("ends"), F.col("coord")).alias("slab"), "f", "n")
-    tallied = placed.groupBy("node", "cand", "slab", "f").agg(F.sum("n").alias("n"))
-    sums = tallied.groupBy("node", "cand", "slab").agg(F.sum(F.col("f") * F.col("n")).cast("double").alias("total"), F.sum("n").alias("filled"))
-    length = F.element_at("ends", F.col("slab") + 2) - F.element_at("ends", F.col("slab") + 1)
-    means = sums.join(cands, ["node", "cand"]).join(sides, "node").select("node", "cand", "slab", "filled", (length * F.col("area")).alias("size"), (F.col("total") / (length * F.col("area"))).alias("mu"))
-    off = tallied.join(means, ["node", "cand", "slab"]).groupBy("node", "cand", "slab", "filled", "size", "mu").agg(F.sum(F.col("n") * F.abs(F.col("f") - F.col("mu"))).alias("off"))
-    found = off.groupBy("node", "cand").agg(F.sum(F.col("off") + (F.col("size") - F.col("filled")) * F.col("mu")).alias("o"))
-    return cands.select("node", "cand").join(found, ["node", "cand"], "left").select("node", "cand", F.coalesce("o", F.lit(0.0)).alias("o"))
-
+    """node, cand, o, ends for every candidate. sides: node, area (entries of the node for each coordinate of the axis).
 
-def choose(objectives: DataFrame, cands: DataFrame, budgets: DataFrame, p: int, candidate_noise: str = "composed", salt: str = "") -> DataFrame:
+    Profiles, which partial sums have made small, are dealt out by node and candidate once; all that follows stays there. A slab's counts with
+    their numbers of entries are one array, as long as there are distinct counts. Every candidate has a row without entries, which
+    carries its ends.
+    """
+    listed = cands.join(sides, "node")
+    length = F.element_at("ends", F.col("slab") + 2) - F.element_at("ends", F.col("slab") + 1)
+    placed = profiles.join(listed, "node").withColumn("slab", slab_of(F.col("ends"), F.col("coord")))
+    placed = placed.select("node", "cand", "slab", (length * F.col("area")).alias("size"), "f", "n", F.lit(None).cast("array<int>").alias("ends"))
+    blank = cands.select("node", "cand", F.lit(-1).alias("slab"), F.lit(1.0).alias("size"), F.lit(0).cast("long").alias("f"), F.lit(0).cast("long").alias("n"), "ends")
+    tallied = placed.unionByName(blank).repartition("node", "cand").groupBy("node", "cand", "slab", "size", "f").agg(F.sum("n").alias("n"), F.first("ends", True).alias("ends"))
+    held = tallied.groupBy("node", "cand", "slab", "size").agg(
+        F.sort_array(F.collect_list(F.struct("f", "n"))).alias("held"), F.sum("n").alias("filled"), (F.sum(F.col("f") * F.col("n")).cast("double") / F.col("size")).alias("mu"), F.first("ends", True).alias("ends")
+    )
+    off = F.aggregate("held", F.lit(0.0), lambda acc, x: acc + x["n"] * F.abs(x["f"] - F.col("mu"))) + (F.col("size") - F.col("filled")) * F.col("mu")
+    return held.withColumn("off", off).groupBy("node", "cand").agg(F.sum("off").alias("o"), F.first("ends", True).alias("ends"))
+
+
+def choose(objectives: DataFrame, budgets: DataFrame, p: int, candidate_noise: str = "composed", *, salt: str) -> DataFrame:
     """node, ends, cand of the least noisy objective; ties go to the smaller candidate. budgets: node, eps_prt."""
     scale = CANDIDATE_NOISE[candidate_noise][0](p, F.col("eps_prt"))
-    noisy = objectives.join(cands, ["node", "cand"]).join(budgets, "node").withColumn("noisy", F.col("o") + noise.laplace(salt, "cand", scale, "node", "cand"))
+    noisy = objectives.join(budgets, "node").withColumn("noisy", F.col("o") + noise.laplace(salt, "cand", scale, "node", "cand"))
     least = F.struct("noisy", "cand")
     return noisy.groupBy("node").agg(F.min_by("ends", least).alias("ends"), F.min_by("cand", least).alias("cand"))

@@ -2,8 +2,9 @@
 
 Siblings are independent, so all nodes of a level are handled at once; draws are keyed by the node's path, so this gives the same
 release as any other order. A level is: children of the open nodes, their counts (empty children too), noise, fan-out, stop test.
-Node tables are small and written out at each level, which cuts the plan; cells pass through one join per level, which is a broadcast while nodes are few, and each level moves
-partial sums by node only.
+Node tables are small and written out at each level, which cuts the plan. Cells pass through one join per level, which is a broadcast while nodes are
+few, and keep only the axes that are not split yet: an even tree sums what agrees on them, a homogeneous one, which looks at
+single entries, counts entries of one value. So each level reads what the one before has made smaller.
 """
 
 from __future__ import annotations
@@ -49,6 +50,12 @@ class TreeOptions:
     root_prt: str = "share"
     stop_order: str = "after"
 
+    def text(self) -> str:
+        """The options that change a release."""
+        even = (self.final, self.levels, self.base, self.root_fraction, self.s)
+        chosen = (self.p, self.q, self.cuts, self.candidate_noise, self.root_prt, self.stop_order)
+        return ",".join(map(str, ((self.stop or below_noise()).text, *even, *(chosen if self.homogeneous else ()))))
+
 
 @dataclass
 class Tree:
@@ -119,23 +126,23 @@ def _with_ends(nodes: DataFrame, cells: DataFrame, k: int, d: int, o: TreeOption
     axis = k + 1
     if not o.homogeneous or (k == 0 and o.root_prt == "even"):
         return nodes.withColumn("ends", homogeneity.base_intervals(F.col(f"lo{axis}"), F.col("width"), F.col("m")))
-    cands = homogeneity.candidates(nodes.select("node", F.col(f"lo{axis}").alias("lo"), F.col(f"hi{axis}").alias("hi"), "m"), o.p, o.cuts, salt)
+    cands = homogeneity.candidates(nodes.select("node", F.col(f"lo{axis}").alias("lo"), F.col(f"hi{axis}").alias("hi"), "m"), o.p, o.cuts, salt=salt)
     others = [(F.col(f"hi{i}") - F.col(f"lo{i}")).cast("double") for i in range(1, d + 1) if i != axis]
     sides = nodes.select("node", (reduce(mul, others) if others else F.lit(1.0)).alias("area"))
     profiles = homogeneity.profile(cells.join(nodes.select("node"), "node", "left_semi"), f"x{axis}")
     objectives = homogeneity.objective(profiles, cands, sides)
     noise_of = o.candidate_noise if o.noisy else None
     if noise_of:
-        chosen = homogeneity.choose(objectives, cands, nodes.select("node", "eps_prt"), o.p, noise_of, salt)
+        chosen = homogeneity.choose(objectives, nodes.select("node", "eps_prt"), o.p, noise_of, salt=salt)
     else:
-        chosen = objectives.join(cands, ["node", "cand"]).groupBy("node").agg(F.min_by("ends", F.struct("o", "cand")).alias("ends"))
+        chosen = objectives.groupBy("node").agg(F.min_by("ends", F.struct("o", "cand")).alias("ends"))
     return nodes.join(chosen.select("node", "ends"), "node")
 
 
-def grow(cells: DataFrame, spec: MatrixSpec, eps: float, o: TreeOptions = TreeOptions(), salt: str = "") -> Tree:
-    """Release a tree over cells (x1..xd, f)."""
-    d = spec.d
-    cells = written(cells, "cells").withColumn("node", F.lit("r"))
+def grow(cells: DataFrame, spec: MatrixSpec, eps: float, o: TreeOptions = TreeOptions(), *, salt: str, label: str = "") -> Tree:
+    """Release a tree over cells (x1..xd, f). ``label`` names the state of the data."""
+    d, salt = spec.d, noise.release_salt(salt, "tree", eps, spec.key, o.text(), label)
+    cells = written(cells, "cells").select(F.lit("r").alias("node"), *spec.axes, "f", F.lit(1).cast("long").alias("n"))
     root = [F.lit(v).cast("int").alias(f"{side}{i}") for i, w in enumerate(spec.widths, 1) for side, v in (("lo", 0), ("hi", w))]
     nodes = cells.agg(F.coalesce(F.sum("f"), F.lit(0)).cast("long").alias("cnt")).select(F.lit("r").alias("node"), F.lit(0).alias("depth"), *root, "cnt", F.lit(0.0).alias("acc"), F.expr(f"cast(array() as {SPENT})").alias("spent"))
     leaves, every = [], []
@@ -155,8 +162,14 @@ def grow(cells: DataFrame, spec: MatrixSpec, eps: float, o: TreeOptions = TreeOp
         x, lo, width, m = F.col(f"x{axis}"), F.col(f"lo{axis}"), F.col("width"), F.col("m")
         j = homogeneity.slab_of(F.col("ends"), x) if o.homogeneous else boxes.even_index(x, lo, width, m)
         route = open_.select("node", f"lo{axis}", "width", "m", *(["ends"] if o.homogeneous else []))
-        cells = cells.join(route, "node").select(F.concat_ws(".", "node", j).alias("node"), *spec.axes, "f")
-        counts = cells.groupBy("node").agg(F.sum("f").alias("cnt"))
+        routed, left = cells.join(route, "node").select(F.concat_ws(".", "node", j).alias("node"), *spec.axes[k:], "f", "n"), spec.axes[axis:]
+        if left:
+            if o.homogeneous:
+                routed = routed.groupBy("node", *left, "f").agg(F.sum("n").alias("n"))
+            else:
+                routed = routed.groupBy("node", *left).agg(F.sum("f").alias("f")).withColumn("n", F.lit(1).cast("long"))
+            routed = cells = written(routed, "tree-cells")
+        counts = routed.groupBy("node").agg(F.sum(F.col("f") * F.col("n")).alias("cnt"))
         nodes = children.join(counts, "node", "left").withColumn("cnt", F.coalesce("cnt", F.lit(0)).cast("long"))
     last = nodes.withColumn("eps_left", F.lit(eps) - F.col("acc"))
     leaves.append(_leaves(last, d, o, salt, False))
@@ -164,9 +177,9 @@ def grow(cells: DataFrame, spec: MatrixSpec, eps: float, o: TreeOptions = TreeOp
     return Tree(spec, released, reduce(DataFrame.unionByName, [released, *every]))
 
 
-def even_tree(cells: DataFrame, spec: MatrixSpec, eps: float, stop: Stop | None = None, salt: str = "", **options) -> Tree:
-    return grow(cells, spec, eps, TreeOptions(stop=stop, **options), salt)
+def even_tree(cells: DataFrame, spec: MatrixSpec, eps: float, stop: Stop | None = None, *, salt: str, label: str = "", **options) -> Tree:
+    return grow(cells, spec, eps, TreeOptions(stop=stop, **options), salt=salt, label=label)
 
 
-def homogeneous_tree(cells: DataFrame, spec: MatrixSpec, eps: float, p: int = 5, stop: Stop | None = None, salt: str = "", **options) -> Tree:
-    return grow(cells, spec, eps, TreeOptions(stop=stop, homogeneous=True, p=p, **options), salt)
+def homogeneous_tree(cells: DataFrame, spec: MatrixSpec, eps: float, p: int = 5, stop: Stop | None = None, *, salt: str, label: str = "", **options) -> Tree:
+    return grow(cells, spec, eps, TreeOptions(stop=stop, homogeneous=True, p=p, **options), salt=salt, label=label)

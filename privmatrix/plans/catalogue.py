@@ -107,7 +107,7 @@ def density(spark: SparkSession, d: str) -> DataFrame:
 # --- granularity and budgets
 
 
-@registered("noisy_total", f"SELECT round(sum(f) + {oracle.laplace('total', '1 / 0.001')}, 6) AS n FROM ({oracle.cells('price2')})")
+@registered("noisy_total", f"SELECT round(sum(f) + {oracle.laplace('total', '1 / 0.001', salt=oracle.total_key(SALT, 0.001))}, 6) AS n FROM ({oracle.cells('price2')})")
 def noisy_total(spark: SparkSession, d: str) -> DataFrame:
     return grids.noisy_total(matrices.cells(spark, d, "price2")[0], 0.001, salt=SALT).select(six("n"))
 
@@ -244,7 +244,7 @@ def objective(spark: SparkSession, d: str) -> DataFrame:
 @registered("choose_split", f"WITH {_OBJ_SQL} SELECT t::INTEGER AS cand, array_to_string(ends, ',') AS ends FROM obj JOIN cand USING (t) ORDER BY o + {oracle.laplace('cand', str(2.0 * _P / 0.01), chr(39) + 'r' + chr(39), 't')}, t LIMIT 1")
 def choose_split(spark: SparkSession, d: str) -> DataFrame:
     objs, cands, nodes = _objectives(spark, d)
-    chosen = homogeneity.choose(objs, cands, nodes.select("node", "eps_prt"), _P, salt=SALT)
+    chosen = homogeneity.choose(objs, nodes.select("node", "eps_prt"), _P, salt=SALT)
     return chosen.select("cand", F.array_join(F.col("ends").cast("array<string>"), ",").alias("ends"))
 
 
@@ -524,28 +524,94 @@ def keyed_sample(spark: SparkSession, d: str) -> DataFrame:
 
 # --- workloads: rows of methods, budgets and query classes
 
+_N = 1000
+_FOUR = experiments.METHODS[2:]
+
+
+def _classes_sql(name: str, n: int, coverages: tuple[float, ...]) -> str:
+    kinds = {"random": oracle.random_queries(name, n), **{f"{int(c * 100)}%": oracle.coverage_queries(name, c, n) for c in coverages}}
+    return " UNION ALL ".join(f"SELECT * REPLACE (qid + {k * n} AS qid), '{label}' AS queries FROM ({sql})" for k, (label, sql) in enumerate(kinds.items()))
+
+
+def _accuracy_sql(name: str, methods: tuple[str, ...], budgets: tuple[float, ...], coverages: tuple[float, ...] = (), n: int = _N) -> str:
+    """Errors of all methods and budgets by query class."""
+    d = len(oracle.WIDTHS[name])
+    ctes = ", ".join(_ctes(m, name, e, f"{m}{i}") for m in methods for i, e in enumerate(budgets))
+    rows = " UNION ALL ".join(f"SELECT '{m}' AS method, {e!r}::DOUBLE AS eps, qid, est FROM ({oracle.answers(f'{m}{i}b', 'q', d)})" for m in methods for i, e in enumerate(budgets))
+    return f"""WITH q AS ({_classes_sql(name, n, coverages)}), c AS ({oracle.cells(name)}), t AS ({oracle.truth("c", "q", d)}), {ctes}
+      SELECT method, eps, queries, round(mre, 4) AS mre, round(median, 4) AS median, skipped, rank() OVER (PARTITION BY queries, eps ORDER BY mre) AS rank FROM (SELECT method, eps, queries, avg(e) AS mre, median(e) AS median, count(*) FILTER (WHERE e IS NULL) AS skipped
+        FROM (SELECT method, eps, queries, abs(truth - est) / nullif(truth, 0) * 100 AS e FROM ({rows}) JOIN t USING (qid) JOIN (SELECT qid, queries FROM q) USING (qid)) GROUP BY method, eps, queries)"""
+
+
+def _table(found: DataFrame, *by: str) -> DataFrame:
+    return found.select("method", "eps", *by, F.round("mre", 4).alias("mre"), F.round("median", 4).alias("median"), "skipped", F.col("rank").cast("long").alias("rank"))
+
+
+def _city(key: str, name: str) -> None:
+    """The four methods and three budgets on a city's matrix, random and fixed-coverage queries."""
+
+    @registered(key, _accuracy_sql(name, _FOUR, experiments.BUDGETS, experiments.COVERAGES))
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        return _table(experiments.city(spark, d, name, SALT, weak=False), "queries")
+
+
+for _name in ("price2", "ship2", "partsupp2"):
+    _city(f"workload_city_{_name}", _name)
+
 
 @registered("workload_city")
 def workload_city(spark: SparkSession, d: str) -> DataFrame:
     """All six methods and three budgets on the skewed clock matrix, random and fixed-coverage queries."""
-    return experiments.city(spark, d, "clock2", SALT, n=200)
+    return experiments.city(spark, d, "clock2", SALT)
 
 
-@registered("workload_od")
-def workload_od(spark: SparkSession, d: str) -> DataFrame:
-    return experiments.od(spark, d, "od4", SALT, n=200)
+def _od(key: str, name: str, budgets: tuple[float, ...]) -> None:
+    """Origin-destination matrices, without and with an intermediate stop; the oracle takes all trips, of which there are fewer than the sample at the scale of its run."""
+
+    @registered(key, _accuracy_sql(name, _FOUR, budgets))
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        return _table(experiments.od(spark, d, name, SALT, budgets=budgets).withColumn("queries", F.lit("random")), "queries")
+
+
+_od("workload_od", "od4", experiments.BUDGETS)
+_od("workload_od_stops", "od6", (EPS,))
 
 
-@registered("workload_gaussian")
-def workload_gaussian(spark: SparkSession, d: str) -> DataFrame:
-    return experiments.gaussian(spark, d, 2, SALT, sds=(0.05, 0.2), budgets=(0.1,), n=200)
+@registered("workload_dimensions", " UNION ALL ".join(f"SELECT {k} AS d, * FROM ({_accuracy_sql(f'line{k}', _FOUR, (EPS,))})" for k in range(2, 7)))
+def workload_dimensions(spark: SparkSession, d: str) -> DataFrame:
+    """The four methods on the first 2 to 6 axes of one table."""
+    found = experiments.dimensions(spark, d, "line", SALT, budgets=(EPS,)).withColumn("queries", F.lit("random"))
+    return _table(found, "d", "queries")
+
+
+def _gaussian(key: str, dim: int, sds: tuple[float, ...], budgets: tuple[float, ...]) -> None:
+    @registered(key)
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        return experiments.gaussian(spark, d, dim, SALT, sds=sds, budgets=budgets)
+
+
+_gaussian("workload_gaussian", 2, experiments.SD_SHARES, (0.1,))
+_gaussian("workload_gaussian_budgets", 2, (0.1,), experiments.BUDGETS)
+_gaussian("workload_gaussian_d4", 4, (0.05, 0.2), (0.1,))
+_gaussian("workload_gaussian_d6", 6, (0.2,), (0.1,))
 
 
 @registered("workload_zipf")
 def workload_zipf(spark: SparkSession, d: str) -> DataFrame:
-    return experiments.zipf(spark, d, 2, SALT, skews=(1.2, 2.0), n=200)
+    return experiments.zipf(spark, d, 2, SALT)
+
+
+@registered("workload_zipf_d4")
+def workload_zipf_d4(spark: SparkSession, d: str) -> DataFrame:
+    return experiments.zipf(spark, d, 4, SALT, skews=(1.2, 2.0))
 
 
 @registered("workload_ablations")
 def workload_ablations(spark: SparkSession, d: str) -> DataFrame:
-    return experiments.ablations(spark, d, "clock2", SALT, n=200)
+    return experiments.ablations(spark, d, "clock2", SALT)
+
+
+@registered("running_times")
+def running_times(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds of every method on the three cities' matrices."""
+    return spark.createDataFrame([(*k.rsplit("_", 1), v) for k, v in experiments.running_times(spark, d, salt=SALT).items()], "method string, matrix string, seconds double")

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from privmatrix.functions import measures
 from privmatrix.operators import baselines, grids, publish, tree
-from privmatrix.operators.answer import answer, truth
+from privmatrix.operators.answer import answer, answer_entries, truth
 from privmatrix.plans import matrices
 from privmatrix.sources import synth, workload
 from privmatrix.sources.spec import MatrixSpec
@@ -22,6 +22,8 @@ COVERAGES = (0.01, 0.05, 0.10)
 SD_SHARES = (0.02, 0.05, 0.1, 0.2, 0.4)
 ZIPF_SKEWS = (1.2, 1.6, 2.0, 2.4, 2.8)
 
+ENTRY_TESTS = 100_000_000  # tests of single entries against queries, from which prefix sums answer
+
 
 def release(method: str, cells: DataFrame, spec: MatrixSpec, eps: float, salt: str, noisy: bool = True, **options) -> DataFrame:
     """Published boxes of a method by its name."""
@@ -37,7 +39,9 @@ def accuracy(cells: DataFrame, spec: MatrixSpec, queries: DataFrame, salt: str,
     """method, eps, qid, truth, est, rel_err for every method and budget."""
     cells = written(cells, "cells")
     exact = written(truth(cells, queries, spec.d), "truth")
-    parts = [measures.errors(exact, answer(release(m, cells, spec, e, salt), queries, spec.d)).select(F.lit(m).alias("method"), F.lit(e).alias("eps"), "*") for m in methods for e in budgets]
+    many = spec.d <= 2 and spec.entries * queries.count() > ENTRY_TESTS
+    ask = {m: answer_entries if many and m == "cell_noise" else answer for m in methods}
+    parts = [measures.errors(exact, ask[m](release(m, cells, spec, e, salt), queries, spec.d)).select(F.lit(m).alias("method"), F.lit(e).alias("eps"), "*") for m in methods for e in budgets]
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -57,17 +61,27 @@ def city(spark: SparkSession, sf_dir: str, name: str, salt: str, n: int = 1000,
     return measures.ranking(measures.mre(found, "method", "eps", "queries"), "queries", "eps")
 
 
-def od(spark: SparkSession, sf_dir: str, name: str, salt: str, sample: int = 300_000, n: int = 1000) -> DataFrame:
+def od(spark: SparkSession, sf_dir: str, name: str, salt: str, sample: int = 300_000, n: int = 1000, budgets: tuple[float, ...] = BUDGETS) -> DataFrame:
     """Mean errors of the four methods on an origin-destination matrix of a keyed sample of trips."""
     from privmatrix.operators.cells import build_cells
     from privmatrix.sources.tables import keyed_sample
 
     spec = matrices.SPECS[name]
     trips = keyed_sample(matrices.records(spark, sf_dir, name), sample, salt, "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
-    found = accuracy(build_cells(trips, spec), spec, workload.random_queries(spark, spec, n, salt), salt, METHODS[2:])
+    found = accuracy(build_cells(trips, spec), spec, workload.random_queries(spark, spec, n, salt), salt, METHODS[2:], budgets)
     return measures.ranking(measures.mre(found, "method", "eps"), "eps")
 
 
+def dimensions(spark: SparkSession, sf_dir: str, family: str, salt: str, dims: range = range(2, 7), budgets: tuple[float, ...] = BUDGETS, n: int = 1000) -> DataFrame:
+    """Mean errors of the four methods as the number of axes grows; ``family`` names matrices such as line2 to line6."""
+    parts = []
+    for d in dims:
+        cells, spec = matrices.cells(spark, sf_dir, f"{family}{d}")
+        found = accuracy(cells, spec, workload.random_queries(spark, spec, n, salt), salt, METHODS[2:], budgets)
+        parts.append(measures.mre(found, "method", "eps").withColumn("d", F.lit(d)))
+    return measures.ranking(reduce(DataFrame.unionByName, parts), "d", "eps")
+
+
 def gaussian(spark: SparkSession, sf_dir: str, d: int, salt: str, sds: tuple[float, ...] = SD_SHARES, budgets: tuple[float, ...] = BUDGETS, methods: tuple[str, ...] = METHODS, copies: int = 7, n: int = 1000) -> DataFrame:
     keys = synth.points(matrices.load(spark, sf_dir, "orders"), copies)
     spec = synth.gaussian_spec(keys.count(), d)

@@ -2,19 +2,30 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 
 SALT = "42"
 TWO52 = "4503599627370496.0"
 
 
-def uniform(purpose: str, *keys: str) -> str:
-    parts = ", ".join(["'" + SALT + "'", f"'{purpose}'", *[f"cast({k} AS VARCHAR)" for k in keys]])
+def key(method: str, eps: float, name: str, *details: object) -> str:
+    """The salt of a release: a SHA-256 of the secret one and of all that sets the release apart."""
+    shape = f"{name}:{'x'.join(map(str, WIDTHS[name]))}"
+    return hashlib.sha256("|".join(map(str, (SALT, method, eps, shape, *details))).encode()).hexdigest()
+
+
+def total_key(salt: str, eps0: float) -> str:
+    return hashlib.sha256(f"{salt}|total|{eps0!r}||1.0".encode()).hexdigest()
+
+
+def uniform(purpose: str, *keys: str, salt: str = SALT) -> str:
+    parts = ", ".join(["'" + salt + "'", f"'{purpose}'", *[f"cast({k} AS VARCHAR)" for k in keys]])
     return f"((cast('0x' || substr(sha256(concat_ws('|', {parts})), 1, 13) AS BIGINT) + 0.5) / {TWO52})"
 
 
-def laplace(purpose: str, scale: str, *keys: str) -> str:
-    u = uniform(purpose, *keys)
+def laplace(purpose: str, scale: str, *keys: str, salt: str = SALT) -> str:
+    u = uniform(purpose, *keys, salt=salt)
     return f"(-({scale}) * sign({u} - 0.5) * ln(1 - 2 * abs({u} - 0.5)))"
 
 
@@ -94,25 +105,27 @@ def grid(name: str, kind: str, eps: float, r: float | None = None, noisy: bool =
     """CTEs c, t, m and boxes b (lo1, hi1, .., n_entries, ncount) of an equal grid; names carry ``prefix``."""
     widths, e0, p = WIDTHS[name], eps * 0.01, prefix
     d, e = len(widths), eps - eps * 0.01
+    method = {"log": "log_grid", "entropy": "entropy_grid", "error": f"uniform_grid({r},{10 / math.sqrt(2)})"}[kind]
+    salt = key(method, eps, name, e0, "round", 1.0, "")
     g = rule(kind, "greatest(n, 0.0)", e, d, r)
     ms = ", ".join(f"cast(greatest(1, least(round(g), {w})) AS BIGINT) AS m{i}" for i, w in enumerate(widths, 1))
     js = ", ".join(f"(((x{i} + 1) * m{i} - 1) // {w}) AS j{i}" for i, w in enumerate(widths, 1))
     domain = " CROSS JOIN ".join(f"(SELECT unnest(range(0, (SELECT m{i} FROM {p}m))) AS j{i})" for i in range(1, d + 1))
-    key = [f"j{i}" for i in range(1, d + 1)]
+    js_ = [f"j{i}" for i in range(1, d + 1)]
     bounds = ", ".join(f"cast(j{i} * {w} // m{i} AS INTEGER) AS lo{i}, cast((j{i} + 1) * {w} // m{i} AS INTEGER) AS hi{i}" for i, w in enumerate(widths, 1))
     size = " * ".join(f"(hi{i} - lo{i})" for i in range(1, d + 1))
-    drawn = laplace("count", f"1 / {e!r}", *key) if noisy else "0.0"
-    return f"""{p}c AS ({source or cells(name)}), {p}t AS (SELECT coalesce(sum(f), 0) + {laplace("total", f"1 / {e0!r}")} AS n FROM {p}c),
+    drawn = laplace("count", f"1 / {e!r}", *js_, salt=salt) if noisy else "0.0"
+    return f"""{p}c AS ({source or cells(name)}), {p}t AS (SELECT coalesce(sum(f), 0) + {laplace("total", f"1 / {e0!r}", salt=total_key(salt, e0))} AS n FROM {p}c),
       {p}m AS (SELECT {ms} FROM (SELECT {g} AS g FROM {p}t)),
-      {p}k AS (SELECT {", ".join(key)}, sum(f) AS cnt FROM (SELECT {js}, f FROM {p}c, {p}m) GROUP BY {", ".join(key)}),
-      {p}b AS (SELECT *, cast({size} AS DOUBLE) AS n_entries, 'g.' || {" || '.' || ".join(key)} AS pid, 1 AS depth, coalesce(cnt, 0) + {drawn} AS ncount
-        FROM (SELECT {", ".join(key)}, {bounds}, cnt FROM ({domain}) CROSS JOIN {p}m LEFT JOIN {p}k USING ({", ".join(key)})))"""
+      {p}k AS (SELECT {", ".join(js_)}, sum(f) AS cnt FROM (SELECT {js}, f FROM {p}c, {p}m) GROUP BY {", ".join(js_)}),
+      {p}b AS (SELECT *, cast({size} AS DOUBLE) AS n_entries, 'g.' || {" || '.' || ".join(js_)} AS pid, 1 AS depth, coalesce(cnt, 0) + {drawn} AS ncount
+        FROM (SELECT {", ".join(js_)}, {bounds}, cnt FROM ({domain}) CROSS JOIN {p}m LEFT JOIN {p}k USING ({", ".join(js_)})))"""
 
 
 def single(name: str, eps: float, prefix: str = "", noisy: bool = True) -> str:
     widths, p = WIDTHS[name], prefix
     bounds = ", ".join(f"0 AS lo{i}, {w} AS hi{i}" for i, w in enumerate(widths, 1))
-    drawn = laplace("leaf", f"1 / {eps!r}", "'r'") if noisy else "0.0"
+    drawn = laplace("leaf", f"1 / {eps!r}", "'r'", salt=key("one_box", eps, name, 1.0, "")) if noisy else "0.0"
     return f"{p}b AS (SELECT {bounds}, {float(math.prod(widths))!r}::DOUBLE AS n_entries, 'r' AS pid, 0 AS depth, coalesce(sum(f), 0) + {drawn} AS ncount FROM ({cells(name)}))"
 
 
@@ -121,17 +134,18 @@ def every_cell(name: str, eps: float, prefix: str = "", noisy: bool = True) -> s
     axes = [f"x{i}" for i in range(1, len(widths) + 1)]
     domain = " CROSS JOIN ".join(f"(SELECT unnest(range(0, {w})) AS x{i})" for i, w in enumerate(widths, 1))
     bounds = ", ".join(f"cast({x} AS INTEGER) AS lo{x[1:]}, cast({x} + 1 AS INTEGER) AS hi{x[1:]}" for x in axes)
-    drawn = laplace("cell", f"1 / {eps!r}", *axes) if noisy else "0.0"
+    drawn = laplace("cell", f"1 / {eps!r}", *axes, salt=key("cell_noise", eps, name, 1.0, "")) if noisy else "0.0"
     return f"{p}b AS (SELECT {bounds}, 1.0::DOUBLE AS n_entries, 'c.' || {" || '.' || ".join(axes)} AS pid, 1 AS depth, coalesce(f, 0) + {drawn} AS ncount FROM ({domain}) LEFT JOIN ({cells(name)}) USING ({', '.join(axes)}))"
 
 
 # --- trees, one common table expression per step of a level
 
 
-def tree(name: str, eps: float, stop: str = "ncount < sqrt(2.0) / eps_k", homogeneous: bool = False, p: int = 5, q: float = 0.3, prefix: str = "", noisy: bool = True) -> str:
+def tree(name: str, eps: float, stop: str = "ncount < 1.0 * sqrt(2.0) / eps_k", homogeneous: bool = False, p: int = 5, q: float = 0.3, prefix: str = "", noisy: bool = True) -> str:
     """CTEs ending in b (bounds, n_entries, pid, depth, ncount) of a tree with the default options."""
     widths, x, e0 = WIDTHS[name], prefix, eps * 0.01
     d = len(widths)
+    salt = key("tree", eps, name, ",".join(map(str, (stop, "redraw", "geometric", "net", 0.01, 1.0, *((p, q, "m", "composed", "share", "after") if homogeneous else ())))), "")
     bounds = [f"{s}{i}" for i in range(1, d + 1) for s in ("lo", "hi")]
     lists, leaves = [], []
     root = ", ".join(f"0 AS lo{i}, {w} AS hi{i}" for i, w in enumerate(widths, 1))
@@ -144,17 +158,17 @@ def tree(name: str, eps: float, stop: str = "ncount < sqrt(2.0) / eps_k", homoge
         data = f"{whole} * {1 - q!r}" if homogeneous else whole
         prt = f"{whole} * {q!r}" if homogeneous else "0.0"
         width = f"(hi{a} - lo{a})"
-        drawn = laplace("count", "1 / eps_k", "node") if noisy else "0.0"
+        drawn = laplace("count", "1 / eps_k", "node", salt=salt) if noisy else "0.0"
         lists.append(f"{x}paid{k} AS (SELECT *, {data} AS eps_k, {prt} AS eps_prt, {eps!r}::DOUBLE - (acc + {whole}) AS eps_left, acc + {whole} AS acc2, {width} AS width FROM {x}raw{k})")
         lists.append(f"{x}noisy{k} AS (SELECT *, cnt + {drawn} AS ncount FROM {x}paid{k})")
         lists.append(f"{x}fan{k} AS (SELECT *, pow(greatest(ncount, 0.0) * eps_left / {math.sqrt(2)!r}, {2 / (3 * (d - k))!r}) AS g FROM {x}noisy{k})")
         m0 = "greatest(1.0, g)" if k == 0 else "m0"
         lists.append(f"{x}node{k} AS (SELECT * EXCLUDE (m0), {m0} AS m0, cast(greatest(1, least(round(g), width)) AS BIGINT) AS m FROM {x}fan{k})")
-        last = laplace("leaf", "1 / eps_left", "node") if noisy else "0.0"
+        last = laplace("leaf", "1 / eps_left", "node", salt=salt) if noisy else "0.0"
         leaves.append(f"SELECT node, {k} AS depth, {', '.join(bounds)}, cnt + {last} AS ncount FROM {x}node{k} WHERE {stop}")
         base = f"[lo{a} + j * width // m FOR j IN range(0, m + 1)]"
         if homogeneous:
-            u = uniform("pos", "node", "t", "j")
+            u = uniform("pos", "node", "t", "j", salt=salt)
             lists.append(f"{x}base{k} AS (SELECT *, {base} AS base FROM {x}node{k} WHERE NOT ({stop}))")
             lists.append(f"{x}pos{k} AS (SELECT node, t, lo{a} AS lo, hi{a} AS hi, base[j + 1] + cast(floor({u} * (base[j + 2] - base[j + 1])) AS BIGINT) AS c FROM {x}base{k} CROSS JOIN (SELECT unnest(range(1, {p + 1})) AS t) CROSS JOIN LATERAL (SELECT unnest(range(0, m)) AS j))")
             lists.append(f"{x}cand{k} AS (SELECT node, t, list_concat(list_concat([lo], list_sort(coalesce(list(DISTINCT c) FILTER (WHERE c > lo), []))), [hi]) AS ends FROM {x}pos{k} GROUP BY node, t, lo, hi)")
@@ -162,7 +176,7 @@ def tree(name: str, eps: float, stop: str = "ncount < sqrt(2.0) / eps_k", homoge
             area = " * ".join([f"(hi{i} - lo{i})::DOUBLE" for i in range(1, d + 1) if i != a] or ["1.0"])
             lists.append(f"{x}mean{k} AS (SELECT s.node, s.t, s.i, sum(s.n) AS nz, (any_value(c.ends[s.i + 1]) - any_value(c.ends[s.i])) * any_value({area}) AS size, sum(s.f * s.n) / ((any_value(c.ends[s.i + 1]) - any_value(c.ends[s.i])) * any_value({area})) AS mu FROM {x}slab{k} s JOIN {x}cand{k} c ON c.node = s.node AND c.t = s.t JOIN {x}node{k} v ON v.node = s.node GROUP BY s.node, s.t, s.i)")
             lists.append(f"{x}off{k} AS (SELECT s.node, s.t, s.i, sum(s.n * abs(s.f - m.mu)) + any_value((m.size - m.nz) * m.mu) AS dev FROM {x}slab{k} s JOIN {x}mean{k} m USING (node, t, i) GROUP BY s.node, s.t, s.i)")
-            drawn_c = laplace("cand", f"{2.0 * p!r} / v.eps_prt", "c.node", "c.t") if noisy else "0.0"
+            drawn_c = laplace("cand", f"{2.0 * p!r} / v.eps_prt", "c.node", "c.t", salt=salt) if noisy else "0.0"
             lists.append(f"{x}obj{k} AS (SELECT c.node, c.t, any_value(c.ends) AS ends, coalesce(sum(o.dev), 0) + any_value({drawn_c}) AS o FROM {x}cand{k} c JOIN {x}node{k} v ON v.node = c.node LEFT JOIN {x}off{k} o ON o.node = c.node AND o.t = c.t GROUP BY c.node, c.t)")
             lists.append(f"{x}open{k} AS (SELECT n.*, w.ends FROM {x}node{k} n JOIN (SELECT node, first(ends ORDER BY o, t) AS ends FROM {x}obj{k} GROUP BY node) w USING (node))")
             j = f"len(list_filter(o.ends, lambda z: z <= s.x{a})) - 1"
@@ -175,7 +189,7 @@ def tree(name: str, eps: float, stop: str = "ncount < sqrt(2.0) / eps_k", homoge
         same = same + ", " if same else ""
         lists.append(f"{x}kids{a} AS (SELECT node || '.' || j AS node, {same}ends[j + 1] AS lo{a}, ends[j + 2] AS hi{a}, acc2 AS acc, m0 FROM (SELECT *, unnest(range(0, len(ends) - 1)) AS j FROM {x}open{k}))")
         lists.append(f"{x}raw{a} AS (SELECT k.*, coalesce(c.cnt, 0) AS cnt FROM {x}kids{a} k LEFT JOIN (SELECT node, sum(f) AS cnt FROM {x}cells{a} GROUP BY node) c USING (node))")
-    last = laplace("leaf", f"1 / ({eps!r}::DOUBLE - acc)", "node") if noisy else "0.0"
+    last = laplace("leaf", f"1 / ({eps!r}::DOUBLE - acc)", "node", salt=salt) if noisy else "0.0"
     leaves.append(f"SELECT node, {d} AS depth, {', '.join(bounds)}, cnt + {last} AS ncount FROM {x}raw{d}")
     sizes = " * ".join(f"(hi{i} - lo{i})" for i in range(1, d + 1))
     typed = ", ".join(f"cast({c} AS INTEGER) AS {c}" for c in bounds)

@@ -11,7 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from privmatrix.functions import boxes
-from privmatrix.functions.noise import SEPARATOR
+from privmatrix.functions.budget import Releases
+from privmatrix.functions.noise import SEPARATOR, release_salt
 from privmatrix.operators.answer import answer
 from privmatrix.operators.cells import build_cells
 from privmatrix.plans import experiments
@@ -101,7 +102,11 @@ class PrivateMatrix:
     def __init__(self, records: DataFrame, spec: MatrixSpec):
         self._records, self.spec = records, spec
 
-    def release(self, method: str, eps: float, salt: str, **options) -> Released:
+    def release(self, method: str, eps: float, salt: str, label: str = "", releases: Releases | None = None, **options) -> Released:
+        """``label`` names the state of the records; ``releases`` refuses what was released before."""
+        if releases:
+            releases.claim(release_salt(salt, f"claim:{method}", eps, self.spec.key, sorted(options.items()), label))
+        options["label"] = label
         return Released(experiments.release(method, build_cells(self._records, self.spec), self.spec, eps, salt, **options), self.spec)
 
 

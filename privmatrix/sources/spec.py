@@ -65,6 +65,11 @@ class MatrixSpec:
     def axes(self) -> list[str]:
         return [f"x{i}" for i in range(1, self.d + 1)]
 
+    @property
+    def key(self) -> str:
+        """Names the matrix in the keys of its noise; matrices of one name and shape must be the same."""
+        return f"{self.name}:{'x'.join(map(str, self.widths))}"
+
     def prefix(self, d: int) -> MatrixSpec:
         return MatrixSpec(f"{self.name}{d}", self.dims[:d], self.unit)
 

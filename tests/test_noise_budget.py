@@ -7,7 +7,9 @@ import pytest
 from pyspark.sql import functions as F
 
 from privmatrix.functions import budget, measures, noise
-from privmatrix.operators import grids
+from privmatrix.operators import baselines, grids, tree
+from privmatrix.plans.sqlapi import PrivateMatrix
+from privmatrix.sources.spec import plain
 
 
 def test_keyed_uniform_is_uniform_and_stable(spark):
@@ -78,3 +80,31 @@ def test_ledger_guard(spark):
     budget.assert_within(ok, 0.1)
     with pytest.raises(ValueError):
         budget.assert_within(ok, 0.09)
+
+
+def test_releases_share_no_noise(spark):
+    """Two budgets, methods, matrices or labels under one secret salt: their noise cannot be solved for a count."""
+    table, spec = spark.createDataFrame([(i % 10, i // 10, i) for i in range(100)], "x1 int, x2 int, f long"), plain("shared", 10, 10)
+    a, b = ({r["pid"]: r["ncount"] for r in baselines.cell_noise(table, spec, e, salt="42").collect()} for e in (0.1, 0.5))
+    solved = np.array([(0.1 * a[k] - 0.5 * b[k]) / (0.1 - 0.5) for k in sorted(a)])
+    true = np.array([float(k.split(".")[1]) + 10 * float(k.split(".")[2]) for k in sorted(a)])
+    assert np.abs(solved - true).max() > 1 and np.median(np.abs(solved - true)) > 0.5
+    salts = [noise.release_salt("42", m, e, n, x) for m in ("tree", "one_box") for e in (0.1, 0.5) for n in ("p:2", "q:2") for x in ("", "day 2")]
+    assert len(set(salts)) == len(salts) == 16
+    one = [grids.entropy_grid(table, spec, 0.5, salt="42", label=x).orderBy("pid").first()["ncount"] for x in ("", "", "later")]
+    assert one[0] == one[1] != one[2]
+    for make in (lambda: grids.entropy_grid(table, spec, 0.5), lambda: tree.even_tree(table, spec, 0.5), lambda: baselines.one_box(table, spec, 0.5)):
+        with pytest.raises(TypeError):
+            make()
+    with pytest.raises(ValueError):
+        grids.entropy_grid(table, spec, 0.5, salt="")
+
+
+def test_a_release_is_claimed_once(spark, tmp_path):
+    releases = budget.Releases(spark, f"file://{tmp_path}/claims")
+    matrix = PrivateMatrix(spark.createDataFrame([(1, 2), (3, 4)], "x1 int, x2 int"), plain("claimed", 10, 10))
+    first = matrix.release("entropy_grid", 0.5, "42", releases=releases).partitions.collect()
+    with pytest.raises(ValueError):
+        matrix.release("entropy_grid", 0.5, "42", releases=releases)
+    second = matrix.release("entropy_grid", 0.5, "42", label="tomorrow", releases=releases).partitions.collect()
+    assert {r["pid"]: r["ncount"] for r in first} != {r["pid"]: r["ncount"] for r in second}

@@ -29,10 +29,17 @@ def test_grids_tile_the_domain(spark, small, method):
     assert publish.uncovered(parts, table, 3).count() == 0
 
 
+def test_entries_answer_by_prefix_sums(spark, small):
+    table, spec = matrices.cells(spark, small, "line2")
+    q, boxes = workload.random_queries(spark, spec, 60, "42"), baselines.cell_noise(table, spec, 0.3, salt="42").persist()
+    want = {r["qid"]: r["est"] for r in answer.answer(boxes, q, 2, "nested").collect()}
+    assert {r["qid"]: pytest.approx(r["est"], abs=1e-6) for r in answer.answer_entries(boxes, q, 2).collect()} == want
+
+
 def test_noise_off_and_every_cell_gives_exact_answers(spark, small):
     table, spec = matrices.cells(spark, small, "line2")
     q = workload.random_queries(spark, spec, 40, "42")
-    est = answer.answer(baselines.cell_noise(table, spec, 0.1, noisy=False), q, 2)
+    est = answer.answer(baselines.cell_noise(table, spec, 0.1, noisy=False, salt="42"), q, 2)
     assert measures.errors(answer.truth(table, q, 2), est).where("abs(truth - est) > 1e-6").count() == 0
 
 

@@ -9,22 +9,22 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from privmatrix.functions import budget, measures
+from privmatrix.functions import budget, measures, noise
 from privmatrix.operators import cells, homogeneity, publish, stops, tree
 from privmatrix.plans import matrices
 from privmatrix.sources.spec import plain
 
 
-def uniform(purpose, *keys):
-    return (int(hashlib.sha256("|".join(["42", purpose, *map(str, keys)]).encode()).hexdigest()[:13], 16) + 0.5) / 2**52
+def uniform(salt, purpose, *keys):
+    return (int(hashlib.sha256("|".join([salt, purpose, *map(str, keys)]).encode()).hexdigest()[:13], 16) + 0.5) / 2**52
 
 
-def laplace(scale, purpose, *keys):
-    u = uniform(purpose, *keys)
+def laplace(salt, scale, purpose, *keys):
+    u = uniform(salt, purpose, *keys)
     return -scale * np.sign(u - 0.5) * math.log(1 - 2 * abs(u - 0.5))
 
 
-def depth_first(array, eps):
+def depth_first(array, eps, salt):
     """Leaves of the even tree by plain recursion over a dense array."""
     d, out = array.ndim, []
 
@@ -32,10 +32,10 @@ def depth_first(array, eps):
         part = array[tuple(slice(a, b) for a, b in box)]
         count = int(part.sum())
         if k == d:
-            out.append((path, box, count + laplace(1 / (eps - acc), "leaf", path)))
+            out.append((path, box, count + laplace(salt, 1 / (eps - acc), "leaf", path)))
             return
         own = eps / 100 if k == 0 else levels[k - 1]
-        noisy, left = count + laplace(1 / own, "count", path), eps - acc - own
+        noisy, left = count + laplace(salt, 1 / own, "count", path), eps - acc - own
         g = (max(noisy, 0) * left / math.sqrt(2)) ** (2 / (3 * (d - k)))
         lo, hi = box[k]
         if k == 0:
@@ -43,7 +43,7 @@ def depth_first(array, eps):
             weights = [m0 ** (i / 3) for i in range(1, d + 1)]
             levels = [0.99 * eps * w / sum(weights) for w in weights]
         if noisy < math.sqrt(2) / own:
-            out.append((path, box, count + laplace(1 / left, "leaf", path)))
+            out.append((path, box, count + laplace(salt, 1 / left, "leaf", path)))
             return
         m, w = int(max(1, min(math.floor(g + 0.5), hi - lo))), hi - lo
         for j in range(m):
@@ -63,7 +63,7 @@ def dense(table, widths):
 @pytest.mark.parametrize("name, eps", [("line3", 0.5), ("clock2", 0.3)])
 def test_even_tree_equals_depth_first(spark, small, name, eps):
     table, spec = matrices.cells(spark, small, name)
-    want = {p: (box, n) for p, box, n in depth_first(dense(table, spec.widths), eps)}
+    want = {p: (box, n) for p, box, n in depth_first(dense(table, spec.widths), eps, noise.release_salt("42", "tree", eps, spec.key, tree.TreeOptions().text(), ""))}
     got = {r["pid"]: r for r in tree.even_tree(table.repartition(5), spec, eps, salt="42").partitions().collect()}
     assert set(got) == set(want)
     for p, (box, n) in want.items():
@@ -77,7 +77,7 @@ OPTIONS = [{}, {"final": "combine"}, {"levels": "equal"}, {"base": "gross"}, {"s
 @pytest.mark.parametrize("options", OPTIONS)
 def test_boxes_tile_the_domain_and_paths_spend_eps(spark, small, options):
     table, spec = matrices.cells(spark, small, "line3")
-    grown = tree.grow(table, spec, 0.4, tree.TreeOptions(**options), "42")
+    grown = tree.grow(table, spec, 0.4, tree.TreeOptions(**options), salt="42")
     parts = grown.partitions().persist()
     assert parts.agg(F.sum("n_entries")).first()[0] == spec.entries
     assert publish.overlapping(parts, 3).count() == 0 and publish.uncovered(parts, table, 3).count() == 0
