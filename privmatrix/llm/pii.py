@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 CONTEXT_CHARS = 48
+RUN = 64
 
 
 @dataclass(frozen=True)
@@ -36,7 +37,7 @@ class Kind:
 #: secrets, which only count after a word that announces one.
 KINDS = (
     Kind("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "@", 90, "mail|contact|write|kontakt|correo|courriel"),
-    Kind("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", ".", 70, "ip|host|server|address|adresse"),
+    Kind("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", ".", 70, r"\bip\b|host|server|address|adresse"),
     Kind("card", r"[0-9]([\x20-]?[0-9])+", r"[0-9](?:[\x20-]?[0-9])++", "", 80, "card|visa|credit|karte|carte|tarjeta"),
     Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", r"\+[0-9][\x20().0-9-]+[0-9]", "+", 60, "call|phone|tel|mobile|fax"),
     Kind("iban", r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?", r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?", "", 95, "iban|account|bank|konto|compte|cuenta"),
@@ -80,14 +81,17 @@ def _mod97(acc: Column, value: Column) -> Column:
 
 
 def _placed(matches: str, parts: str, order: int, kind: Kind) -> Column:
-    """Spans of one kind from its matches and the texts between them, in one pass."""
+    """Spans of one kind from its matches and the texts between them. Offsets are summed by runs of ``RUN`` matches, then within each run, so that no
+    list grows with all matches of a text one by one."""
     placed = F.expr(f"""
-        aggregate(
-          zip_with({matches}, slice({parts}, 1, size({matches})), (x, gap) -> named_struct('gap', length(gap), 'len', length(x), 'text', x,
-            'before', substring(gap, greatest(length(gap) - {CONTEXT_CHARS - 1}, 1), {CONTEXT_CHARS}))),
-          named_struct('at', 0, 'out', cast(array() as array<struct<start: int, stop: int, text: string, before: string>>)),
-          (acc, x) -> named_struct('at', acc.at + x.gap + x.len, 'out', concat(acc.out, array(named_struct('start', acc.at + x.gap, 'stop', acc.at + x.gap + x.len, 'text', x.text, 'before', x.before)))),
-          acc -> acc.out)""")
+        transform(array(zip_with({matches}, slice({parts}, 1, size({matches})), (x, gap) -> named_struct('gap', length(gap), 'len', length(x), 'text', x,
+            'before', substring(gap, greatest(length(gap) - {CONTEXT_CHARS - 1}, 1), {CONTEXT_CHARS})))), all ->
+          transform(array(transform(sequence(0, (size(all) - 1) div {RUN}), k -> slice(all, cast(k * {RUN} + 1 as int), {RUN}))), runs ->
+            flatten(zip_with(runs,
+              slice(aggregate(runs, array(0), (acc, run) -> concat(acc, array(element_at(acc, -1) + aggregate(run, 0, (n, x) -> n + x.gap + x.len)))), 1, size(runs)),
+              (run, first) -> aggregate(run, named_struct('at', first, 'out', cast(array() as array<struct<start: int, stop: int, text: string, before: string>>)),
+                (acc, x) -> named_struct('at', acc.at + x.gap + x.len, 'out', concat(acc.out, array(named_struct('start', acc.at + x.gap, 'stop', acc.at + x.gap + x.len, 'text', x.text, 'before', x.before)))),
+                acc -> acc.out))))[0])[0]""")
     kept = F.filter(placed, lambda x: _confirmed(kind.name, x["text"]))
     near = f"(?i)(?:{kind.context})"
     scored = F.transform(kept, lambda x: F.struct(x["start"].alias("start"), F.lit(order).alias("order"), x["stop"].alias("stop"), F.lit(kind.name).alias("kind"), (F.lit(kind.score) + F.when(x["before"].rlike(near), kind.bonus).otherwise(0)).alias("score")))
