@@ -40,7 +40,7 @@ from privmatrix.llm import textscan
 
 META = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
-KEPT_CHUNKS = 160_000
+KEPT_CHUNKS = 100_000
 PAIR_BITS = 19
 WIDTHS = (8, 10, 13, 20, 40)  # chunks up to each of these lengths are settled together, longer ones one by one
 TOGETHER = 16_384  # chunks that are settled at once
@@ -247,13 +247,24 @@ class Model:
                 a, b = self.id.get(p[:k]), self.id.get(p[k:])
                 if a is not None and b is not None:
                     joins[a << 32 | b] = ranks[self.id[p]]
-        self._tables = ranks, left, right, joins
+
+        def apart(a: int, b: int, limit: int) -> bool:
+            """Whether no merge of a rank below ``limit`` joins across the bound of two pieces."""
+            while joins.get(a << 32 | b, NEVER) >= limit:
+                if ranks[a] > ranks[b]:
+                    limit, a = ranks[a], right[a]
+                elif ranks[b] >= 0:
+                    limit, b = ranks[b] + 1, left[b]
+                else:
+                    return True
+            return False
+
         for p in sorted(whole, key=lambda p: (ranks[self.id[p]], len(p))):
             i = self.id[p]
             for k in range(1, len(p)):
                 a, b = self.id.get(p[:k]), self.id.get(p[k:])
                 formed = a is not None and b is not None and all(len(self.pieces[x]) == 1 or left[x] >= 0 for x in (a, b))
-                if formed and max(ranks[a], ranks[b]) < ranks[i] and self._apart(a, b, ranks[i]):
+                if formed and max(ranks[a], ranks[b]) < ranks[i] and apart(a, b, ranks[i]):
                     left[i], right[i] = a, b
                     break
             else:
@@ -264,21 +275,8 @@ class Model:
         self._join_ranks = np.append(np.array([joins[k] for k in keys.tolist()], np.int64), NEVER)
         return odd
 
-    def _apart(self, a: int, b: int, limit: int = NEVER) -> bool:
-        """Whether no merge of a rank below ``limit`` joins across the bound of two pieces."""
-        ranks, left, right, joins = self._tables
-        while True:
-            if joins.get(a << 32 | b, NEVER) < limit:
-                return False
-            if ranks[a] > ranks[b]:
-                limit, a = ranks[a], right[a]
-            elif ranks[b] >= 0:
-                limit, b = ranks[b] + 1, left[b]
-            else:
-                return True
-
     def _all_apart(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        """``_apart`` of many pairs."""
+        """Whether no merge joins across the bounds of pairs of pieces."""
         ok, row, limit = np.ones(len(a), bool), np.arange(len(a)), np.full(len(a), NEVER)
         while len(row):
             key = a << 32 | b
@@ -370,7 +368,7 @@ class Model:
             if len(self._verdicts) >= KEPT_CHUNKS:
                 self._verdicts.clear()
             x, y = self.pieces[a], self.pieces[b]
-            ok = self._verdicts[key] = self._merged(x + y) == [x, y] if odd else self._apart(a, b)
+            ok = self._verdicts[key] = self._merged(x + y) == [x, y] if odd else bool(self._all_apart(np.array([a]), np.array([b]))[0])
         return ok
 
     def _long(self, text: str, odd: bool) -> list[int]:
@@ -501,6 +499,7 @@ class Model:
 
 @lru_cache(maxsize=2)
 def _compiled(data: bytes) -> Model:
+    """A model file's machines, compiled on the driver: compiling takes ten times the memory of what it makes."""
     return Model(data)
 
 
@@ -525,12 +524,12 @@ def _decoded(model: Model, column: pa.Array) -> pa.Array:
 
 
 def _mapped(df: DataFrame, model: bytes, source: str, made: dict[str, T.DataType], work: Callable[[Model, pa.Array], list[pa.Array]]) -> DataFrame:
-    shared = df.sparkSession.sparkContext.broadcast(model)  # the size of one vocabulary file
+    shared = df.sparkSession.sparkContext.broadcast(_compiled(model))  # some times the size of one vocabulary file
     kept = [c for c in df.columns if c not in made]
     schema = T.StructType([df.schema[c] for c in kept] + [T.StructField(c, kind) for c, kind in made.items()])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        compiled = _compiled(shared.value)
+        compiled = shared.value
         try:
             for whole in batches:
                 for batch in _slices(whole):

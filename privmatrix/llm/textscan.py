@@ -40,7 +40,7 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def free_powers() -> None:
-    """Forget the tables of powers, which a driver needs only while it scans texts itself."""
+    """Forget the tables of powers, which are needed only while texts are scanned."""
     _powers[:] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
@@ -161,7 +161,8 @@ def _bytes(text: str) -> int:
 
 
 def trim() -> None:
-    """Give freed memory back to the system."""
+    """Drop the tables of powers and give freed memory back to the system."""
+    free_powers()
     pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
