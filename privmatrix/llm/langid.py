@@ -3,8 +3,8 @@
 Learning counts byte n-grams (3 and 4, over lower-cased letters and word bounds) of every training text, summed per
 language in Spark. An n-gram belongs to the languages whose relative frequency of it is at least ``share`` of the largest;
 each such pair sets the language's bit in ``hashes`` rows of one table of bitmasks. Looking an n-gram up ANDs its rows and so
-returns all languages that contain it. A text's score for a language is the number of its n-grams found, corrected for
-the false positives that the filter's fill makes likely; the largest decides, ties go to the language first in the alphabet.
+returns all languages that contain it. A slot of n-grams longer than three stands for several. A text's score for a language is the number of its n-grams found, corrected for
+the false positives that the filter's fill and shared slots make likely; the largest decides, ties go to the language first in the alphabet.
 
 Null texts and texts without a letter get ``und`` and score 0, as does every text if nothing was learned. Whole texts are
 read, whatever their length; repeated rows get equal predictions. ``predict`` keeps extra columns; a column named
@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from privmatrix.llm import textscan
+from privmatrix.llm.store import written
 
 SIZES = (3, 4)
 SLOT_BITS = 18
@@ -63,7 +64,10 @@ def _rows(n: int, hashes: int) -> np.ndarray:
 
 @dataclass(frozen=True)
 class LanguageFilter:
-    """languages, and for each n-gram size the languages' bits of every slot, as the filter returns them."""
+    """languages, for each n-gram size the languages' bits of every slot, as the filter returns them, and how often it wrongly says yes.
+
+    An unseen n-gram finds all its rows set by chance; where n-grams share slots, it also meets a slot that the filter rightly holds.
+    """
 
     languages: tuple[str, ...]
     masks: tuple[np.ndarray, ...]
@@ -103,36 +107,45 @@ def count(df: DataFrame, text_col: str = "text", lang_col: str = "lang") -> Data
     return textscan.mapped(known, run, "lang string, size int, slot int, n long").groupBy("lang", "size", "slot").agg(F.sum("n").alias("n"))
 
 
+def owned(counts: DataFrame, languages: list[str], share: float, least: float) -> DataFrame:
+    """size, slot, mask: the bits of the languages (by their place in the list) to which a slot's n-grams belong; only slots with any."""
+    totals = counts.groupBy("lang", "size").agg(F.sum("n").alias("all"))  # at most 64 languages x sizes
+    freq = counts.join(F.broadcast(totals), ["lang", "size"]).withColumn("freq", F.col("n") / F.col("all"))
+    bits = [x for i, lang in enumerate(languages) for x in (F.lit(lang), F.lit(int(np.uint64(1 << i).view(np.int64))))]
+    bit = F.element_at(F.create_map(*bits), F.col("lang"))
+    slots = freq.groupBy("size", "slot").agg(F.max("freq").alias("most"), F.collect_list(F.struct("freq", bit.alias("bit"))).alias("held"))  # at most 64 each
+    mine = F.filter("held", lambda x: (x["freq"] >= share * F.col("most")) & (x["freq"] >= least))
+    return slots.select("size", "slot", F.aggregate(mine, F.lit(0).cast("long"), lambda acc, x: acc.bitwiseOR(x["bit"])).alias("mask")).where("mask <> 0")
+
+
 def learn(df: DataFrame, text_col: str = "text", lang_col: str = "lang", share: float = 0.5, least: float = 1e-6, hashes: int = 3) -> LanguageFilter:
-    """The filter of all rows of ``df``. What comes to the driver is bounded: languages times n-gram sizes times slots."""
-    found = count(df, text_col, lang_col).toArrow()
-    lang = np.array(found["lang"].to_pylist(), object)
-    size, slot, n = (found[c].to_numpy() for c in ("size", "slot", "n"))
-    languages = tuple(sorted(set(lang)))
+    """The filter of all rows of ``df``. Slots' languages are told in Spark; a mask for each slot and n-gram size comes to the driver."""
+    counts = written(count(df, text_col, lang_col), "language-counts")
+    languages = sorted(r["lang"] for r in counts.select("lang").distinct().limit(65).collect())
     if len(languages) > 64:
         raise ValueError("the bitmasks hold 64 languages")
-    code = np.searchsorted(np.array(languages, object), lang) if languages else np.zeros(0, int)
     table = np.zeros(1 << ROW_BITS, np.uint64)
     rows = {k: _rows(k, hashes) for k in SIZES}
-    for k in SIZES:
-        freq = np.zeros((len(languages), 1 << SLOT_BITS))
-        here = size == k
-        freq[code[here], slot[here]] = n[here]
-        freq /= np.maximum(freq.sum(axis=1, keepdims=True), 1)
-        for i in range(len(languages)):
-            own = np.flatnonzero((freq[i] >= share * freq.max(axis=0)) & (freq[i] >= least))
+    if languages:
+        found = owned(counts, languages, share, least).toArrow()
+        size, slot, mask = (found[c].to_numpy() for c in ("size", "slot", "mask"))
+        for k in SIZES:
+            here = size == k
             for j in range(hashes):
-                np.bitwise_or.at(table, rows[k][j][own], np.uint64(1 << i))
-    fill = np.array([np.mean(table >> np.uint64(i) & np.uint64(1)) for i in range(len(languages))])
+                np.bitwise_or.at(table, rows[k][j][slot[here]], mask[here].view(np.uint64))
     masks = tuple(np.bitwise_and.reduce(table[rows[k]], axis=0) for k in SIZES)
-    return LanguageFilter(languages, masks, fill**hashes)
+    bits = np.arange(len(languages), dtype=np.uint64)
+    fill = np.array([np.mean(table >> i & np.uint64(1)) for i in bits])
+    rates = [np.array([np.mean(m >> i & np.uint64(1)) for i in bits]) if 6 * k > SLOT_BITS else fill**hashes for k, m in zip(SIZES, masks)]
+    return LanguageFilter(tuple(languages), masks, np.array(rates).reshape(len(SIZES), len(languages)))
 
 
 def _scored(model: LanguageFilter, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     """Corrected popcounts: rows x languages."""
     symbols, rows = _SYMBOL[data], len(offsets) - 1
-    hits, total = np.zeros((rows, len(model.languages))), np.zeros(rows)
-    for n, masks in zip(SIZES, model.masks):
+    score = np.zeros((rows, len(model.languages)))
+    for n, masks, rate in zip(SIZES, model.masks, model.false_rate):
+        hits, total = np.zeros_like(score), np.zeros(rows)
         key, good = _slots(symbols, n)
         a = np.minimum(offsets[:-1], len(key))
         b = np.maximum(a, np.minimum(offsets[1:] - n + 1, len(key)))  # an n-gram that runs into the next row is left out
@@ -143,7 +156,8 @@ def _scored(model: LanguageFilter, data: np.ndarray, offsets: np.ndarray) -> np.
                 hits[:, i] += sums[b] - sums[a]
             else:
                 total += sums[b] - sums[a]
-    return np.maximum(0, (hits - total[:, None] * model.false_rate) / (1 - model.false_rate).clip(1e-9))
+        score += (hits - total[:, None] * rate) / (1 - rate).clip(1e-9)
+    return np.maximum(0, score)
 
 
 def _has_letter(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
