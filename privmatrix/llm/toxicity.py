@@ -3,7 +3,7 @@
 A word's embedding joins four hashed ones: of the whole word and of its first 4, 5 and 6 bytes. Filters of widths 1 to 3 slide
 over the words, each filter's largest response in a text is kept (max pooling), and a logistic layer scores these. The
 embeddings start from smoothed log-odds of the labels, then everything is trained by mini-batches of a sample of labelled
-rows of at most ``max_train`` rows. A threshold for each language, which is told by common words of the text itself, is chosen on
+rows of at most ``max_train`` rows and ``max_chars`` characters. A threshold for each language, which is told by common words of the text itself, is chosen on
 a part of the sample that training does not see; scores are shifted so that 0.5 is that threshold.
 
 Null and empty texts score like a text without any response. Whole texts are read, in slices that bound memory; repeated
@@ -18,7 +18,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -30,6 +30,7 @@ DIM = 4
 WIDTHS = (1, 2, 3)
 FILTERS = 8
 MAX_TRAIN = 5000
+MAX_CHARS = 1 << 26
 
 #: Common words by language, to tell a text's language when choosing its threshold.
 COMMON = {
@@ -208,10 +209,22 @@ def _threshold(logits: np.ndarray, labels: np.ndarray, default: float) -> float:
     return float((value[k] + below[k]) / 2)
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_train: int = MAX_TRAIN) -> Network | None:
-    """The network of at most ``max_train`` rows of ``labels``, chosen by a hash of the id."""
-    chosen = labels.where(F.col(label_col).isNotNull()).groupBy(id_col).agg(F.max(label_col).cast("int").alias("__label")).orderBy(F.xxhash64(id_col), id_col).limit(max_train)
-    rows = docs.select(id_col, text_col).join(F.broadcast(chosen), id_col).select(id_col, text_col, "__label").toArrow()  # at most max_train ids are broadcast
+def sample(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, label_col: str, max_train: int, max_chars: int) -> DataFrame:
+    """id, text, label of the training sample: labelled ids by a hash, as long as rows and characters stay within their bounds.
+
+    Texts are taken whole or not at all. Of rows that repeat an id the first text by order is taken.
+    """
+    order = (F.xxhash64(id_col), F.col(id_col))
+    chosen = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull()).groupBy(id_col).agg(F.max(label_col).cast("int").alias("__label")).orderBy(*order).limit(max_train)
+    rows = docs.select(id_col, text_col).join(F.broadcast(chosen), id_col)  # at most max_train ids are broadcast
+    single = rows.groupBy(id_col).agg(F.min(text_col).alias(text_col), F.max("__label").alias("__label"))
+    upto = F.sum(F.coalesce(F.length(text_col), F.lit(0)).cast("long")).over(Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))  # at most max_train rows
+    return single.withColumn("__upto", upto).where(F.col("__upto") <= max_chars).select(id_col, text_col, "__label")
+
+
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_train: int = MAX_TRAIN, max_chars: int = MAX_CHARS) -> Network | None:
+    """The network of a sample of at most ``max_train`` rows of ``labels`` and ``max_chars`` characters."""
+    rows = sample(docs, labels, id_col, text_col, label_col, max_train, max_chars).toArrow()
     if not len(rows):
         return None
     rows = rows.sort_by(id_col).combine_chunks()

@@ -111,16 +111,44 @@ def test_url_filter(spark):
     assert got[3]["host"] == "a.example.com" and got[3]["path"] == "" and got[3]["rule"] is None
     assert got[4]["rule"] == "net/es/" and got[4]["verdict"] == "block" and got[5]["basis"] == "graph" and got[5]["verdict"] == "block"
     assert got[6]["path"] == "/a" and got[6]["verdict"] == "allow"
-    assert url_filter.judge(pages).count() == 7 and url_filter.judge(pages.where("false")).count() == 0
+    assert len(got) == 6 and url_filter.judge(pages, tolerance=0.5).count() == 7 and url_filter.judge(pages.where("false"), tolerance=0.5).count() == 0
 
 
 def test_distrust_flows_backwards_and_trust_forwards(spark):
     seeds = spark.createDataFrame([("good", 1.0, 0.0), ("bad", 0.0, 1.0), ("a", 0.0, 0.0), ("b", 0.0, 0.0)], "host string, trust0 double, distrust0 double")
     edge = spark.createDataFrame([("good", "a"), ("b", "bad")], "source string, target string")
-    got = {r["host"]: r for r in url_filter.propagate(seeds, edge).collect()}
+    got = {r["host"]: r for r in url_filter.propagate(seeds, edge, tolerance=0.5).collect()}
     assert got["a"]["trust"] > 0 and got["a"]["distrust"] == 0 and got["b"]["distrust"] > 0 and got["b"]["trust"] == 0
 
 
+def test_propagation_equals_the_solved_equations(spark):
+    """Against a dense solution in which hosts without edges send their mass back to the seeds."""
+    draw, n = np.random.default_rng(4), 30
+    hosts = [f"h{i}" for i in range(n)]
+    pairs = sorted({(int(a), int(b)) for a, b in draw.integers(0, n, (70, 2)) if a != b and a > 3 and b < n - 3})
+    t0, d0 = np.zeros(n), np.zeros(n)
+    t0[[5, 9]], d0[[20, 2]] = [0.25, 0.75], [0.5, 0.5]
+    frame = spark.createDataFrame([(h, float(t0[i]), float(d0[i])) for i, h in enumerate(hosts)], "host string, trust0 double, distrust0 double")
+    edge = spark.createDataFrame([(hosts[a], hosts[b]) for a, b in pairs], "source string, target string")
+    got = {r["host"]: r for r in url_filter.propagate(frame, edge, tolerance=1e-5).collect()}
+    for name, seed, turn in (("trust", t0, False), ("distrust", d0, True)):
+        step = np.zeros((n, n))
+        for a, b in pairs:
+            step[(a, b) if turn else (b, a)] = 1
+        lost = step.sum(axis=0) == 0
+        step = np.where(lost, seed[:, None], step / np.maximum(step.sum(axis=0), 1))
+        want = np.linalg.solve(np.eye(n) - url_filter.DAMPING * step, (1 - url_filter.DAMPING) * seed)
+        assert np.allclose([got[h][name] if h in got else 0.0 for h in hosts], want, atol=2e-5)
+
+
+def test_verdicts_do_not_depend_on_the_size_of_the_table(spark):
+    """A small neighbourhood is judged the same beside millions of blocked pages elsewhere: shares of about 1e-12 still count."""
+    edge = spark.createDataFrame([("near", "bad")] + [(f"leaf{i}", "near") for i in range(3)], "source string, target string")
+    seeds = spark.createDataFrame([("bad", 0.0, 1e-12), ("far", 0.0, 1 - 1e-12), ("good", 1.0, 0.0)], "host string, trust0 double, distrust0 double")
+    got = {r["host"]: r for r in url_filter.propagate(seeds, edge).collect()}
+    assert all(got[h]["distrust"] > got[h]["trust"] * (1 + url_filter.TIE) for h in ("near", "leaf0", "leaf1", "leaf2"))
+
+
 def test_language(docs, none):
     model = langid.learn(docs.select("text", "lang"))
     got = {r["doc_id"]: r for r in langid.predict(docs, model).collect()}
@@ -136,6 +164,22 @@ def test_language_masks_hold_all_learned_languages(spark):
     assert model.languages == ("de", "en") and all(model.masks[0][k] >> np.uint64(1) & np.uint64(1) for k in keys[good])
 
 
+def test_language_owners_equal_loops(spark):
+    draw = np.random.default_rng(3)
+    rows = sorted({(str(draw.choice(["de", "en", "fr"])), int(draw.choice([3, 4])), int(draw.integers(0, 9))): int(draw.integers(1, 50)) for _ in range(60)}.items())
+    counts = spark.createDataFrame([(*k, n) for k, n in rows], "lang string, size int, slot int, n long")
+    got = {(r["size"], r["slot"]): r["mask"] for r in langid.owned(counts, ["de", "en", "fr"], 0.5, 0.02).collect()}
+    total = {}
+    for (lang, size, _), n in rows:
+        total[lang, size] = total.get((lang, size), 0) + n
+    want = {}
+    for (lang, size, slot), n in rows:
+        most = max(m / total[o, z] for (o, z, y), m in rows if (z, y) == (size, slot))
+        if n / total[lang, size] >= 0.5 * most and n / total[lang, size] >= 0.02:
+            want[size, slot] = want.get((size, slot), 0) | 1 << ["de", "en", "fr"].index(lang)
+    assert got == want
+
+
 def test_pii_spans_equal_plain_search(docs):
     text = "Mail me: a.b@c.de or x@y.org_z@w.net. IP 1.2.3.4.5 and 300.1.1.1; card 4111 1111-1111 1111, 4111111111111112; call +49 (30) 123-4567 or +1 2; iban DE89 3704 0044 0532 0130 00. é 10.0.0.255; token = \"04dbebab91ab85687d33eeaaf9ac699e1188f962\", not 14dbebab91ab85687d33eeaaf9ac699e1188f962"
     spark = docs.sparkSession
@@ -254,6 +298,17 @@ def test_toxicity(docs, none):
     assert toxicity.score(none, net).count() == 0
 
 
+def test_toxicity_sample_is_bounded_and_whole(spark):
+    docs = spark.createDataFrame([(i % 40 if i else None, f"{'word ' * (i % 7)}{i}") for i in range(60)] + [(41, None)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(60)] + [(None, 1)], "doc_id long, toxic int")
+    texts = {(r["doc_id"], r["text"]) for r in docs.collect()}
+    args = ("doc_id", "text", "toxic")
+    rows = toxicity.sample(docs, labels, *args, 30, 200).collect()
+    assert 0 < len(rows) <= 30 and sum(len(r["text"] or "") for r in rows) <= 200 and {(r["doc_id"], r["text"]) for r in rows} <= texts
+    everything = toxicity.sample(docs, labels, *args, 1000, 1 << 20).collect()
+    assert sorted(r["doc_id"] for r in everything) == [*range(40), 41]
+
+
 def test_pooling_equals_loops():
     draw = np.random.default_rng(0)
     net = toxicity.Network(draw.normal(size=(4, toxicity.BUCKETS, toxicity.DIM)).astype(np.float32), [draw.normal(size=(w, 16, 8)).astype(np.float32) for w in toxicity.WIDTHS], [draw.normal(size=8).astype(np.float32) for _ in toxicity.WIDTHS], draw.normal(size=24).astype(np.float32), 0.3, np.zeros(5))
