@@ -9,13 +9,13 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder; where it is unset, a temporary one in local mode and the warehouse on a cluster."""
+    """The session's checkpoint folder. Where it is unset, local mode uses a temporary one and a cluster is refused, as no folder is known to be shared."""
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if found:
         return found
     if spark.sparkContext.master.startswith("local["):
         return f"file://{tempfile.gettempdir()}/privmatrix-shared"
-    return spark.conf.get("spark.sql.warehouse.dir")
+    raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
 
 
 def written(df: DataFrame, what: str) -> DataFrame:

@@ -225,3 +225,17 @@ def test_entropy_values(spark):
     df = spark.createDataFrame([(1,), (1,), (2,)], "f long")
     assert measures.entropy(df).first()[0] == pytest.approx(1.5)
     assert math.isclose(spark.range(1).select(measures.noise_entropy(F.lit(4.0), 0.5, 2)).first()[0], math.log2(math.sqrt(2) * 4 / 0.5))
+
+
+def test_a_cluster_without_a_shared_folder_is_refused():
+    from types import SimpleNamespace
+
+    from privmatrix.sources.store import shared_folder
+
+    def session(master, **settings):
+        return SimpleNamespace(sparkContext=SimpleNamespace(master=master, getConf=lambda: settings))
+
+    assert shared_folder(session("spark://host:7077", **{"spark.checkpoint.dir": "s3a://b/c"})) == "s3a://b/c"
+    assert shared_folder(session("local[2]")).startswith("file://")
+    with pytest.raises(ValueError):
+        shared_folder(session("spark://host:7077"))
