@@ -90,3 +90,15 @@ def test_spreads_share_draws(spark, small, d):
     drawn = synth.normals(keys, d, "42")
     for sd in (0.05, 0.4):
         assert sorted(map(tuple, synth.gaussian(keys, spec, sd, "42").collect())) == sorted(map(tuple, synth.gaussian_of(drawn, spec, sd, "42").collect()))
+
+
+@pytest.mark.parametrize("name", ["candidates"])
+def test_query_reads_a_given_table_and_equals_its_sql(spark, duck, small, name):
+    df = catalogue.QUERIES[name](spark, small)
+    assert any(f.startswith(f"file://{small}") for f in df.inputFiles())
+    columns, rel = sorted(df.columns), duck.execute(catalogue.ORACLES[name])
+    names = [x[0] for x in rel.description]
+    got = sorted((tuple(r[c] for c in columns) for r in df.collect()), key=str)
+    want = sorted((tuple(r[names.index(c)] for c in columns) for r in rel.fetchall()), key=str)
+    assert sorted(names) == columns and len(got) == len(want) > 0
+    assert all(x == (pytest.approx(y, abs=2e-6) if isinstance(y, float) else y) for r, s in zip(got, want) for x, y in zip(r, s))
