@@ -92,7 +92,7 @@ def test_spreads_share_draws(spark, small, d):
         assert sorted(map(tuple, synth.gaussian(keys, spec, sd, "42").collect())) == sorted(map(tuple, synth.gaussian_of(drawn, spec, sd, "42").collect()))
 
 
-@pytest.mark.parametrize("name", ["candidates", "level_budgets", "sql_grid_boxes", "worked_example"])
+@pytest.mark.parametrize("name", ["candidates", "coverage_queries", "level_budgets", "random_queries", "sql_grid_boxes", "worked_example"])
 def test_query_reads_a_given_table_and_equals_its_sql(spark, duck, small, name):
     df = catalogue.QUERIES[name](spark, small)
     assert any(f.startswith(f"file://{small}") for f in df.inputFiles())
