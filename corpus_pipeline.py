@@ -10,17 +10,31 @@ a text are one; rows of one id with different texts, and rows without an id, are
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from privmatrix.llm import decontaminate, langid, near_dup, pieces, pii, toxicity
 from privmatrix.llm.queries import piece_model, table
-from privmatrix.llm.store import written
+from privmatrix.llm.store import eased, written
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 
+def _on_its_own(stage: Stage) -> Stage:
+    """The stage, begun with a driver that holds nothing of its predecessor's plans."""
+
+    @wraps(stage)
+    def begun(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        eased(spark)
+        return stage(spark, docs, sf_dir)
+
+    return begun
+
+
+@_on_its_own
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that score at least 0.5 go. Labels are learned from the rows that are not held out."""
     labels = table(spark, sf_dir, "labels")
@@ -28,28 +42,32 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     return toxicity.score(docs, net, out="__score").where(F.col("__score") < 0.5).select(*COLUMNS)
 
 
+@_on_its_own
 def near_dup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of five-word shingle similarity 0.8 or more, the document of smallest id stays."""
     return near_dup.kept_only(docs, near_dup.Options(words=5)).select(*COLUMNS)
 
 
+@_on_its_own
 def benchmark_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark item go."""
     return decontaminate.clean(docs, table(spark, sf_dir, "benchmark")).select(*COLUMNS)
 
 
+@_on_its_own
 def pii_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Personal data is replaced by its kind; n_chars is that of the new text."""
     return pii.redact(docs.select(*COLUMNS)).withColumn("n_chars", F.coalesce(F.length("text"), F.lit(0)).cast("long")).select(*COLUMNS)
 
 
+@_on_its_own
 def pieces_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document with its piece ids, their number, and whether decoding them gives its text back."""
     coded = pieces.code(docs.select(*COLUMNS), piece_model())
     return coded.select(*COLUMNS, "ids", F.coalesce(F.size("ids"), F.lit(0)).cast("long").alias("n_pieces"), F.col("decoded").eqNullSafe(F.col("text")).alias("round_trip"))
 
 
-STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+STAGES: list[tuple[str, Stage]] = [
     ("toxicity", toxicity_stage),
     ("near_dup", near_dup_stage),
     ("benchmark", benchmark_stage),

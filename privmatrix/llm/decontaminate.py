@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from privmatrix.llm.membership import only, row_key, without
-from privmatrix.llm.store import written
+from privmatrix.llm.store import eased, written
 
 SHINGLE, THRESHOLD = 5, 0.8
 RADIUS = 22
@@ -110,9 +110,10 @@ def hits(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: st
     window_mass = bags.groupBy(*keys).agg(F.sum(mass).alias("window_mass"))
     item_mass = item_bags.groupBy("item").agg(F.sum(mass).alias("item_mass"))
 
-    left = _fingerprints(cut.select(*keys, F.explode("w").alias("word")), keys).select("*", F.explode(_blocks("fp", radius)).alias("block"))
+    left = written(_fingerprints(cut.select(*keys, F.explode("w").alias("word")), keys), "window-prints").select("*", F.explode(_blocks("fp", radius)).alias("block"))
     right = _fingerprints(item.select("item", "size", F.explode("w").alias("word")), ["item", "size"], "own")
     right = written(right.select("*", F.explode(_blocks("own", radius)).alias("block")), "benchmark-blocks")
+    eased(docs.sparkSession)  # the prints' sums make the largest plans
     apart = sum((F.bit_count(F.col(f"fp{i}").bitwiseXOR(F.col(f"own{i}"))) for i in range(HASHES)), F.lit(0))
     near = left.join(small(right), ["size", "block"]).where(apart <= radius).select(*keys, "item").distinct()
     common = near.join(bags, keys).join(small(item_bags.select("item", "gram", F.col("n").alias("item_n"))), ["item", "gram"])

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 import corpus_pipeline
 from privmatrix.llm import components, decontaminate, near_dup, pieces
 from privmatrix.llm.queries import ORACLES, PIECE_MODEL, QUERIES, piece_model
+from privmatrix.llm.store import eased
 
 DATA = "/root/testdata/sf0.01"
 
@@ -165,3 +166,39 @@ def test_pipeline(spark, documents):
             assert want.count() == before.count()
     final = corpus_pipeline.STAGES[-1][1](spark, want, DATA)
     assert final.count() == want.count() and final.where("NOT round_trip AND text NOT LIKE '%▁%'").count() == 0
+
+
+def test_driver_gives_freed_native_memory_back(spark):
+    """Freed pieces below one that is still held stay with the C library until they are given back."""
+    jvm = spark.sparkContext._jvm
+
+    def resident() -> float:
+        status = jvm.java.nio.file.Files.readString(jvm.java.nio.file.Path.of("/proc/self/status", spark.sparkContext._gateway.new_array(jvm.String, 0)))
+        return int(re.search(r"VmRSS:\s+(\d+)", status)[1]) / 1024
+
+    data, out = bytearray(range(256)) * 400, spark.sparkContext._gateway.new_array(jvm.byte, 1000)
+    held = []
+    for _ in range(400):
+        held.append(jvm.java.util.zip.Deflater())
+        held[-1].setInput(data)
+        held[-1].deflate(out)
+    for x in held[:-1]:
+        x.end()
+    jvm.System.gc()
+    freed = resident()
+    eased(spark)
+    assert freed - resident() > 30
+    held[-1].end()
+
+
+def test_every_pipeline_stage_begins_with_an_eased_driver(spark, monkeypatch):
+    class Eased(Exception):
+        pass
+
+    def eased_(_) -> None:
+        raise Eased
+
+    monkeypatch.setattr(corpus_pipeline, "eased", eased_)
+    for _, stage in corpus_pipeline.STAGES:
+        with pytest.raises(Eased):
+            stage(spark, None, "")
